@@ -1,7 +1,7 @@
 """Token ids in files: canonical length-limited Huffman codes with bit-offset checkpoints.
 
-A file set is a folder with two Parquet data sets, so that any store that Spark reads
-can hold it: `codebook` (id, bits: code lengths, from which the canonical codes follow)
+A file set is a folder of Parquet data sets, so that any store that Spark reads can hold
+it: `plain` (the tokenizer's ids before coding, which may be deleted), `codebook` (id, bits: code lengths, from which the canonical codes follow)
 and `shards`. A shard holds whole documents in ascending doc_id order: their ids and
 lengths, the coded payload, and the bit offset of every block of BLOCK ids. Blocks can
 be decoded alone; the decoder walks all blocks of a shard in step, one table look-up for
@@ -19,12 +19,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import own_columns
+from pathsieve.llm.shared import own_columns, text_slices
 from pathsieve.llm.tokens import encoder
 
 VOCABULARY, END_ID = "byte_bpe_50k.json", 2
 LONGEST_CODE, BLOCK, SHARD_IDS = 20, 512, 1 << 20
 SHARDS = "part int, shard int, ids_before long, n_ids long, doc_ids array<long>, doc_lengths array<long>, checkpoints array<long>, payload binary"
+PLAIN = "part int, shard int, ids_before long, n_ids long, doc_ids array<long>, doc_lengths array<long>, seen array<long>, times array<long>, ids binary"
 
 
 def code_lengths(counts: np.ndarray, longest: int = LONGEST_CODE) -> np.ndarray:
@@ -96,61 +97,59 @@ class Codebook:
         return out.T.reshape(-1)[:n]
 
 
-def token_counts(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
-    """(id, n) over all documents, end ids with them."""
+def write_ids(docs: DataFrame, path: str, vocabulary: str, end_id: int) -> None:
+    """Tokenizes once, in doc_id order: shards of plain ids, each with the counts of its ids."""
+    kind = np.dtype("<u2" if end_id < 1 << 16 and vocabulary == VOCABULARY else "<u4")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(end_id + 1, np.int64)
-        for batch in batches:
-            for ids in encoder(vocabulary, True).encode(batch.column("text").to_pylist()):
-                seen = np.bincount(np.frombuffer(ids, "<u4"), minlength=end_id + 1)
-                total = np.pad(total, (0, max(0, len(seen) - len(total))))
-                total[: len(seen)] += seen
-            total[end_id] += batch.num_rows
-        used = np.flatnonzero(total)
-        yield pa.RecordBatch.from_pydict({"id": pa.array(used, pa.int64()), "n": pa.array(total[used], pa.int64())})
+        part, shard, before, size = TaskContext.get().partitionId(), 0, 0, 0
+        end = np.array([end_id], "<u4").tobytes()
+        held: list[tuple[int | None, bytes]] = []
 
-    return own_columns(docs, "text").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+        def row() -> pa.RecordBatch:
+            ids = np.frombuffer(b"".join(b for _, b in held), "<u4")
+            counts = np.bincount(ids)
+            used = np.flatnonzero(counts)
+            values = [part, shard, before, len(ids), [d for d, _ in held], [len(b) // 4 for _, b in held], used.tolist(), counts[used].tolist(), ids.astype(kind).tobytes()]
+            kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), *[pa.list_(pa.int64())] * 4, pa.binary()]
+            return pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(values, kinds, strict=True)], [x.split()[0] for x in PLAIN.split(", ")])
+
+        for batch in (part for whole in batches for part in text_slices(whole, "text")):
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), encoder(vocabulary, True).encode(batch.column("text").to_pylist()), strict=True):
+                held.append((doc, ids + end))
+                size += len(ids) // 4 + 1
+                if size >= SHARD_IDS:
+                    yield row()
+                    shard, before, held, size = shard + 1, before + size, [], 0
+        if held:
+            yield row()
+
+    docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(run, PLAIN).write.option("compression", "zstd").parquet(path)
 
 
 def write_tokens(docs: DataFrame, path: str, vocabulary: str = VOCABULARY, end_id: int = END_ID) -> None:
     """Writes the file set of docs (doc_id, text) to path. Null texts are empty; rows of one doc_id follow each other by text; null ids come first."""
     spark = docs.sparkSession
-    docs = own_columns(docs, "doc_id", "text")
-    counted = token_counts(docs, vocabulary, end_id).toPandas()  # a row for each id of the vocabulary at most
-    counts = np.zeros(int(counted["id"].max()) + 1 if len(counted) else 1, np.int64)
-    counts[counted["id"].to_numpy(np.int64)] = counted["n"]
+    write_ids(own_columns(docs, "doc_id", "text"), f"{path}/plain", vocabulary, end_id)
+    plain = spark.read.parquet(f"{path}/plain")
+    counted = plain.select(F.explode(F.arrays_zip("seen", "times")).alias("x")).groupBy("x.seen").agg(F.sum("x.times").alias("n")).toPandas()  # a row for each id of the vocabulary at most
+    counts = np.zeros(int(counted["seen"].max()) + 1 if len(counted) else 1, np.int64)
+    counts[counted["seen"].to_numpy(np.int64)] = counted["n"]
     bits = code_lengths(counts)
-    used = np.flatnonzero(bits)
-    spark.createDataFrame([(int(i), int(bits[i])) for i in used], "id long, bits int").coalesce(1).write.parquet(f"{path}/codebook")
+    spark.createDataFrame([(int(i), int(bits[i])) for i in np.flatnonzero(bits)], "id long, bits int").coalesce(1).write.parquet(f"{path}/codebook")
     lengths = bits.tobytes()  # of the vocabulary's size
+    names = [x.split()[0] for x in SHARDS.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        book, part, shard, before = Codebook(np.frombuffer(lengths, np.uint8)), TaskContext.get().partitionId(), 0, 0
-        end = np.array([end_id], "<u4").tobytes()
-        held: list[tuple[int | None, bytes]] = []
-        size = 0
-
-        def row() -> pa.RecordBatch:
-            ids = np.frombuffer(b"".join(b for _, b in held), "<u4")
-            payload, marks = book.encode(ids)
-            values = {"part": part, "shard": shard, "ids_before": before, "n_ids": len(ids), "doc_ids": [d for d, _ in held], "doc_lengths": [len(b) // 4 for _, b in held], "checkpoints": marks.tolist(), "payload": payload}
-            kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), *[pa.list_(pa.int64())] * 3, pa.binary()]
-            return pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(values.values(), kinds, strict=True)], list(values))
-
+        book = Codebook(np.frombuffer(lengths, np.uint8))
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                some = batch.slice(at, 256)
-                for doc, ids in zip(some.column("doc_id").to_pylist(), encoder(vocabulary, True).encode(some.column("text").to_pylist()), strict=True):
-                    held.append((doc, ids + end))
-                    size += len(ids) // 4 + 1
-                    if size >= SHARD_IDS:
-                        yield row()
-                        shard, before, held, size = shard + 1, before + size, [], 0
-        if held:
-            yield row()
+            for k in range(batch.num_rows):
+                one = batch.slice(k, 1)
+                raw, n = one.column("ids")[0].as_py(), one.column("n_ids")[0].as_py()
+                payload, marks = book.encode(np.frombuffer(raw, f"<u{len(raw) // max(n, 1)}" if n else "<u4"))
+                yield pa.RecordBatch.from_arrays([*(one.column(c) for c in names[:6]), pa.array([marks], pa.list_(pa.int64())), pa.array([payload], pa.binary())], names)
 
-    docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(run, SHARDS).write.parquet(f"{path}/shards")
+    plain.drop("seen", "times").mapInArrow(run, SHARDS).write.option("compression", "uncompressed").parquet(f"{path}/shards")
 
 
 def read_tokens(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:

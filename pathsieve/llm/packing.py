@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import cut, own_columns
+from pathsieve.llm.shared import cut, own_columns, text_slices
 from pathsieve.llm.tokens import encoder
 
 CAPACITY, END_ID, SALTS = 4096, 1, 1024
@@ -35,7 +35,7 @@ def pieces(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int = END_ID,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         end = np.array([end_id], "<u4").tobytes()
-        for batch in batches:
+        for batch in (part for whole in batches for part in text_slices(whole, "text")):
             out = defaultdict(list)
             texts = encoder(vocabulary, False).encode(batch.column("text").to_pylist())
             for doc, ids in zip(batch.column("doc_id").to_pylist(), texts, strict=True):

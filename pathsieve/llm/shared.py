@@ -4,7 +4,11 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,3 +52,12 @@ def sha256_hex(text: Column) -> Column:
 def own_columns(df: DataFrame, *names: str) -> DataFrame:
     """Only the named columns: whatever else a table brings can't clash with an operator's own columns."""
     return df.select(*[F.col(f"`{n}`") for n in names])
+
+
+def text_slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
+    """The batch in slices of about `most` bytes of text, one row at least: what Python holds at a time doesn't depend on the batch."""
+    sizes = np.nan_to_num(pc.binary_length(batch.column(column)).to_numpy(zero_copy_only=False).astype(float))
+    group = (np.cumsum(sizes) - sizes) // most
+    edges = [*np.flatnonzero(np.diff(group, prepend=-1)), batch.num_rows]
+    for a, b in zip(edges, edges[1:], strict=False):
+        yield batch.slice(a, b - a)

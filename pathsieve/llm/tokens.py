@@ -1,30 +1,36 @@
 """Token ids of whole texts, by the tokenizers library, with a bounded cache of chunks.
 
-Both vocabularies in use split a text at white space before they merge characters, so
-that the ids of a text are those of its space-separated chunks in a row. `ChunkEncoder`
-cuts only where that is certain, encodes each distinct chunk once in a while, and hands
-every other text to the tokenizer as a whole.
+Both vocabularies in use split a text into words, runs of signs and white space before
+they merge characters, so that the ids of a text are those of its chunks in a row.
+`ChunkEncoder` cuts only where such a split is certain, encodes each distinct chunk once
+in a while, and hands every other text to the tokenizer as a whole.
 """
 
 from __future__ import annotations
 
 import os
 import re
+from array import array
 from collections.abc import Iterable
 from functools import cache
+from itertools import pairwise
 
 import numpy as np
 
-#: Distinct chunks that a worker remembers; it forgets all of them beyond that.
-MOST_CHUNKS, LONGEST_CHUNK = 300_000, 48
-_TWO_SPACES = re.compile(r"\s\s")
+#: Distinct chunks that a worker remembers (about 200 bytes each); it forgets all of them beyond that.
+MOST_CHUNKS, LONGEST_CHUNK = 1_000_000, 48
+#: A chunk that starts so has no space before it.
+BARE = b"\x00"
+#: Where a chunk can't be cut off with certainty: white space in a row or the mark itself.
+_UNSURE = re.compile(r"\s\s|\x00")
+_ODD_STOP = re.compile(rb"[^A-Za-z][.,](?=[ \n])")
 
 
 class ChunkEncoder:
     """bytes of little-endian unsigned 32-bit ids for each text.
 
     spaced: a chunk keeps the space before it (byte-level vocabularies); else white space
-    is dropped and chunks stand alone (word-end vocabularies).
+    is dropped, case too, and chunks stand alone (word-end vocabularies).
     """
 
     def __init__(self, path: str, spaced: bool) -> None:
@@ -33,34 +39,66 @@ class ChunkEncoder:
 
         self.model, self.spaced = Tokenizer.from_file(path), spaced
         self.model.encode_special_tokens = True
-        self.known: dict[str, bytes] = {}
+        self.known: dict[bytes, bytes] = {}
+        vocabulary = self.model.get_vocab()
+        #: Ids that start (spaced) or end a word of letters.
+        self.edge = np.zeros(max(vocabulary.values()) + 1, bool)
+        for token, k in vocabulary.items():
+            self.edge[k] = token.startswith("\u0120") if spaced else token.endswith("</w>")
 
     def _plain(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def _chunks(self, text: str) -> list[str] | None:
+        return [array("I", e.ids).tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _words(self, words: list[bytes]) -> list[bytes]:
+        """Words of ASCII letters: many in one call, cut at the ids that start or end a word."""
+        out: list[bytes] = []
+        for at in range(0, len(words), 2000):
+            some = words[at : at + 2000]
+            ids = np.array(self.model.encode_batch_fast([(" " * self.spaced + b" ".join(some).decode())], add_special_tokens=False)[0].ids, "<u4")
+            edges = np.flatnonzero(self.edge[ids]) + (not self.spaced)
+            bounds = [*edges.tolist(), len(ids)] if self.spaced else [0, *edges.tolist()]
+            if len(bounds) != len(some) + 1:
+                out += self._plain([" " * self.spaced + w.decode() for w in some])
+                continue
+            raw = ids.tobytes()
+            out += [raw[4 * a : 4 * b] for a, b in pairwise(bounds)]
+        return out
+
+    def _chunks(self, text: str) -> list[bytes] | None:
+        raw = text.encode()
         if self.spaced:
-            return None if _TWO_SPACES.search(text) else text.replace("\n", " \n").split(" ")
-        return text.replace("\n", " ").split(" ")
+            if _UNSURE.search(text):
+                return None
+            if not _ODD_STOP.search(raw):
+                raw = raw.replace(b", ", b" \x00, ").replace(b". ", b" \x00. ").replace(b".\n", b" \x00.\n")
+            return (BARE + raw.replace(b"\n", b" \x00\n \x00")).split(b" ")
+        raw = raw.lower()  # A-Z alone; the tokenizer lowers the rest
+        if not _ODD_STOP.search(raw):
+            raw = raw.replace(b", ", b" , ").replace(b". ", b" . ").replace(b".\n", b" . ")
+        return raw.replace(b"\n", b" ").split(b" ")
 
     def encode(self, texts: Iterable[str | None]) -> list[bytes]:
         """Null counts as empty."""
-        cut = [(t or "", self._chunks(t or "")) for t in texts]
-        wanted: set[str] = set()
-        for _, chunks in cut:
-            wanted.update(chunks[1:] if self.spaced else chunks) if chunks else None
+        held = [t or "" for t in texts]
+        cut = [self._chunks(t) for t in held]
+        wanted: set[bytes] = set()
+        for chunks in cut:
+            if chunks:
+                wanted.update(chunks)
         if len(self.known) > MOST_CHUNKS:
             self.known = {}
-        new = [c for c in wanted if c not in self.known]
-        shown = [c if c[:1] == "\n" else f" {c}" for c in new] if self.spaced else new
-        fresh = dict(zip(new, self._plain(shown), strict=True))
-        self.known.update(x for x in fresh.items() if len(x[0]) <= LONGEST_CHUNK)
-        long = {c: b for c, b in fresh.items() if len(c) > LONGEST_CHUNK}
-        get = self.known.__getitem__ if not long else lambda c: long[c] if c in long else self.known[c]
-        if not self.spaced:
-            return [b"".join(map(get, chunks)) for _, chunks in cut]
-        heads = iter(self._plain([text if chunks is None else chunks[0] for text, chunks in cut]))
-        return [next(heads) + (b"".join(map(get, chunks[1:])) if chunks else b"") for _, chunks in cut]
+        known = self.known
+        new = [c for c in wanted if c not in known]
+        words = [c for c in new if c.isalpha()]
+        known.update(zip(words, self._words(words), strict=True))
+        rest = [c for c in new if not c.isalpha()]
+        shown = [(c[1:] if c[:1] == BARE else b" " + c if self.spaced else c).decode() for c in rest]
+        known.update(zip(rest, self._plain(shown), strict=True))
+        whole = iter(self._plain([t for t, chunks in zip(held, cut, strict=True) if chunks is None]))
+        out = [next(whole) if chunks is None else b"".join(map(known.__getitem__, chunks)) for chunks in cut]
+        for c in [c for c in new if len(c) > LONGEST_CHUNK]:
+            del known[c]
+        return out
 
 
 @cache
