@@ -17,13 +17,18 @@ from itertools import pairwise
 
 import numpy as np
 
-#: Distinct chunks that a worker remembers (about 200 bytes each); it forgets all of them beyond that.
-MOST_CHUNKS, LONGEST_CHUNK = 1_000_000, 48
+#: Distinct chunks of one generation (about 200 bytes each); a worker remembers two, and forgets the older one beyond that.
+MOST_CHUNKS, LONGEST_CHUNK = 700_000, 48
 #: A chunk that starts so has no space before it.
 BARE = b"\x00"
 #: Where a chunk can't be cut off with certainty: white space in a row or the mark itself.
 _UNSURE = re.compile(r"\s\s|\x00")
-_ODD_STOP = re.compile(rb"[^A-Za-z][.,](?=[ \n])")
+_ODD_STOP = re.compile("[^A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f][.,](?=[ \\n])")
+
+
+def _is_word(chunk: bytes) -> bool:
+    """Latin letters only."""
+    return chunk.isalpha() or (bool(chunk) and (text := chunk.decode()).isalpha() and max(text) < "\u0250")
 
 
 class ChunkEncoder:
@@ -40,6 +45,7 @@ class ChunkEncoder:
         self.model, self.spaced = Tokenizer.from_file(path), spaced
         self.model.encode_special_tokens = True
         self.known: dict[bytes, bytes] = {}
+        self.older: dict[bytes, bytes] = {}
         vocabulary = self.model.get_vocab()
         #: Ids that start (spaced) or end a word of letters.
         self.edge = np.zeros(max(vocabulary.values()) + 1, bool)
@@ -50,7 +56,7 @@ class ChunkEncoder:
         return [array("I", e.ids).tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _words(self, words: list[bytes]) -> list[bytes]:
-        """Words of ASCII letters: many in one call, cut at the ids that start or end a word."""
+        """Words of letters: many in one call, cut at the ids that start or end a word."""
         out: list[bytes] = []
         for at in range(0, len(words), 2000):
             some = words[at : at + 2000]
@@ -69,11 +75,11 @@ class ChunkEncoder:
         if self.spaced:
             if _UNSURE.search(text):
                 return None
-            if not _ODD_STOP.search(raw):
+            if not _ODD_STOP.search(text):
                 raw = raw.replace(b", ", b" \x00, ").replace(b". ", b" \x00. ").replace(b".\n", b" \x00.\n")
             return (BARE + raw.replace(b"\n", b" \x00\n \x00")).split(b" ")
         raw = raw.lower()  # A-Z alone; the tokenizer lowers the rest
-        if not _ODD_STOP.search(raw):
+        if not _ODD_STOP.search(text):
             raw = raw.replace(b", ", b" , ").replace(b". ", b" . ").replace(b".\n", b" . ")
         return raw.replace(b"\n", b" ").split(b" ")
 
@@ -86,12 +92,15 @@ class ChunkEncoder:
             if chunks:
                 wanted.update(chunks)
         if len(self.known) > MOST_CHUNKS:
-            self.known = {}
-        known = self.known
+            self.known, self.older = {}, self.known
+        known, older = self.known, self.older
         new = [c for c in wanted if c not in known]
-        words = [c for c in new if c.isalpha()]
+        known.update((c, older[c]) for c in new if c in older)
+        new = [c for c in new if c not in older]
+        words, rest = [], []
+        for c in new:
+            (words if _is_word(c) else rest).append(c)
         known.update(zip(words, self._words(words), strict=True))
-        rest = [c for c in new if not c.isalpha()]
         shown = [(c[1:] if c[:1] == BARE else b" " + c if self.spaced else c).decode() for c in rest]
         known.update(zip(rest, self._plain(shown), strict=True))
         whole = iter(self._plain([t for t, chunks in zip(held, cut, strict=True) if chunks is None]))
