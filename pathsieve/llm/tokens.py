@@ -16,6 +16,8 @@ from functools import cache
 from itertools import pairwise
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: Distinct chunks of one generation (about 200 bytes each); a worker remembers two, and forgets the older one beyond that.
 MOST_CHUNKS, LONGEST_CHUNK = 700_000, 48
@@ -70,45 +72,56 @@ class ChunkEncoder:
             out += [raw[4 * a : 4 * b] for a, b in pairwise(bounds)]
         return out
 
-    def _chunks(self, text: str) -> list[bytes] | None:
+    def _marked(self, text: str) -> bytes | None:
+        """The text with a space wherever a chunk ends."""
         raw = text.encode()
         if self.spaced:
             if _UNSURE.search(text):
                 return None
             if not _ODD_STOP.search(text):
                 raw = raw.replace(b", ", b" \x00, ").replace(b". ", b" \x00. ").replace(b".\n", b" \x00.\n")
-            return (BARE + raw.replace(b"\n", b" \x00\n \x00")).split(b" ")
+            return BARE + raw.replace(b"\n", b" \x00\n \x00")
         raw = raw.lower()  # A-Z alone; the tokenizer lowers the rest
         if not _ODD_STOP.search(text):
             raw = raw.replace(b", ", b" , ").replace(b". ", b" . ").replace(b".\n", b" . ")
-        return raw.replace(b"\n", b" ").split(b" ")
+        return raw.replace(b"\n", b" ")
 
-    def encode(self, texts: Iterable[str | None]) -> list[bytes]:
-        """Null counts as empty."""
-        held = [t or "" for t in texts]
-        cut = [self._chunks(t) for t in held]
-        wanted: set[bytes] = set()
-        for chunks in cut:
-            if chunks:
-                wanted.update(chunks)
+    def _look_up(self, chunks: list[bytes]) -> list[bytes]:
+        """Ids of distinct chunks."""
         if len(self.known) > MOST_CHUNKS:
             self.known, self.older = {}, self.known
         known, older = self.known, self.older
-        new = [c for c in wanted if c not in known]
-        known.update((c, older[c]) for c in new if c in older)
-        new = [c for c in new if c not in older]
+        out = list(map(known.get, chunks))
         words, rest = [], []
-        for c in new:
-            (words if _is_word(c) else rest).append(c)
-        known.update(zip(words, self._words(words), strict=True))
-        shown = [(c[1:] if c[:1] == BARE else b" " + c if self.spaced else c).decode() for c in rest]
-        known.update(zip(rest, self._plain(shown), strict=True))
-        whole = iter(self._plain([t for t, chunks in zip(held, cut, strict=True) if chunks is None]))
-        out = [next(whole) if chunks is None else b"".join(map(known.__getitem__, chunks)) for chunks in cut]
-        for c in [c for c in new if len(c) > LONGEST_CHUNK]:
-            del known[c]
+        for k, c in enumerate(chunks):
+            if out[k] is None:
+                found = older.get(c)
+                if found is not None:
+                    out[k] = known[c] = found
+                else:
+                    (words if _is_word(c) else rest).append(k)
+        shown = [(c[1:] if c[:1] == BARE else b" " + c if self.spaced else c).decode() for c in (chunks[k] for k in rest)]
+        for at, ids in ((words, self._words([chunks[k] for k in words])), (rest, self._plain(shown))):
+            for k, x in zip(at, ids, strict=True):
+                out[k] = x
+                if len(chunks[k]) <= LONGEST_CHUNK:
+                    known[chunks[k]] = x
         return out
 
+    def encode(self, texts: Iterable[str | None]) -> list[bytes]:
+        """Null counts as empty."""
+        held = [t or "" for t in texts]
+        marked = [self._marked(t) for t in held]
+        whole = iter(self._plain([t for t, m in zip(held, marked, strict=True) if m is None]))
+        lists = pc.split_pattern(pa.array([m for m in marked if m is not None], pa.large_binary()), b" ")
+        each = lists.values.dictionary_encode()
+        ids = pa.array(self._look_up(each.dictionary.to_pylist()), pa.large_binary()).take(each.indices)
+        if not len(ids):
+            return list(whole)
+        starts, raw = np.frombuffer(ids.buffers()[1], np.int64)[lists.offsets.to_numpy()].tolist(), memoryview(ids.buffers()[2] or b"")
+        joined = iter([bytes(raw[a:b]) for a, b in pairwise(starts)])
+        return [next(whole) if m is None else next(joined) for m in marked]
+
 
 @cache
 def encoder(name: str, spaced: bool) -> ChunkEncoder:
