@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import own_columns, sha256_hex
-from pathsieve.llm.words import words
+from pathsieve.llm.words import words_for_ascii
 
 BITS, RADIUS, ROWS_A_BLOCK, MOST_BLOCKS = 128, 3, 500, 1 << 16
 _LANES = (1 << 32) + 1
@@ -27,7 +27,7 @@ _LANES = (1 << 32) + 1
 
 def terms(text: Column) -> Column:
     """Array of (a, b): neighbouring words; b is null in the only word of a text."""
-    w = words(text)
+    w = words_for_ascii(text)  # all letters lower-cased
     pairs = F.arrays_zip(w.alias("a"), F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))).alias("b"))
     return F.slice(pairs, 1, F.greatest(F.size(w) - 1, F.least(F.size(w), F.lit(1))))
 

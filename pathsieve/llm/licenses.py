@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import cut, own_columns
-from pathsieve.llm.words import words
+from pathsieve.llm.words import words, words_for_ascii
 
 THRESHOLD = 0.9
 
@@ -50,6 +50,11 @@ def keyed(docs: DataFrame) -> DataFrame:
     return own_columns(docs, "doc_id", "text").withColumn("key", F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.hex(F.xxhash64(F.coalesce("text", F.lit(""))))))
 
 
+def words_against(text: Column, sought: list[str]) -> Column:
+    """Words of the text, exact as far as it matters for the words sought."""
+    return words_for_ascii(text) if all(w.isascii() for w in sought) else words(text)
+
+
 def template_sets(spark, templates: dict[str, str]) -> DataFrame:
     """(label, terms): distinct words."""
     rows = spark.createDataFrame(sorted(templates.items()), "label string, text string")
@@ -65,7 +70,7 @@ def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thres
     vocabulary = sorted({w for terms in sets.values() for w in terms})
     needs = {label: max(1, math.ceil(threshold * len(terms) - 1e-9)) for label, terms in sets.items()}
     blocks = docs.select("key", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line"))
-    held = blocks.select("key", "block", F.array_intersect(words(F.col("line")), F.array(*map(F.lit, vocabulary))).alias("held"))
+    held = blocks.select("key", "block", F.array_intersect(words_against(F.col("line"), vocabulary), F.array(*map(F.lit, vocabulary))).alias("held"))
     order = {r["term"]: r["n"] for r in held.select(F.explode("held").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
     rank = {w: k for k, w in enumerate(sorted(vocabulary, key=lambda w: (order.get(w, 0), w)))}
     prefixes = []
@@ -103,7 +108,7 @@ def scan(docs: DataFrame, phrases: dict[str, str] = PHRASES, templates: dict[str
     """
     docs = keyed(docs)
     similar = cut(similar_blocks(docs, templates, threshold).groupBy("key").agg(F.collect_set("label").alias("similar"), F.max("containment").alias("containment")))
-    w = docs.select("doc_id", "key", words(F.col("text")).alias("w"))
+    w = docs.select("doc_id", "key", words_against(F.col("text"), list(phrases)).alias("w"))
     base = w.select("doc_id", "key", F.size("w").cast("long").alias("n_words"), *[phrase_starts(F.col("w"), p).alias(f"at{k}") for k, p in enumerate(phrases)])
     places = F.concat(*[F.col(f"at{k}") for k in range(len(phrases))])
     labels = F.filter(F.array(*[F.when(F.size(f"at{k}") > 0, F.lit(label)) for k, label in enumerate(phrases.values())]), lambda x: x.isNotNull())

@@ -1,4 +1,10 @@
-"""Words of a text, as SQL expressions that stay in the JVM."""
+"""Words of a text, as SQL expressions that stay in the JVM.
+
+Lower-casing A-Z alone is slow over whole texts (translate looks up every character), so
+there are three ways: `words` is exact on any text; `words_as_written` leaves the case,
+and `lower_word` is then put on single words; `words_for_ascii` lowers all letters, which
+gives the same result for whoever looks for words of ASCII characters only.
+"""
 
 from __future__ import annotations
 
@@ -7,18 +13,35 @@ from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import lower_ascii
 
-#: ASCII signs and white space; every other character belongs to a word.
-SIGNS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: ASCII signs and white space; every other character belongs to a word (capitals as well, before they are lowered).
+SIGNS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+#: The one letter outside ASCII whose small letter is in ASCII.
+KELVIN = "K"
 
 
 def words(text: Column) -> Column:
-    """Array of the lower-cased words; of a null text none."""
-    parts = F.split(lower_ascii(F.coalesce(text, F.lit(""))), SIGNS)
-    return without_ends(parts)
+    """Array of the words, A-Z lower-cased; of a null text none."""
+    return _split(lower_ascii(F.coalesce(text, F.lit(""))))
+
+
+def words_as_written(text: Column) -> Column:
+    """Array of the words in their case."""
+    return _split(F.coalesce(text, F.lit("")))
+
+
+def words_for_ascii(text: Column) -> Column:
+    """Array of the words; those of ASCII characters as words() has them, and no others are in ASCII."""
+    return _split(F.lower(F.replace(F.coalesce(text, F.lit("")), F.lit(KELVIN), F.lit("�"))))
+
+
+def lower_word(word: Column) -> Column:
+    """A-Z to a-z in one word."""
+    return F.when(F.octet_length(word) == F.char_length(word), F.lower(word)).otherwise(lower_ascii(word))
 
 
-def without_ends(parts: Column) -> Column:
-    """Drops the empty strings that split() leaves before a leading and after a trailing sign."""
+def _split(text: Column) -> Column:
+    """Without the empty strings that split() leaves before a leading and after a trailing sign."""
+    parts = F.split(text, SIGNS)
     head = F.when(F.element_at(parts, 1) == "", 1).otherwise(0)
     tail = F.when(F.element_at(parts, -1) == "", 1).otherwise(0)
     return F.slice(parts, 1 + head, F.greatest(F.size(parts) - head - tail, F.lit(0)))
