@@ -1,7 +1,7 @@
 """License scans: an exact set-similarity join of text blocks with license templates.
 
 A block is a line. A template is found in a block that holds at least `threshold` of its
-distinct words. The join is exact: words are ordered by their counts over all blocks,
+distinct words. The join is exact: words are ordered by the number of documents that hold them,
 rarest first; of each template only the prefix is indexed, which every block that meets
 the threshold must touch; blocks with fewer template words than any template asks for
 are left out first (length filter), and a touched word's place in both orders bounds the
@@ -69,14 +69,16 @@ def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thres
         return docs.select("key", F.lit(0).alias("block"), F.lit("").alias("label"), F.lit(0.0).alias("containment")).limit(0)
     vocabulary = sorted({w for terms in sets.values() for w in terms})
     needs = {label: max(1, math.ceil(threshold * len(terms) - 1e-9)) for label, terms in sets.items()}
-    blocks = docs.select("key", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line"))
-    held = blocks.select("key", "block", F.array_intersect(words_against(F.col("line"), vocabulary), F.array(*map(F.lit, vocabulary))).alias("held"))
-    order = {r["term"]: r["n"] for r in held.select(F.explode("held").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
+    several = docs.select(F.array_intersect(words_against(F.col("text"), vocabulary), F.array(*map(F.lit, vocabulary))).alias("held"))
+    order = {r["term"]: r["n"] for r in several.select(F.explode("held").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
     rank = {w: k for k, w in enumerate(sorted(vocabulary, key=lambda w: (order.get(w, 0), w)))}
     prefixes = []
     for label, terms in sets.items():
         ordered = sorted(terms, key=rank.__getitem__)
         prefixes += [(w, label, k, len(terms), needs[label]) for k, w in enumerate(ordered[: len(terms) - needs[label] + 1])]
+    blocks = docs.select("key", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
+    touching = blocks.where(F.arrays_overlap("w", F.array(*[F.lit(w) for w in sorted({p[0] for p in prefixes})])))  # prefix filter
+    held = touching.select("key", "block", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("held"))
     index = spark.createDataFrame(prefixes, "term string, label string, template_place int, template_size int, need int")
     ranks = spark.createDataFrame(list(rank.items()), "term string, rank int")
     full = spark.createDataFrame(list(sets.items()), "label string, terms array<string>")
