@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pathsieve.llm.shared import own_columns, text_slices
 
 #: Hashed n-grams; sizes of n-grams; labelled texts of a language in the sample, at most; landmarks; ridge.
-DIMENSIONS, SIZES, SAMPLE, LANDMARKS, RIDGE = 1 << 15, (1, 2, 3, 4), 1000, 400, 1e-3
+DIMENSIONS, SIZES, SAMPLE, LANDMARKS, RIDGE = 1 << 15, (1, 2, 3, 4), 500, 256, 1e-3
 UNKNOWN = "und"
 _LETTER = re.compile(r"[^\W\d_]")
 _PAD = b" " * max(SIZES)
@@ -62,8 +62,13 @@ class Model:
         return np.concatenate(parts)
 
 
-def train(seen: np.ndarray, labels: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE) -> Model:
-    """seen: presence rows. The first rows of each language in turn are the landmarks."""
+def _unit(packed: np.ndarray) -> np.ndarray:
+    seen = np.unpackbits(packed, axis=1)
+    return seen.astype(np.float32) / np.sqrt(np.maximum(seen.sum(1, dtype=np.int64), 1))[:, None].astype(np.float32)
+
+
+def train(packed: np.ndarray, labels: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE) -> Model:
+    """packed: presence rows as bits. The first rows of each language in turn are the landmarks."""
     languages = sorted(set(labels))
     if not languages:
         return Model([], np.zeros((DIMENSIONS, 0), np.float32), np.zeros(0, np.float32))
@@ -71,13 +76,11 @@ def train(seen: np.ndarray, labels: list[str], landmarks: int = LANDMARKS, ridge
     turn = np.zeros(len(y), np.int64)
     for k in range(len(languages)):
         turn[y == k] = np.arange((y == k).sum())
-    chosen = np.argsort(turn, kind="stable")[:landmarks]
-    unit = seen.astype(np.float32) / np.sqrt(np.maximum(seen.sum(1, dtype=np.int64), 1))[:, None].astype(np.float32)
-    marks = unit[chosen]
+    marks = _unit(packed[np.argsort(turn, kind="stable")[:landmarks]])
     values, vectors = np.linalg.eigh((marks @ marks.T).astype(np.float64))
     kept = values > 1e-6 * values.max()
     root = vectors[:, kept] / np.sqrt(values[kept])
-    features = (unit @ marks.T).astype(np.float64) @ root
+    features = np.concatenate([(_unit(packed[at : at + _ROWS]) @ marks.T).astype(np.float64) @ root for at in range(0, len(y), _ROWS)])
     features = np.c_[features, np.ones(len(features))]
     weight = (len(y) / np.bincount(y))[y]  # each language counts alike
     targets = np.where(y[:, None] == np.arange(len(languages)), 1.0, -1.0)
@@ -96,7 +99,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> Model:
     rows = own_columns(docs, "doc_id", "text", "lang").where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
     counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each language
     if not counts:
-        return train(np.zeros((0, DIMENSIONS), np.uint8), [])
+        return train(np.zeros((0, DIMENSIONS // 8), np.uint8), [])
     at = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40))
     share = F.lit(0.0)
     for lang, n in counts.items():
@@ -116,8 +119,8 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> Model:
         if taken[r["lang"]] < sample:
             taken[r["lang"]] += 1
             chosen.append(r)
-    seen = np.stack([np.unpackbits(np.frombuffer(r["bits"], np.uint8)) for r in chosen]) if chosen else np.zeros((0, DIMENSIONS), np.uint8)
-    return train(seen, [r["lang"] for r in chosen])
+    packed = np.stack([np.frombuffer(r["bits"], np.uint8) for r in chosen]) if chosen else np.zeros((0, DIMENSIONS // 8), np.uint8)
+    return train(packed, [r["lang"] for r in chosen])
 
 
 def predict(docs: DataFrame, model: Model, columns: list[str] | None = None) -> DataFrame:
