@@ -62,17 +62,17 @@ def candidates(index: DataFrame, chosen: DataFrame, few: bool) -> DataFrame:
 
 
 def exact_hits(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
-    """Each row of docs as (doc_id, n_words, hits): hits is an array of (start, stop, items), empty for most."""
+    """Each row of docs as (doc_id, key, n_words, hits): hits is an array of (start, stop, items), empty for most."""
     docs = keyed(docs)
     found = cut(windows(benchmark, size))
     few = found.count() <= SMALL
     chosen = cut(anchors(docs, found, few))
     at = candidates(postings(docs, chosen, few), chosen, few).join(_perhaps_broadcast(found, few), "window_id")
     at = at.groupBy("key").agg(F.collect_list(F.struct("start", "words", "items")).alias("maybe"))
-    joined = docs.join(at, "key", "left").select("doc_id", words_as_written(F.col("text")).alias("w"), "maybe")
+    joined = docs.join(at, "key", "left").select("doc_id", "key", words_as_written(F.col("text")).alias("w"), "maybe")
     real = F.filter("maybe", lambda c: F.transform(F.slice("w", c["start"] + 1, F.size(c["words"])), lower_word) == c["words"])
     hits = F.transform(real, lambda c: F.struct(c["start"].alias("start"), (c["start"] + F.size(c["words"])).alias("stop"), c["items"].alias("items")))
-    return joined.select("doc_id", F.size("w").cast("long").alias("n_words"), F.when(F.col("maybe").isNotNull(), hits).alias("hits"))
+    return joined.select("doc_id", "key", F.size("w").cast("long").alias("n_words"), F.when(F.col("maybe").isNotNull(), hits).alias("hits"))
 
 
 def covered(hits: Column) -> Column:
@@ -94,6 +94,13 @@ def contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) ->
     return rows.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), sha256_hex(F.array_join("items", ",")).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
+    """The rows of docs, all columns, that hold no window of the benchmark."""
+    hit = exact_hits(docs, benchmark, size).where(F.size("hits") > 0).select(F.col("key").alias("hit_key")).distinct()
+    key = F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.hex(F.xxhash64(F.coalesce("text", F.lit("")))))
+    return docs.join(hit, key == F.col("hit_key"), "left_anti")
+
+
 def proximity_matches(docs: DataFrame, phrases: DataFrame, distance: int) -> DataFrame:
     """(doc_id, item, first, last): places where the two rarest terms of an item stand at most `distance` words apart, in any order; an item of one term matches each place of it.
 

@@ -146,3 +146,10 @@ def predict(docs: DataFrame, model: Model, columns: list[str] | None = None) ->
 
     schema = type(rows.schema)([rows.schema[c] for c in keep]).add("lang_pred", "string").add("score", "double")
     return rows.mapInArrow(run, schema)
+
+
+def accepted(docs: DataFrame, model: Model, least_score: float) -> DataFrame:
+    """The rows of docs, all columns, whose text has a language: letters, and a score of `least_score` at least."""
+    columns = docs.columns
+    found = predict(docs, model, columns)
+    return found.where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least_score)).select(*[F.col(f"`{c}`") for c in columns])

@@ -137,3 +137,21 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     roots = classes.groupBy("component").agg(F.min("least").alias("component_id"))
     classes = classes.join(roots, "component").join(ends, "fingerprint", "left").select("fingerprint", "component_id", F.coalesce("links", F.lit(0)).alias("links"))
     return prints.join(classes, "fingerprint").select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id", "links")
+
+
+def one_of_each(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """The rows of docs, all columns, without near-duplicates: of each component the row of its component_id stays.
+
+    Of repeated rows of that id one stays. Rows without an id stay, one for each text,
+    unless a document with an id is in their component.
+    """
+    found = cut(near_duplicates(docs, radius))
+    keep = found.where("doc_id = component_id").select("doc_id").distinct()
+    named = docs.where("doc_id IS NOT NULL").join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    alone = found.where("component_id IS NULL").select(F.col("fingerprint").alias("alone")).distinct()
+    unnamed = docs.where("doc_id IS NULL")
+    if alone.isEmpty():
+        return named
+    marked = fingerprints(unnamed, docs.columns)
+    stay = marked.join(alone, F.lower(F.lpad(F.hex("fingerprint"), 16, "0")) == F.col("alone"), "left_semi").dropDuplicates(["text"])
+    return named.unionByName(stay.select(docs.columns))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathsieve.llm import decontamination, fingerprints, html_text, huffman, language, licenses, near_dedup, packing, suffix_dedup
+from pathsieve.llm import decontamination, fingerprints, html_text, huffman, language, language_model, licenses, near_dedup, packing, suffix_dedup
 from pathsieve.llm.shared import fresh_path, table
 
 
@@ -47,6 +47,13 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents")).drop("kept_text")
 
 
+def op9_trie_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held_out = language_model.held_out(F.col("doc_id"))
+    model = language_model.train(docs.where(~held_out))
+    return language_model.score(docs, model).select("doc_id", held_out.alias("held_out"), "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score")
+
+
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(table(spark, sf_dir, "documents"))
 

@@ -301,3 +301,25 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(v, pa.string() if c[0] == "k" else pa.int64()) for c, v in out.items())], ["doc_id", *out])
 
     return repeats(docs).select("doc_id", "text", "runs").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string")
+
+
+def with_repeats_removed(docs: DataFrame) -> DataFrame:
+    """The rows of docs, all columns: text without its repeats, n_chars (where there is one) counted anew. Rows of which nothing is left go; rows without repeats stay as they are."""
+    columns = docs.columns
+    found = repeats(docs).where("runs IS NOT NULL").select("doc_id", "mark", "runs").dropDuplicates(["doc_id", "mark"])
+    schema = docs.schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in text_slices(whole, "text"):
+                texts = [t if runs is None else cut_out(t.encode(), runs)[0].decode(errors="ignore") for t, runs in zip(batch.column("text").to_pylist(), batch.column("runs").to_pylist(), strict=True)]
+                gone = [runs is not None and not t for t, runs in zip(texts, batch.column("runs").to_pylist(), strict=True)]
+                new = {"text": pa.array(texts, pa.string())}
+                if "n_chars" in columns:
+                    new["n_chars"] = pa.array([n if runs is None else len(t) for n, t, runs in zip(batch.column("n_chars").to_pylist(), texts, batch.column("runs").to_pylist(), strict=True)], batch.schema.field("n_chars").type)
+                out = pa.RecordBatch.from_arrays([new.get(c, batch.column(c)) for c in columns], columns)
+                yield out.filter(pa.array([not g for g in gone]))
+
+    marked = docs.withColumn("mark_of_row", F.hash(F.coalesce("text", F.lit(""))))
+    joined = marked.join(found.withColumnsRenamed({"doc_id": "id_of_row", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("id_of_row")) & (F.col("mark_of_row") == F.col("m")), "left")
+    return joined.select(*[F.col(f"`{c}`") for c in columns], "runs").mapInArrow(run, schema)
