@@ -23,7 +23,6 @@ from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
 def replay(p: PathPlan, hops: Column) -> Column:
     """Whether the aggregate admits a finished list of hops (structs of e_*, w_*, q, to_state), and accepts it: a fold over the list."""
     slots = p.aggregate.slots
-    start = F.struct(F.lit(True).alias("ok"), F.lit(0).alias("len"), *[F.expr(f"CAST({'array(-1L)' if s.name == 'seen' else s.seed} AS {s.dtype})").alias(s.name) for s in slots])
     fields = [f"e_{c}" for c in p.edge_columns] + [f"w_{c}" for c in p.vertex_columns] + ["q", "to_state"]
     checks = [p.check_text(c) for c in p.aggregate.admit]
 
@@ -38,7 +37,6 @@ def replay(p: PathPlan, hops: Column) -> Column:
     body = ", ".join([f"'ok', {ok}", "'len', acc.len + 1", *[f"'{s.name}', CAST({put(t)} AS {s.dtype})" for s, t in zip(slots, p.advance().values(), strict=True)]])
     final = " AND ".join(["acc.ok", *[f"coalesce(({put(c)}), false)" for c in p.aggregate.accept]])
     seed = ", ".join(["'ok', true", "'len', 0", *[f"'{s.name}', CAST({s.seed} AS {s.dtype})" for s in slots]])
-    del start
     return F.expr(f"aggregate(hops, named_struct({seed}), (acc, hop) -> named_struct({body}), acc -> {final})")
 
 
@@ -126,7 +124,7 @@ def reattach_postfilter(query: GuardedPathQuery) -> DataFrame:
     from pathsieve.plans.aggregate import Slot
 
     states = PruningAggregate((Slot("states", "ARRAY<STRUCT<q: INT, to_state: INT>>", "CAST(array() AS ARRAY<STRUCT<q: INT, to_state: INT>>)"),), {"states": "array_append(s_states, named_struct('q', q, 'to_state', to_state))"})
-    bare = replace(bare, aggregate=bare.aggregate & states)
+    bare = replace(bare, aggregate=bare.aggregate & states, nfa=full.nfa)
     out = None
     for level in list(native.frontiers(bare))[1:]:
         out = level if out is None else out.unionByName(level)
@@ -151,8 +149,6 @@ def split_regex_join(query: GuardedPathQuery, printed_bounds: bool = False) -> D
     parts = segments(tree)
     whole = plan(query.vary(rewrites=frozenset()))
     walking, _ = _collecting(query, False)
-    names = sorted(whole.nfa.states)
-    del names
     least = 0 if printed_bounds else 1
     most = query.max_len if printed_bounds else query.max_len - (len(parts) - 1)
     found = None

@@ -19,7 +19,7 @@ _LEX = re.compile(r"\s*(?:'([^']*)'|(\[\^[^\]]*\])|([A-Za-z_0-9\-]+):|([A-Za-z_0
 
 @dataclass(frozen=True)
 class Ast:
-    """kind: symbol (labels, negated), empty, cat, alt, star."""
+    """kind: symbol (labels, negated), empty, cat, alt, star, plus."""
 
     kind: str
     parts: tuple[Ast, ...] = ()
@@ -43,6 +43,8 @@ def _tagged(node: Ast, tag: str) -> Ast:
 
 
 def _repeated(node: Ast, low: int, high: int | None) -> Ast:
+    if (low, high) == (1, None):
+        return Ast("plus", (node,))
     tail = [Ast("star", (node,))] if high is None else []
     for _ in range((high or low) - low):
         tail = [Ast("alt", (EMPTY, cat([node, *tail])))]
@@ -176,8 +178,10 @@ def thompson(node: Ast, alphabet: Iterable[str] = ()) -> tuple[list[tuple[int, i
             for p in n.parts:
                 c, d = build(p)
                 moves.extend([(a, c, None), (d, b, None)])
+                if n.kind in ("star", "plus"):
+                    moves.append((d, c, None))
                 if n.kind == "star":
-                    moves.extend([(a, b, None), (d, c, None)])
+                    moves.append((a, b, None))
         return a, b
 
     start, end = build(node)
@@ -225,11 +229,11 @@ def glushkov(node: Ast, alphabet: Iterable[str] = ()) -> Nfa:
         found = [walk(p) for p in n.parts]
         if n.kind == "alt":
             return any(f[0] for f in found), set().union(*(f[1] for f in found)), set().union(*(f[2] for f in found))
-        if n.kind == "star":
-            _, first, last = found[0]
+        if n.kind in ("star", "plus"):
+            some, first, last = found[0]
             for p in last:
                 follow[p] |= first
-            return True, first, last
+            return some or n.kind == "star", first, last
         nullable, first, last = True, set(), set()
         for some, f, l in found:
             for p in last:
@@ -323,6 +327,17 @@ def minimize(nfa: Nfa) -> Nfa:
     return canonical(trim(merged))
 
 
+def automaton(text: str, alphabet: Iterable[str] = (), every_run: bool = False) -> Nfa:
+    """The automaton of an expression: deterministic and least where its tags allow, so that a path has one run; every_run: with all runs of its places."""
+    places = glushkov(parse_regex(text), alphabet)
+    if every_run:
+        return places
+    try:
+        return minimize(determinize(places))
+    except ValueError:  # tags would be mixed, or there would be too many states
+        return places
+
+
 def is_ambiguous(nfa: Nfa) -> bool:
     """Whether some accepted word has two runs: two different states reached by one word both go on to accept by one word."""
     step = defaultdict(set)

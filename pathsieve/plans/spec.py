@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pathsieve.functions.constraints import Acyclic, Trail
 from pathsieve.plans.aggregate import Check, PruningAggregate, compose
 from pathsieve.plans.graph import PropertyGraph
-from pathsieve.plans.regex import Nfa, glushkov, is_ambiguous, min_hops_to_accept, parse_regex
+from pathsieve.plans.regex import Nfa, automaton, is_ambiguous, min_hops_to_accept
 
 REWRITES = frozenset(["elide_trail", "hoist", "envelope", "remaining_hops", "targets"])
 
@@ -23,7 +23,7 @@ class GuardedPathQuery:
     sources: vertex ids, a DataFrame (v), or None for every vertex with out-edges.
     targets: where a path must end; via: vertices that it must pass between its ends.
     semantics: trail (no edge twice), acyclic (no vertex twice) or walk.
-    dedupe: several automaton runs of one path count once.
+    dedupe: several automaton runs of one path count once; else each counts.
     """
 
     graph: PropertyGraph
@@ -144,9 +144,8 @@ def plan(query: GuardedPathQuery, early: bool = True, with_ids: bool = False) ->
     """Resolves a query. early=False leaves the trail test out as well (walks)."""
     nfa = None
     if query.regex is not None:
-        tree = parse_regex(query.regex)
         needs = "[^" in query.regex or "." in query.regex
-        nfa = glushkov(tree, query.graph.labels() if needs else ())
+        nfa = automaton(query.regex, query.graph.labels() if needs else (), every_run=not query.dedupe)
     aggregate = query.constraint
     if query.semantics == "acyclic":
         aggregate = compose(aggregate, Acyclic())

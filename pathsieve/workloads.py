@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pathsieve.functions import constraints as C
 from pathsieve.plans.aggregate import PruningAggregate, compose
 from pathsieve.plans.graph import first_start
-from pathsieve.plans.regex import glushkov, parse_regex
+from pathsieve.plans.regex import Nfa, automaton
 from pathsieve.plans.spec import GuardedPathQuery
 from pathsieve.sources.encodings import EDGE_SQL, ENCODINGS, VERTEX_SQL
 
@@ -32,6 +32,7 @@ class Workload:
     semantics: str = "trail"
     targets: tuple[int, ...] | None = None
     via: tuple[int, ...] = ()
+    every_run: bool = False
 
     def query(self, spark: SparkSession, sf_dir: str, **changes: object) -> GuardedPathQuery:
         graph = ENCODINGS[self.encoding](spark, sf_dir)
@@ -44,10 +45,10 @@ class Workload:
         given = {"graph": graph, "constraint": self.constraint, "regex": self.regex, "sources": sources, "targets": self.targets, "via": self.via, "min_len": self.min_len, "max_len": self.max_len, "semantics": self.semantics}
         return GuardedPathQuery(**(given | changes))
 
-    def nfa(self):
+    def nfa(self) -> Nfa | None:
         if self.regex is None:
             return None
-        return glushkov(parse_regex(self.regex), ALPHABETS[self.encoding] if "." in self.regex or "[^" in self.regex else ())
+        return automaton(self.regex, ALPHABETS[self.encoding] if "." in self.regex or "[^" in self.regex else (), self.every_run)
 
     # -- the same by brute force, for DuckDB -----------------------------------------
 
