@@ -59,7 +59,7 @@ def token_counts(texts: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in text_slices(whole, "text", 1 << 23):
+            for batch in text_slices(whole, "text", 1 << 21):
                 index, _, words = _tokens(batch.column("text").to_pylist())
                 n = np.bincount(index, minlength=len(words))
                 used = np.flatnonzero(n)
@@ -90,7 +90,7 @@ def gram_counts(texts: DataFrame, own: list[bytes], order: int, bits: int) -> Da
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         place, total = {w: FIRST + k for k, w in enumerate(own)}, np.zeros(1 << bits * order, np.int64)
         for whole in batches:
-            for batch in text_slices(whole, "text"):
+            for batch in text_slices(whole, "text", 1 << 21):
                 index, owner, words = _tokens(batch.column("text").to_pylist())
                 keys, _ = _grams(index, owner, batch.num_rows, np.array([place.get(w, OTHER) for w in words], np.int64), order, bits)
                 found, n = np.unique(keys, return_counts=True)
@@ -168,7 +168,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
         within = np.where([w in classes for w in words], 0.0, model.within(n)) if len(words) else np.zeros(0)
         end_base = math.log10(model.texts + 1)
         for whole in batches:
-            for batch in text_slices(whole, "text"):
+            for batch in text_slices(whole, "text", 1 << 21):
                 index, owner, distinct = _tokens(batch.column("text").to_pylist())
                 at = np.array([place.get(w, -1) for w in distinct], np.int64)
                 kind = np.array([classes.get(w, OTHER) for w in distinct], np.int64)

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -54,10 +56,20 @@ def own_columns(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*[F.col(f"`{n}`") for n in names])
 
 
-def text_slices(batch: pa.RecordBatch, column: str, most: int = 1 << 22) -> Iterator[pa.RecordBatch]:
+@cache
+def _lean() -> Callable[[], object]:
+    """Has Arrow take memory from the C library, and gives the call by which that returns what is free: idle workers should hold little."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    return (lambda: trim(0)) if trim else (lambda: None)
+
+
+def text_slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
     """The batch in slices of about `most` bytes of text, one row at least: what Python holds at a time doesn't depend on the batch."""
+    trim = _lean()
     sizes = np.nan_to_num(pc.binary_length(batch.column(column)).to_numpy(zero_copy_only=False).astype(float))
     group = (np.cumsum(sizes) - sizes) // most
     edges = [*np.flatnonzero(np.diff(group, prepend=-1)), batch.num_rows]
     for a, b in zip(edges, edges[1:], strict=False):
         yield batch.slice(a, b - a)
+    trim()
