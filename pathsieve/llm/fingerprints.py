@@ -4,8 +4,9 @@ A term is a pair of neighbouring words (the word itself in a text of one); each
 occurrence votes once, so that a term weighs as often as it stands. Every term has a
 128-bit hash; a fingerprint bit is set where the votes for it outweigh those against.
 
-Votes are sums of longs that count two bits each in their halves: 64 plain sums make
-128 counters (of up to 2^31 terms a text), and the text is never shuffled by term.
+Votes are counted in lanes: a long holds eight counters of eight bits, so that 16 plain
+sums count all 128 bits over up to 127 terms of a text; those counts are then added up
+in lanes of 32 bits. The text is never shuffled by term.
 
 Fingerprints within a Hamming radius r agree on one of r + 1 blocks of their bits at
 least, so r + 1 tables, each led by another block, hold every such pair.
@@ -18,11 +19,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import own_columns, sha256_hex
+from pathsieve.llm.shared import cut, own_columns, sha256_hex
 from pathsieve.llm.words import words_for_ascii
 
 BITS, RADIUS, ROWS_A_BLOCK, MOST_BLOCKS = 128, 3, 500, 1 << 16
-_LANES = (1 << 32) + 1
+#: Terms that a lane of eight bits can count; the lowest bit of each of eight lanes; the low eight bits of both halves.
+_RUN, _OCTETS, _PAIR = 127, 0x0101010101010101, 0x000000FF000000FF
 
 
 def terms(text: Column) -> Column:
@@ -34,17 +36,19 @@ def terms(text: Column) -> Column:
 
 def fingerprints(texts: DataFrame, keys: list[str]) -> DataFrame:
     """(*keys, high, low) of texts (*keys, text). Rows of equal keys count as one text; a text without words, or null, has fingerprint 0."""
-    each = texts.select(*keys, F.explode_outer(terms(F.col("text"))).alias("t")).select(*keys, *[F.when(F.col("t").isNull(), F.lit(0)).otherwise(F.xxhash64(F.lit(k), "t.a", "t.b")).alias(f"h{k}") for k in (0, 1)], F.col("t").isNotNull().cast("long").alias("one"))
-    sums = [F.sum(F.shiftrightunsigned(f"h{k}", b).bitwiseAND(F.lit(_LANES))).alias(f"s{k}_{b}") for k in (0, 1) for b in range(32)]
-    votes = each.groupBy(*keys).agg(F.sum("one").alias("n"), *sums)
+    each = texts.select(*keys, F.posexplode_outer(terms(F.col("text"))).alias("at", "t")).select(*keys, F.coalesce(F.expr(f"at div {_RUN}"), F.lit(0)).alias("run"), F.when(F.col("t").isNull(), F.lit(0)).otherwise(F.xxhash64("t.a", "t.b")).alias("h0"), F.col("t").isNotNull().cast("long").alias("one"))
+    each = each.select("*", F.when(F.col("one") == 0, F.lit(0)).otherwise(F.xxhash64("h0")).alias("h1"))
+    octets = [F.sum(F.shiftrightunsigned(f"h{k}", b).bitwiseAND(F.lit(_OCTETS))).alias(f"o{k}_{b}") for k in (0, 1) for b in range(8)]
+    runs = each.groupBy(*keys, "run").agg(F.sum("one").alias("n"), *octets)
+    pairs = [F.sum(F.shiftrightunsigned(f"o{k}_{b}", 8 * j).bitwiseAND(F.lit(_PAIR))).alias(f"s{k}_{b + 8 * j}") for k in (0, 1) for b in range(8) for j in range(4)]
+    votes = runs.groupBy(*keys).agg(F.sum("n").alias("n"), *pairs)
 
     def half(k: int) -> Column:
-        out = F.lit(0).cast("long")
+        parts = []
         for b in range(32):
             low, high = F.col(f"s{k}_{b}").bitwiseAND(F.lit((1 << 32) - 1)), F.shiftrightunsigned(f"s{k}_{b}", 32)
-            for count, at in ((low, b), (high, b + 32)):
-                out = out.bitwiseOR(F.when(2 * count > F.col("n"), F.lit(1 << at if at < 63 else -(1 << 63))).otherwise(F.lit(0)))
-        return out
+            parts += [F.when(2 * count > F.col("n"), F.lit(1 << at if at < 63 else -(1 << 63))).otherwise(F.lit(0).cast("long")) for count, at in ((low, b), (high, b + 32))]
+        return sum(parts[1:], parts[0])  # of different bits
 
     return votes.select(*keys, half(0).alias("high"), half(1).alias("low"))
 
@@ -122,12 +126,12 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
     placed = in_order(docs)
     n, half = F.char_length("text"), F.expr("cast(char_length(text) div 2 as int)")
     placed = placed.select("block", "place", "doc_id", "text", n.cast("long").alias("n_chars"), F.concat(F.expr("substring(text, 1, cast(char_length(text) - char_length(text) div 2 as int))"), F.substring("next_text", 1, half)).alias("edited"))
-    placed = placed.withColumn("edited_sha256", sha256_hex(F.col("edited")))
+    placed = placed.withColumn("edited_sha256", F.unhex(sha256_hex(F.col("edited"))))
     keys = ["block", "place", "doc_id", "n_chars", "edited_sha256"]
     both = placed.select(*keys, F.explode(F.array(F.struct(F.lit(0).alias("kind"), "text"), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))).alias("x")).select(*keys, "x.kind", "x.text")
     prints = fingerprints(both, [*keys, "kind"])
     pick = lambda kind, c: F.max(F.when(F.col("kind") == kind, F.col(c))).alias(f"{c}_{kind}")
-    rows = prints.groupBy(*keys).agg(*[pick(k, c) for k in (0, 1) for c in ("high", "low")])
+    rows = cut(prints.groupBy(*keys).agg(*[pick(k, c) for k in (0, 1) for c in ("high", "low")]))
     sizes = rows.groupBy("block").agg(F.max("place").alias("size"))  # MOST_BLOCKS rows at most
     sizes = sizes.withColumn("after", F.coalesce(F.lead("block").over(Window.orderBy("block")), F.min("block").over(Window.partitionBy())))
     rows = rows.join(F.broadcast(sizes), "block")
@@ -135,4 +139,4 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
     mine = rows.withColumn("next_block", F.when(last, F.col("after")).otherwise(F.col("block"))).withColumn("next_place", F.when(last, 1).otherwise(F.col("place") + 1))
     theirs = rows.select(F.col("block").alias("next_block"), F.col("place").alias("next_place"), F.col("high_0").alias("next_high"), F.col("low_0").alias("next_low"))
     own, edit, following = (F.col("high_0"), F.col("low_0")), (F.col("high_1"), F.col("low_1")), (F.col("next_high"), F.col("next_low"))
-    return mine.join(theirs, ["next_block", "next_place"]).select("doc_id", "n_chars", "edited_sha256", as_text(*own).alias("fingerprint"), as_text(*edit).alias("edited_fingerprint"), likeness(own, edit).alias("near_edited"), likeness(own, following).alias("near_next"))
+    return mine.join(theirs, ["next_block", "next_place"]).select("doc_id", "n_chars", F.lower(F.hex("edited_sha256")).alias("edited_sha256"), as_text(*own).alias("fingerprint"), as_text(*edit).alias("edited_fingerprint"), likeness(own, edit).alias("near_edited"), likeness(own, following).alias("near_next"))
