@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import cut, own_columns, sha256_hex
-from pathsieve.llm.words import lower_word, words, words_as_written
+from pathsieve.llm.words import lower_word, with_words, words, words_as_written
 
 WINDOW, SMALL = 10, 100_000
 
@@ -44,7 +44,7 @@ def anchors(docs: DataFrame, found: DataFrame, few: bool, per_window: int = 2) -
     """(window_id, term, place, nth, needed): the rarest terms of each window, rarest first; place counts from 0."""
     terms = found.select("window_id", F.posexplode("words").alias("place", "term"))
     vocabulary = terms.select("term").distinct()
-    seen = docs.select(F.explode(words_as_written(F.col("text"))).alias("word")).select(lower_word(F.col("word")).alias("term")).join(_perhaps_broadcast(vocabulary, few), "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n"))
+    seen = with_words(docs, [], F.coalesce("text", F.lit(""))).select(F.explode_outer("w").alias("word")).select(lower_word(F.col("word")).alias("term")).join(_perhaps_broadcast(vocabulary, few), "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n"))
     ranked = terms.join(seen, "term", "left").groupBy("window_id", "term").agg(F.min("place").alias("place"), F.min(F.coalesce("n", F.lit(0))).alias("n"))
     best = ranked.groupBy("window_id").agg(F.slice(F.array_sort(F.collect_list(F.struct("n", "term", "place"))), 1, per_window).alias("best"))  # a window has ten terms at most
     return best.select("window_id", F.size("best").alias("needed"), F.posexplode("best").alias("nth", "b")).select("window_id", "needed", "nth", "b.term", "b.place", "b.n")
@@ -52,7 +52,7 @@ def anchors(docs: DataFrame, found: DataFrame, few: bool, per_window: int = 2) -
 
 def postings(docs: DataFrame, terms: DataFrame, few: bool) -> DataFrame:
     """(key, term, position) of the given terms, positions from 0, over whole texts."""
-    return docs.select("key", F.posexplode(words_as_written(F.col("text"))).alias("position", "word")).select("key", "position", lower_word(F.col("word")).alias("term")).join(_perhaps_broadcast(terms.select("term").distinct(), few), "term", "left_semi")
+    return with_words(docs, ["key"], F.coalesce("text", F.lit(""))).select("key", F.posexplode_outer("w").alias("position", "word")).select("key", "position", lower_word(F.col("word")).alias("term")).join(_perhaps_broadcast(terms.select("term").distinct(), few), "term", "left_semi")
 
 
 def candidates(index: DataFrame, chosen: DataFrame, few: bool) -> DataFrame:

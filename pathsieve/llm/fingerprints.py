@@ -20,24 +20,24 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import cut, own_columns, sha256_hex
-from pathsieve.llm.words import words_for_ascii
+from pathsieve.llm.words import plain_lower, with_words
 
 BITS, RADIUS, ROWS_A_BLOCK, MOST_BLOCKS = 128, 3, 500, 1 << 16
 #: Terms that a lane of eight bits can count; the lowest bit of each of eight lanes; the low eight bits of both halves.
 _RUN, _OCTETS, _PAIR = 127, 0x0101010101010101, 0x000000FF000000FF
 
 
-def terms(text: Column) -> Column:
-    """Array of (a, b): neighbouring words; b is null in the only word of a text."""
-    w = words_for_ascii(text)  # all letters lower-cased
-    pairs = F.arrays_zip(w.alias("a"), F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))).alias("b"))
-    return F.slice(pairs, 1, F.greatest(F.size(w) - 1, F.least(F.size(w), F.lit(1))))
+def term_hashes(texts: DataFrame, keys: list[str]) -> DataFrame:
+    """(*keys, hashes): an array with the hash of every pair of neighbouring words, or of the only word. All letters are lower-cased."""
+    w = with_words(texts, keys, plain_lower(F.col("text")))
+    pairs = F.transform(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(1))), lambda a, k: F.xxhash64(a, F.get("w", k + 1)))
+    return w.select(*keys, F.when(F.size("w") > 0, pairs).otherwise(F.array().cast("array<bigint>")).alias("hashes"))
 
 
 def fingerprints(texts: DataFrame, keys: list[str]) -> DataFrame:
     """(*keys, high, low) of texts (*keys, text). Rows of equal keys count as one text; a text without words, or null, has fingerprint 0."""
-    each = texts.select(*keys, F.posexplode_outer(terms(F.col("text"))).alias("at", "t")).select(*keys, F.coalesce(F.expr(f"at div {_RUN}"), F.lit(0)).alias("run"), F.when(F.col("t").isNull(), F.lit(0)).otherwise(F.xxhash64("t.a", "t.b")).alias("h0"), F.col("t").isNotNull().cast("long").alias("one"))
-    each = each.select("*", F.when(F.col("one") == 0, F.lit(0)).otherwise(F.xxhash64("h0")).alias("h1"))
+    each = term_hashes(texts, keys).select(*keys, F.posexplode_outer("hashes").alias("at", "h0"))  # outer: the engine would put the whole expression into a filter else
+    each = each.select(*keys, F.coalesce(F.expr(f"at div {_RUN}"), F.lit(0)).alias("run"), F.coalesce("h0", F.lit(0)).alias("h0"), F.when(F.col("h0").isNull(), F.lit(0)).otherwise(F.xxhash64("h0")).alias("h1"), F.col("h0").isNotNull().cast("long").alias("one"))
     octets = [F.sum(F.shiftrightunsigned(f"h{k}", b).bitwiseAND(F.lit(_OCTETS))).alias(f"o{k}_{b}") for k in (0, 1) for b in range(8)]
     runs = each.groupBy(*keys, "run").agg(F.sum("one").alias("n"), *octets)
     pairs = [F.sum(F.shiftrightunsigned(f"o{k}_{b}", 8 * j).bitwiseAND(F.lit(_PAIR))).alias(f"s{k}_{b + 8 * j}") for k in (0, 1) for b in range(8) for j in range(4)]

@@ -76,7 +76,7 @@ def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thres
     for label, terms in sets.items():
         ordered = sorted(terms, key=rank.__getitem__)
         prefixes += [(w, label, k, len(terms), needs[label]) for k, w in enumerate(ordered[: len(terms) - needs[label] + 1])]
-    blocks = docs.select("key", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
+    blocks = docs.select("key", F.posexplode_outer(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
     touching = blocks.where(F.arrays_overlap("w", F.array(*[F.lit(w) for w in sorted({p[0] for p in prefixes})])))  # prefix filter
     held = touching.select("key", "block", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("held"))
     index = spark.createDataFrame(prefixes, "term string, label string, template_place int, template_size int, need int")
