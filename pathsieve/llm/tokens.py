@@ -100,7 +100,7 @@ class ChunkEncoder:
                     out[k] = known[c] = found
                 else:
                     (words if _is_word(c) else rest).append(k)
-        shown = [(c[1:] if c[:1] == BARE else b" " + c if self.spaced else c).decode() for c in (chunks[k] for k in rest)]
+        shown = [(c if not self.spaced else c[1:] if c[:1] == BARE else b" " + c).decode() for c in (chunks[k] for k in rest)]
         for at, ids in ((words, self._words([chunks[k] for k in words])), (rest, self._plain(shown))):
             for k, x in zip(at, ids, strict=True):
                 out[k] = x
