@@ -70,7 +70,7 @@ def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thres
     vocabulary = sorted({w for terms in sets.values() for w in terms})
     needs = {label: max(1, math.ceil(threshold * len(terms) - 1e-9)) for label, terms in sets.items()}
     several = docs.select(F.array_intersect(words_against(F.col("text"), vocabulary), F.array(*map(F.lit, vocabulary))).alias("held"))
-    order = {r["term"]: r["n"] for r in several.select(F.explode("held").alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
+    order = {r["term"]: r["n"] for r in several.select(F.explode_outer("held").alias("term")).where("term IS NOT NULL").groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
     rank = {w: k for k, w in enumerate(sorted(vocabulary, key=lambda w: (order.get(w, 0), w)))}
     prefixes = []
     for label, terms in sets.items():
