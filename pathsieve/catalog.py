@@ -56,6 +56,7 @@ _add("transitions_qb", lambda s, d: automaton(QB_REGEX).to_df(s), "SELECT from_s
 _LEVEL_NAMES = {"qa": "qa_levels", "qa_all": "qa_all_starts", "qa_zero": "qa_zero_length", "qb": "qb_levels", "q1": "q1_levels", "q2": "q2_levels"}
 for _key, _w in WORKLOADS.items():
     _add(_LEVEL_NAMES.get(_key, _key), lambda s, d, w=_w: levels.levels(w.query(s, d)), _w.levels_sql())
+_add("qa_in_batches", lambda s, d: levels.levels_in_batches(WORKLOADS["qa_all"].query(s, d), 3), WORKLOADS["qa_all"].levels_sql())
 _add("qa_nostart", lambda s, d: levels.count(WORKLOADS["qa_all"].query(s, d)), f"{WORKLOADS['qa_all'].walks()} SELECT count(*) AS n FROM answers")
 for _key in ("qa", "qb", "q1"):
     _add(f"{_key}_paths", lambda s, d, w=WORKLOADS[_key]: levels.paths(w.query(s, d)), WORKLOADS[_key].paths_sql())
@@ -76,6 +77,8 @@ for _key, _w in _SHORT.items():
     for _kind in ("arrow", "pandas"):
         _add(f"{_key}_{_kind}_udf", lambda s, d, w=_w, k=_kind: udf_modes.run_levels(w.query(s, d), "json_udf", k), _sql)
     _add(f"{_key}_rcte", lambda s, d, w=_w: recursive.levels(w.query(s, d)), _sql)
+    _add(f"{_key}_rcte_sql_function", lambda s, d, w=_w: recursive.levels(w.query(s, d), sql_functions=True), _sql)
+    _add(f"{_key}_rcte_json_udf", lambda s, d, w=_w: udf_modes.run_recursive(w.query(s, d)), _sql)
 
 # -- rewrites ----------------------------------------------------------------------------
 

@@ -66,6 +66,15 @@ def probed_edges(query: GuardedPathQuery) -> DataFrame:
     return query.graph.edges.sparkSession.createDataFrame(rows, "len long, n long")
 
 
+def function_share(query: GuardedPathQuery, runs: int = 3) -> dict[str, float]:
+    """Seconds of the direct variant, of the native one, and the share that functions and their state's text take: what going native saves."""
+    from pathsieve.operators import udf_modes
+
+    direct = median_seconds(lambda: udf_modes.run_levels(query, "json_udf"), runs)
+    native_s = median_seconds(lambda: native.levels(query), runs)
+    return {"direct": direct, "native": native_s, "share": max(0.0, 1 - native_s / direct)}
+
+
 def tightness(query: GuardedPathQuery) -> DataFrame:
     """One row: (candidates, answers)."""
     spark = query.graph.edges.sparkSession

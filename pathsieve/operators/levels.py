@@ -123,6 +123,7 @@ def _by_level(query: GuardedPathQuery, early: bool, collapse: bool, candidates:
     if collapse:
         now = now.withColumn("times", F.lit(1).cast("long"))
     held: DataFrame | None = None
+    sizes: list[int] = []
     for hop in range(p.query.max_len + 1):
         if hop:
             near = with_envelope(p, now, edges) if "envelope" in query.rewrites and hop > 1 else edges
@@ -134,9 +135,13 @@ def _by_level(query: GuardedPathQuery, early: bool, collapse: bool, candidates:
                 now = step(p, now, near, hop)
             now = now.persist(StorageLevel.MEMORY_AND_DISK)
             total = now.count()
+            sizes.append(total)
             if held is not None:
                 held.unpersist()
             held = now
+            if query.max_frontier_rows is not None and total > query.max_frontier_rows:
+                held.unpersist()
+                raise RuntimeError(f"a level of {total} prefixes is above max_frontier_rows; levels so far: {sizes}")
             if not total:
                 break
         if candidates:
@@ -152,6 +157,17 @@ def _by_level(query: GuardedPathQuery, early: bool, collapse: bool, candidates:
     return spark.createDataFrame(rows, "len long, n long")  # max_len rows at most
 
 
+def levels_in_batches(query: GuardedPathQuery, batches: int) -> DataFrame:
+    """levels(), with the start vertices dealt into batches by hash, so that a level never holds the prefixes of more than one batch."""
+    starts = plan(query).anchors().select("v")
+    total: dict[int, int] = {}
+    for k in range(batches):
+        some = starts.where(F.pmod(F.xxhash64("v"), F.lit(batches)) == k)
+        for r in levels(query.vary(sources=some)).collect():
+            total[r["len"]] = total.get(r["len"], 0) + r["n"]
+    return starts.sparkSession.createDataFrame(sorted(total.items()), "len long, n long")
+
+
 def step_with(p: PathPlan, frontier: DataFrame, edges: DataFrame, hop: int, carried: str) -> DataFrame:
     """step() with one more column taken along."""
     named = frontier.withColumn("start", F.struct("start", carried))

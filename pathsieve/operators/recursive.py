@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 import uuid
+from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,14 +28,32 @@ def to_sql(p: PathPlan, anchors: str, edges: str, transitions: str | None) -> st
     )
 
 
-def run(query: GuardedPathQuery) -> DataFrame:
-    """Answers (start, v, q, len, slots). The edge side is kept, since every iteration reads it."""
+def _as_functions(p: PathPlan, name: str) -> PathPlan:
+    """The plan with each check and update behind a SQL-defined function, which the engine inlines again."""
+    spark = p.query.graph.edges.sparkSession
+    types = {"len": "INT", "q": "INT", "to_state": "INT"} | {f"s_{s.name}": s.dtype for s in p.aggregate.slots} | {c: t for c, t in p.edges().dtypes}
+
+    def behind(text: str, returns: str, k: str) -> str:
+        used = [c for c in types if re.search(rf"\b{c}\b", text)]
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_{k}({', '.join(f'{c} {types[c]}' for c in used)}) RETURNS {returns} RETURN {text}")
+        return f"{name}_{k}({', '.join(used)})"
+
+    agg = p.aggregate
+    admit = tuple(replace(c, text=behind(p.check_text(c), "BOOLEAN", f"admit{k}"), cases=()) for k, c in enumerate(agg.admit))
+    advance = {s.name: behind(text, s.dtype, f"advance_{s.name}") for s, text in zip(agg.slots, p.advance().values(), strict=True)}
+    return replace(p, aggregate=replace(agg, admit=admit, advance=advance))
+
+
+def run(query: GuardedPathQuery, sql_functions: bool = False) -> DataFrame:
+    """Answers (start, v, q, len, slots). The edge side is kept, since every iteration reads it. sql_functions: checks and updates as SQL-defined functions."""
     if query.targets is not None or query.via:
         raise ValueError("endpoint sets are for the level executor")
     p = plan(query)
     spark = query.graph.edges.sparkSession
     spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
     name = f"ps_{uuid.uuid4().hex[:12]}"
+    if sql_functions:
+        p = _as_functions(p, name)
     p.anchors().createOrReplaceTempView(f"{name}_a")
     p.edges().persist().createOrReplaceTempView(f"{name}_e")
     if p.nfa is not None:
@@ -42,8 +62,8 @@ def run(query: GuardedPathQuery) -> DataFrame:
     return out.dropDuplicates(["start", "len", "s_edge_ids"]) if p.nfa is not None and query.dedupe and p.needs_ids else out
 
 
-def levels(query: GuardedPathQuery) -> DataFrame:
-    return run(query).groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+def levels(query: GuardedPathQuery, sql_functions: bool = False) -> DataFrame:
+    return run(query, sql_functions).groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
 
 
 def statement(query: GuardedPathQuery) -> str:

@@ -150,3 +150,38 @@ def run_levels(query: GuardedPathQuery, mode: str = "json_udf", kind: str = "pyt
         previous.unpersist()
     edges.unpersist()
     return spark.createDataFrame(rows, "len long, n long")  # max_len rows at most
+
+
+def run_recursive(query: GuardedPathQuery, kind: str = "python") -> DataFrame:
+    """(len, n): the direct form, one recursive statement with the state as JSON text and Python functions for its update and checks."""
+    import uuid
+
+    spark = query.graph.edges.sparkSession
+    p = plan(query)
+    if p.nfa is not None and query.dedupe and p.needs_ids:
+        raise ValueError("an ambiguous expression needs the level executor")
+    parts, name = _functions(p.aggregate, query.max_len), f"ps_{uuid.uuid4().hex[:12]}"
+    arrow = kind == "arrow"
+    spark.udf.register(f"{name}_admit", F.udf(lambda d, e: parts["admit"](json.loads(d), json.loads(e)), "boolean", useArrow=arrow))
+    spark.udf.register(f"{name}_advance", F.udf(lambda d, e: json.dumps(parts["advance"](json.loads(d), json.loads(e))), "string", useArrow=arrow))
+    spark.udf.register(f"{name}_accept", F.udf(lambda d: parts["accept"](json.loads(d)), "boolean", useArrow=arrow))
+    seeds = json.dumps(parts["seed"]())
+    p.anchors().select("start", "v", "q", "len", F.lit(seeds).alias("d")).createOrReplaceTempView(f"{name}_a")
+    p.edges().persist().createOrReplaceTempView(f"{name}_e")
+    join, to_state, tags = "", "0", "CAST(NULL AS STRING) AS from_tag, CAST(NULL AS STRING) AS to_tag"
+    if p.nfa is not None:
+        p.nfa.to_df(spark).select("from_state", "to_state", F.col("label").alias("t_label")).createOrReplaceTempView(f"{name}_t")
+        join, to_state = f" JOIN {name}_t ON q = from_state AND e_label = t_label", "to_state"
+        case = lambda c: "CASE " + c + "".join(f" WHEN {k} THEN '{v}'" for k, v in sorted(p.nfa.tags.items()) if v) + " END" if any(p.nfa.tags.values()) else "CAST(NULL AS STRING)"
+        tags = f"{case('q')} AS from_tag, {case('to_state')} AS to_tag"
+    fields = ", ".join([*[f"e_{c} AS {c}" for c in p.edge_columns], *[f"w_{c} AS vertex_{c}" for c in p.vertex_columns], tags])
+    edge = f"to_json(struct({fields}), map('ignoreNullFields', 'false'))"
+    state = "concat(rtrim('}', d), CASE WHEN d = '{}' THEN '' ELSE ', ' END, '\"len\": ', CAST(len AS STRING), '}')"
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
+    final = " AND ".join([f"len >= {query.min_len}", *([f"q IN ({', '.join(map(str, p.accepting))})"] if p.accepting else []), *([f"{name}_accept(d)"] if p.aggregate.accepts else [])])
+    out = spark.sql(
+        f"WITH RECURSIVE prefixes MAX RECURSION LEVEL {query.max_len + 1} AS (SELECT start, v, q, len, d FROM {name}_a UNION ALL "
+        f"SELECT start, e_dst AS v, {to_state} AS q, len + 1 AS len, {name}_advance({state}, {edge}) AS d FROM prefixes JOIN {name}_e ON v = e_src{join} WHERE len < {query.max_len} AND {name}_admit({state}, {edge})) "
+        f"SELECT len, d, q FROM prefixes WHERE {final}"
+    )
+    return out.groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))

@@ -24,6 +24,7 @@ class GuardedPathQuery:
     targets: where a path must end; via: vertices that it must pass between its ends.
     semantics: trail (no edge twice), acyclic (no vertex twice) or walk.
     dedupe: several automaton runs of one path count once; else each counts.
+    max_frontier_rows: a level above it ends the run with an error that names all levels' sizes.
     """
 
     graph: PropertyGraph
@@ -37,6 +38,7 @@ class GuardedPathQuery:
     semantics: str = "trail"
     dedupe: bool = True
     rewrites: frozenset[str] = frozenset(["elide_trail", "hoist"])
+    max_frontier_rows: int | None = None
 
     def __post_init__(self) -> None:
         if not 0 <= self.min_len <= self.max_len:

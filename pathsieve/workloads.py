@@ -139,7 +139,7 @@ WORKLOADS: dict[str, Workload] = {
     "qa_all": Workload("payments", QA(50_000), start="all", max_len=3),
     "qa_zero": Workload("payments", QA(50_000), min_len=0, max_len=3),
     "qa_pair": Workload("payments", QA(100_000), min_len=2, max_len=3, targets=(13, 52, 779)),
-    "qa_via": Workload("payments", QA(100_000), max_len=3, via=(779,)),
+    "qa_via": Workload("payments", QA(100_000), max_len=3, via=(449,)),
     "qb": Workload("payments", _qb(2, 3), QB_REGEX, "all"),
     "qb_wide": Workload("payments", _qb(30, 45), QB_REGEX, "all"),
     "q1": Workload("handover", Q1, Q1_REGEX, "top", 3),
