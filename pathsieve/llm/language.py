@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import own_columns, text_slices
+from pathsieve.llm.shared import forget_tokenizers, own_columns, text_slices
 
 #: Hashed n-grams; sizes of n-grams; labelled texts of a language in the sample, at most; landmarks; ridge.
 DIMENSIONS, SIZES, SAMPLE, LANDMARKS, RIDGE = 1 << 15, (1, 2, 3, 4), 500, 256, 1e-3
@@ -129,6 +129,7 @@ def predict(docs: DataFrame, model: Model, columns: list[str] | None = None) ->
     rows = own_columns(docs, *keep, *([] if "text" in keep else ["text"]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_tokenizers()
         names = np.array([*model.languages, UNKNOWN], object)
         for whole in batches:
             for batch in text_slices(whole, "text"):

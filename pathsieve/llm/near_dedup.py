@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm.components import components
-from pathsieve.llm.shared import cut, own_columns, text_slices
+from pathsieve.llm.shared import cut, forget_tokenizers, own_columns, text_slices
 
 RADIUS, SHINGLE, SEED = 4, 4, 42
 BLOCKS, KEEP, SHELL = 6, 2, 16
@@ -80,6 +80,7 @@ def fingerprints(docs: DataFrame, columns: list[str] | None = None) -> DataFrame
     fields = [rows.schema[c] for c in keep]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_tokenizers()
         for whole in batches:
             for batch in text_slices(whole, "text"):
                 prints = fingerprint_batch(batch.column("text").to_pylist()).view(np.int64)

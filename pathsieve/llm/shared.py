@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import sys
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -64,9 +65,21 @@ def _lean() -> Callable[[], object]:
     return (lambda: trim(0)) if trim else (lambda: None)
 
 
+def forget_tokenizers() -> None:
+    """For work without tokens: a worker that encoded texts before gives its tokenizers and their caches back."""
+    tokens = sys.modules.get("pathsieve.llm.tokens")
+    if tokens:
+        tokens.encoder.cache_clear()
+        _lean()()
+
+
+def trim() -> None:
+    _lean()()
+
+
 def text_slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
     """The batch in slices of about `most` bytes of text, one row at least: what Python holds at a time doesn't depend on the batch."""
-    trim = _lean()
+    _lean()
     sizes = np.nan_to_num(pc.binary_length(batch.column(column)).to_numpy(zero_copy_only=False).astype(float))
     group = (np.cumsum(sizes) - sizes) // most
     edges = [*np.flatnonzero(np.diff(group, prepend=-1)), batch.num_rows]

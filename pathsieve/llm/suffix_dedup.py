@@ -32,13 +32,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import fresh_path, own_columns, text_slices
+from pathsieve.llm.shared import forget_tokenizers, fresh_path, own_columns, text_slices, trim
 
 LENGTH, GRAM, PERIOD, HOT = 200, 32, 31, 1000
 _GRAMS = LENGTH - GRAM + 1
 _PLACE_BITS = 21
 _PIECE = 1 << 18
-_BLOCK = 1 << 21
+_BLOCK = 1 << 20
 ANCHORS = "h long, span long, doc_id long, mark int, first int, n int, rel int"
 
 
@@ -179,6 +179,7 @@ def _marked(docs: DataFrame) -> DataFrame:
 
 
 def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    forget_tokenizers()
     for whole in batches:
         for batch in text_slices(whole, "text", 1 << 20):
             raws = [(t or "").encode() for t in batch.column("text").to_pylist()]
@@ -219,6 +220,7 @@ def _sorted_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             if size > _BLOCK and held[-1][0] != h:
                 yield solve()
                 held, size = [], 0
+                trim()
             held.append((h, span, rel, raw))
             size += len(raw)
     yield solve()
