@@ -50,7 +50,7 @@ def Acyclic() -> PruningAggregate:
     return PruningAggregate(
         (Slot("seen", "ARRAY<BIGINT>", "array(v)", ()),),
         {"seen": "array_append(s_seen, e_dst)"},
-        (Check("NOT array_contains(s_seen, e_dst)", test=lambda s, e: e["dst"] not in s["seen"] and e["dst"] != e["src"] and (s["len"] > 0 or True)),),
+        (Check("NOT array_contains(s_seen, e_dst)", test=lambda s, e: e["dst"] not in (s["seen"] or [e["src"]])),),
         oracle=("len(vs) = len(list_distinct(vs))",),
         step=(lambda s, e: {"seen": [*(s["seen"] or [e["src"]]), e["dst"]]},),
     )
@@ -99,7 +99,7 @@ def SpreadAtMost(prop: str, bound: Bound, dtype: str = "BIGINT", within: str | N
             return False
         return max(x for x in (s[high], ed[n]) if x is not None) - min(x for x in (s[low], ed[n]) if x is not None) <= u
 
-    check = Check("true", (((("*"), within), text),), test=test) if within else Check(text, test=test)
+    check = Check("true", ((("*", within), text),), test=test) if within else Check(text, test=test)
     values = f"list_filter({_list(prop)}, lambda x, i: list_contains({{{within}}}, qs[i]))" if within else _list(prop)
     if within:
         advance = {k: f"CASE WHEN to_state IN ({{{within}}}) THEN {v} ELSE s_{k} END" for k, v in advance.items()}

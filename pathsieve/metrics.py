@@ -10,9 +10,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame
 
-from pathsieve.operators import baselines
+from pathsieve.operators import baselines, udf_modes
 from pathsieve.operators import levels as native
-from pathsieve.plans.spec import GuardedPathQuery
+from pathsieve.plans.spec import GuardedPathQuery, plan
 
 
 def median_seconds(run: Callable[[], DataFrame], runs: int = 3, warm_ups: int = 1) -> float:
@@ -53,8 +53,6 @@ def total_candidates(query: GuardedPathQuery, how: str = "early") -> int:
 
 def probed_edges(query: GuardedPathQuery) -> DataFrame:
     """(len, n): extensions that enter the check, at each hop."""
-    from pathsieve.plans.spec import plan
-
     p = plan(query)
     edges, rows = p.edges(), []
     for hop, prefixes in enumerate(native.frontiers(p), 1):
@@ -68,8 +66,6 @@ def probed_edges(query: GuardedPathQuery) -> DataFrame:
 
 def function_share(query: GuardedPathQuery, runs: int = 3) -> dict[str, float]:
     """Seconds of the direct variant, of the native one, and the share that functions and their state's text take: what going native saves."""
-    from pathsieve.operators import udf_modes
-
     direct = median_seconds(lambda: udf_modes.run_levels(query, "json_udf"), runs)
     native_s = median_seconds(lambda: native.levels(query), runs)
     return {"direct": direct, "native": native_s, "share": max(0.0, 1 - native_s / direct)}

@@ -8,6 +8,7 @@ built for that).
 
 from __future__ import annotations
 
+import re
 from dataclasses import replace
 
 from pyspark import StorageLevel
@@ -15,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.operators import levels as native
-from pathsieve.plans.aggregate import PruningAggregate
+from pathsieve.plans.aggregate import Check, PruningAggregate, Slot
 from pathsieve.plans.regex import glushkov, parse_regex, segments
 from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
 
@@ -27,8 +28,6 @@ def replay(p: PathPlan, hops: Column) -> Column:
     checks = [p.check_text(c) for c in p.aggregate.admit]
 
     def put(text: str) -> str:
-        import re
-
         text = re.sub(r"\bs_(\w+)\b", r"acc.\1", text)
         text = re.sub(rf"(?<![.\w])({'|'.join(fields)})\b", r"hop.\1", text)
         return re.sub(r"(?<![.\w'])len\b", "acc.len", text)
@@ -47,8 +46,6 @@ def _collecting(query: GuardedPathQuery, trail: bool) -> tuple[PathPlan, PathPla
     types = dict(full.edges().dtypes)
     kind = "ARRAY<STRUCT<" + ", ".join([*[f"{f}: {types[f]}" for f in fields], "q: INT", "to_state: INT"]) + ">>"
     one = "named_struct(" + ", ".join([f"'{f}', {f}" for f in fields] + ["'q', q", "'to_state', to_state"]) + ")"
-    from pathsieve.plans.aggregate import Check, Slot
-
     checks = (Check("NOT exists(s_hops, h -> h.e_id = e_id)"),) if trail else ()
     collect = PruningAggregate((Slot("hops", kind, f"CAST(array() AS {kind})"),), {"hops": f"array_append(s_hops, {one})"}, checks, uses=full.aggregate.uses | {"label"} if "label" in full.edge_columns else full.aggregate.uses)
     walking = plan(query.vary(constraint=collect, semantics="walk", rewrites=frozenset(), dedupe=False))
@@ -121,8 +118,6 @@ def reattach_postfilter(query: GuardedPathQuery) -> DataFrame:
     """For an engine that sees no properties while it expands: ids only, then every path's edges are joined back and regrouped in order."""
     full = plan(query.vary(rewrites=frozenset()))
     bare = plan(query.vary(constraint=PruningAggregate(), semantics="walk", rewrites=frozenset(), dedupe=False), with_ids=True)
-    from pathsieve.plans.aggregate import Slot
-
     states = PruningAggregate((Slot("states", "ARRAY<STRUCT<q: INT, to_state: INT>>", "CAST(array() AS ARRAY<STRUCT<q: INT, to_state: INT>>)"),), {"states": "array_append(s_states, named_struct('q', q, 'to_state', to_state))"})
     bare = replace(bare, aggregate=bare.aggregate & states, nfa=full.nfa)
     out = None

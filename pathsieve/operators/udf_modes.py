@@ -11,7 +11,9 @@ kind: plain Python functions, the same with Arrow transfer, or pandas functions.
 
 from __future__ import annotations
 
+import inspect
 import json
+import uuid
 from collections.abc import Callable
 
 import pandas as pd
@@ -61,11 +63,7 @@ def _udf(f: Callable, kind: str, returns: str | T.DataType) -> Callable[..., Col
     # fixed arities, as pandas functions need a plain signature
     two = lambda a, b: batch(a, b)
     one = lambda a: batch(a)
-    import inspect
-
-    chosen = one if len(inspect.signature(f).parameters) == 1 else two
-    chosen.__annotations__ = {}
-    return F.pandas_udf(chosen, returns, F.PandasUDFType.SCALAR)
+    return F.pandas_udf(one if len(inspect.signature(f).parameters) == 1 else two, returns, F.PandasUDFType.SCALAR)
 
 
 def _edge_text(p: PathPlan) -> Column:
@@ -154,8 +152,6 @@ def run_levels(query: GuardedPathQuery, mode: str = "json_udf", kind: str = "pyt
 
 def run_recursive(query: GuardedPathQuery, kind: str = "python") -> DataFrame:
     """(len, n): the direct form, one recursive statement with the state as JSON text and Python functions for its update and checks."""
-    import uuid
-
     spark = query.graph.edges.sparkSession
     p = plan(query)
     if p.nfa is not None and query.dedupe and p.needs_ids:
