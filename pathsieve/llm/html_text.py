@@ -41,16 +41,16 @@ _SPACE = re.compile(r"\s+")
 BLOCKS = frozenset("address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 NOT_TEXT = frozenset("nav header footer aside form menu dialog label fieldset".split())
-NOT_TEXT_NAMES = frozenset("nav navbar navigation menu breadcrumb breadcrumbs header masthead footer sidebar aside widget notice notices cookie cookies consent gdpr banner ad ads advert adverts advertisement advertising sponsor sponsored promo popup modal overlay form search login signup newsletter subscribe subscription share sharing social related recommended comment comments disqus reply replies pagination pager toolbar alert complementary contentinfo dialog".split())
-ARTICLE, ARTICLE_NAMES = frozenset("article main".split()), frozenset("article content post entry story main".split())
+NOT_TEXT_NAMES = frozenset("nav navbar navigation menu breadcrumb breadcrumbs header masthead footer sidebar aside widget notice notices cookie cookies consent gdpr banner ad ads advert adverts advertisement advertising sponsor sponsored promo popup modal overlay form search login signup newsletter subscribe subscription share sharing social related recommended comment comments disqus reply replies pagination pager toolbar alert complementary contentinfo dialog disclaimer teaser recommendations".split())
+ARTICLE, ARTICLE_NAMES = {"article": 3, "main": 2}, frozenset("article content post entry story main".split())
 
 
 @dataclass
 class Page:
-    """Lines in page order: their texts, whether each is in a marked article, whether the structure drops it."""
+    """Lines in page order: their texts, how plainly each is marked as the article's (0: not at all), whether the structure drops it."""
 
     lines: list[str] = field(default_factory=list)
-    inside: list[bool] = field(default_factory=list)
+    inside: list[int] = field(default_factory=list)
     dropped: list[bool] = field(default_factory=list)
 
 
@@ -70,8 +70,8 @@ def _names(attributes: str) -> tuple[set[str], bool]:
 
 def parse(source: str | None) -> Page:
     page, held = Page(), []
-    stack: list[tuple[str, bool, bool]] = []  # element, in a marked article, dropped
-    inside = dropped = False
+    stack: list[tuple[str, int, bool]] = []  # element, mark of the article, dropped
+    inside, dropped = 0, False
 
     def close() -> None:
         nonlocal held
@@ -108,13 +108,13 @@ def parse(source: str | None) -> Page:
         elif tag in BLOCKS or m[4]:
             names, hidden = _names(m[4]) if m[4] else ((), False)
             whole = tag in ("html", "body", "article", "main")
-            was_in, was_out = (stack[-1][1], stack[-1][2]) if stack else (False, False)
+            was_in, was_out = (stack[-1][1], stack[-1][2]) if stack else (0, False)
             out = was_out or hidden or tag in NOT_TEXT or (not whole and not NOT_TEXT_NAMES.isdisjoint(names)) or (whole and "comment" in names)
             if tag not in BLOCKS and out and not was_out:
                 close()
             if not m[4].endswith("/"):
-                stack.append((tag, was_in or tag in ARTICLE or (tag in ("div", "section", "td") and not ARTICLE_NAMES.isdisjoint(names)), out))
-        inside, dropped = (stack[-1][1], stack[-1][2]) if stack else (False, False)
+                stack.append((tag, max(was_in, ARTICLE.get(tag, 0), int(tag in ("div", "section", "td") and not ARTICLE_NAMES.isdisjoint(names))), out))
+        inside, dropped = (stack[-1][1], stack[-1][2]) if stack else (0, False)
     close()
     return page
 
@@ -159,8 +159,8 @@ def main_text(page: Page, neighbours: list[Page]) -> tuple[str, int]:
         same = common(page.lines, other.lines)
         if sum(len(page.lines[k]) for k in same) <= COPY * size:
             shared.update(same)
-    marked = any(i and not d for i, d in zip(page.inside, page.dropped, strict=True))
-    kept = [line for k, line in enumerate(page.lines) if not page.dropped[k] and (page.inside[k] if marked else k not in shared)]
+    mark = max((i for i, d in zip(page.inside, page.dropped, strict=True) if not d), default=0)  # the plainest mark on the page counts
+    kept = [line for k, line in enumerate(page.lines) if not page.dropped[k] and (page.inside[k] == mark if mark else k not in shared)]
     return "\n\n".join(kept), len(shared)
 
 

@@ -102,6 +102,15 @@ def test_marked_article():
     assert html_text.main_text(page, [])[0] == "Head & tail\n\nOne two three four\n\nFive six\n\na\n\nb\n\nc\n\nd"
 
 
+def test_plainest_mark_counts():
+    page = html_text.parse("<body class='has-sidebar'><div id='main-wrap'><p>Crumbs</p><main><p>Above</p><article class='post'><p>Text<p>More</article></main><div class='content'><p>Else</p></div></div></body>")
+    assert html_text.main_text(page, [])[0] == "Text\n\nMore"
+    page = html_text.parse("<div class='top'>Hello</div><div class='entry-content'><p>Text</p><div class='related-posts'><p>Other</p></div></div>")
+    assert html_text.main_text(page, [])[0] == "Text"
+    assert html_text.main_text(html_text.parse("<p hidden>x<p>y<p style='display: none'>z</p>w"), [])[0] == "y\n\nw"
+    assert html_text.main_text(html_text.parse("<article><p>a &lt;b&gt; 1 < 2 &amp;amp;</p><script>never ends"), [])[0] == "a <b> 1 < 2 &amp;"
+
+
 def test_differencing_without_a_marked_article(spark):
     frame = lambda body: f"<body><p>Welcome to the site</p>{body}<p>Subscribe today</p></body>"
     pages = [(k, f"http://h.example/{'a' if k < 3 else 'b'}/{k}", frame(f"<p>Story {k} is long enough to be no copy</p><p>It ends {k}.</p>")) for k in range(6)]
