@@ -136,7 +136,7 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     ends = pairs.select(F.explode(F.array("a", "b")).alias("fingerprint")).groupBy("fingerprint").agg(F.count(F.lit(1)).alias("links"))
     classes = least.join(linked, least["fingerprint"] == linked["id"], "left").select("fingerprint", "least", F.coalesce("component", "fingerprint").alias("component"))
     roots = classes.groupBy("component").agg(F.min("least").alias("component_id"))
-    classes = classes.join(roots, "component").join(ends, "fingerprint", "left").select("fingerprint", "component_id", F.coalesce("links", F.lit(0)).alias("links"))
+    classes = cut(classes.join(roots, "component").join(ends, "fingerprint", "left").select("fingerprint", "component_id", F.coalesce("links", F.lit(0)).alias("links")))  # so that the last join's largest fingerprints can be split
     return prints.join(classes, "fingerprint").select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id", "links")
 
 

@@ -244,6 +244,9 @@ def repeats(docs: DataFrame) -> DataFrame:
     path = fresh_path(spark, "repeats")
     anchors = marked.where(F.octet_length("text") >= LENGTH).mapInArrow(_anchors, ANCHORS)
     buckets = anchors.groupBy("h").agg(F.count(F.lit(1)).alias("times"), F.min("span").alias("a"), F.max("span").alias("b")).where("times > 1").select("h", (F.col("a") != F.col("b")).alias("mixed"))
+    # written first: a join with an aggregate would take over its partitions, in which the engine can't split a large bucket
+    buckets.write.parquet(f"{path}/buckets")
+    buckets = spark.read.schema("h long, mixed boolean").parquet(f"{path}/buckets")
     anchors.join(buckets, "h").write.parquet(f"{path}/flagged")
     flagged = spark.read.schema(ANCHORS + ", mixed boolean").parquet(f"{path}/flagged")
     plain = flagged.where("NOT mixed").select("doc_id", "mark", "first", "n")
@@ -260,10 +263,14 @@ def repeats(docs: DataFrame) -> DataFrame:
     found = held.where("NOT hot").repartition("h").sortWithinPartitions("h", "span").mapInArrow(_sorted_blocks, "h long, span long, off int, len int")
     hashed = held.where("hot").mapInArrow(_hashed_windows, "h long, span long, off int, back int, w1 long, w2 long")
     often = hashed.groupBy("h", "back", "w1", "w2").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("h", "back", "w1", "w2")
+    often.write.parquet(f"{path}/often")
+    often = spark.read.schema("h long, back int, w1 long, w2 long").parquet(f"{path}/often")
     found = found.unionByName(hashed.join(often, ["h", "back", "w1", "w2"], "left_semi").select("h", "span", "off", F.lit(1).alias("len")))
     stretches = found.groupBy("h", "span").agg(F.collect_set(F.struct("off", "len")).alias("part"))  # of one span
     whole = F.array(F.struct(F.lit(0).alias("off"), F.col("one.n").alias("len")))
     decided = spans.join(stretches, ["h", "span"], "left").select("h", "span", F.when(F.col("times") > 1, whole).otherwise(F.col("part")).alias("part")).where("part IS NOT NULL")
+    decided.write.parquet(f"{path}/decided")
+    decided = spark.read.schema("h long, span long, part array<struct<off: int, len: int>>").parquet(f"{path}/decided")
     of_mixed = mixed.join(decided, ["h", "span"]).select("doc_id", "mark", "first", F.explode("part").alias("x")).select("doc_id", "mark", (F.col("first") + F.col("x.off")).alias("first"), F.col("x.len").alias("n"))
     runs = plain.unionByName(of_mixed).groupBy("doc_id", "mark").agg(F.collect_set(F.struct(F.col("first").alias("start"), F.col("n").alias("len"))).alias("runs"))  # of one text
     return marked.join(runs.withColumnsRenamed({"doc_id": "d", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m")), "left").select("doc_id", "mark", "text", "runs")
