@@ -114,7 +114,7 @@ def write_ids(docs: DataFrame, path: str, vocabulary: str, end_id: int) -> None:
             kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), *[pa.list_(pa.int64())] * 4, pa.binary()]
             return pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(values, kinds, strict=True)], [x.split()[0] for x in PLAIN.split(", ")])
 
-        for batch in (part for whole in batches for part in text_slices(whole, "text")):
+        for batch in (part for whole in batches for part in text_slices(whole, "text", 1 << 22)):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), encoder(vocabulary, True).encode(batch.column("text").to_pylist()), strict=True):
                 held.append((doc, ids + end))
                 size += len(ids) // 4 + 1

@@ -35,7 +35,7 @@ def pieces(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int = END_ID,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         end = np.array([end_id], "<u4").tobytes()
-        for batch in (part for whole in batches for part in text_slices(whole, "text")):
+        for batch in (part for whole in batches for part in text_slices(whole, "text", 1 << 22)):
             out = defaultdict(list)
             texts = encoder(vocabulary, False).encode(batch.column("text").to_pylist())
             for doc, ids in zip(batch.column("doc_id").to_pylist(), texts, strict=True):

@@ -72,6 +72,21 @@ class ChunkEncoder:
             out += [raw[4 * a : 4 * b] for a, b in pairwise(bounds)]
         return out
 
+    def _bare_words(self, words: list[bytes]) -> list[bytes]:
+        """Words of letters without a space before them: many in one call, with line feeds between."""
+        feed = self.model.encode("\n", add_special_tokens=False).ids
+        out: list[bytes] = []
+        for at in range(0, len(words), 2000):
+            some = [w[1:].decode() for w in words[at : at + 2000]]
+            ids = np.array(self.model.encode_batch_fast(["\n".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.flatnonzero(ids == feed[0]).tolist()
+            if len(feed) != 1 or len(cuts) != len(some) - 1:
+                out += self._plain(some)
+                continue
+            raw = ids.tobytes()
+            out += [raw[4 * (a + 1) : 4 * b] for a, b in pairwise([-1, *cuts, len(ids)])]
+        return out
+
     def _marked(self, text: str) -> bytes | None:
         """The text with a space wherever a chunk ends."""
         raw = text.encode()
@@ -92,16 +107,16 @@ class ChunkEncoder:
             self.known, self.older = {}, self.known
         known, older = self.known, self.older
         out = list(map(known.get, chunks))
-        words, rest = [], []
+        words, bare, rest = [], [], []
         for k, c in enumerate(chunks):
             if out[k] is None:
                 found = older.get(c)
                 if found is not None:
                     out[k] = known[c] = found
                 else:
-                    (words if _is_word(c) else rest).append(k)
+                    (words if _is_word(c) else bare if self.spaced and c[:1] == BARE and _is_word(c[1:]) else rest).append(k)
         shown = [(c if not self.spaced else c[1:] if c[:1] == BARE else b" " + c).decode() for c in (chunks[k] for k in rest)]
-        for at, ids in ((words, self._words([chunks[k] for k in words])), (rest, self._plain(shown))):
+        for at, ids in ((words, self._words([chunks[k] for k in words])), (bare, self._bare_words([chunks[k] for k in bare])), (rest, self._plain(shown))):
             for k, x in zip(at, ids, strict=True):
                 out[k] = x
                 if len(chunks[k]) <= LONGEST_CHUNK:
