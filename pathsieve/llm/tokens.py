@@ -23,9 +23,15 @@ import pyarrow.compute as pc
 MOST_CHUNKS, LONGEST_CHUNK = 700_000, 48
 #: A chunk that starts so has no space before it.
 BARE = b"\x00"
-#: Where a chunk can't be cut off with certainty: white space in a row or the mark itself.
-_UNSURE = re.compile(r"\s\s|\x00")
-_ODD_STOP = re.compile("[^A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f][.,](?=[ \\n])")
+#: Where a chunk can't be cut off with certainty: white space in a row or the mark itself. Most texts have no white space but these two, and are told by plain searches.
+_UNSURE, _RARE = re.compile(r"\s\s|\x00"), re.compile("[\x00\t\r\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+_ROWS_OF_SPACE = ("  ", " \n", "\n ", "\n\n")
+#: A stop or comma before white space that doesn't follow a Latin letter.
+_ODD_STOP = re.compile("[.,](?<![A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f][.,])(?=[ \\n])")
+
+
+def _unsure(text: str) -> bool:
+    return bool(_UNSURE.search(text)) if _RARE.search(text) else any(x in text for x in _ROWS_OF_SPACE)
 
 
 def _is_word(chunk: bytes) -> bool:
@@ -91,7 +97,7 @@ class ChunkEncoder:
         """The text with a space wherever a chunk ends."""
         raw = text.encode()
         if self.spaced:
-            if _UNSURE.search(text):
+            if _unsure(text):
                 return None
             if not _ODD_STOP.search(text):
                 raw = raw.replace(b", ", b" \x00, ").replace(b". ", b" \x00. ").replace(b".\n", b" \x00.\n")
