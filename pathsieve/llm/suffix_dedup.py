@@ -255,6 +255,8 @@ def repeats(docs: DataFrame) -> DataFrame:
     spans.write.parquet(f"{path}/spans")
     spans = spark.read.schema("h long, span long, times long, one struct<doc_id: long, mark: int, first: int, n: int, rel: int>").parquet(f"{path}/spans")
     heavy = spans.groupBy("h").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > HOT).select("h", F.lit(True).alias("hot"))
+    heavy.write.parquet(f"{path}/heavy")
+    heavy = spark.read.schema("h long, hot boolean").parquet(f"{path}/heavy")
     wanted = spans.join(heavy, "h", "left").select("h", "span", "one.*", F.coalesce("hot", F.lit(False)).alias("hot"))
     wanted = wanted.groupBy("doc_id", "mark").agg(F.collect_list(F.struct("h", "span", "first", "n", "rel", "hot")).alias("wanted"))  # spans of one text
     sources = marked.join(wanted.withColumnsRenamed({"doc_id": "d", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m"))).select("text", "wanted")
