@@ -44,3 +44,31 @@ def test_stages_on_odd_and_empty_tables(spark, odd, nothing):
             stage(spark, docs, DATA).write.parquet(path)
             docs = spark.read.parquet(path)
             assert k == 4 or docs.columns == columns, name
+
+
+def test_near_duplicates_are_those_of_similar_shingles(spark, odd):
+    words = [f"w{k}" for k in range(200)]
+    changed = lambda *at: " ".join("new" if k in at else w for k, w in enumerate(words))
+    made = {1: changed(), 2: changed(20, 60, 100, 140), 3: changed(20, 60, 100, 140, 180, 40), 4: changed(10, 30, 50, 70, 90, 110), 5: " ".join(words[:100]), 6: "Short text", 7: "short  TEXT\n", 8: "short text too", None: changed(150)}
+    made |= {100 + r["doc_id"]: r["text"] for r in spark.read.parquet(f"{DATA}/documents.parquet").collect()}
+    split = {i: t.encode().lower().split() for i, t in made.items()}
+    sets = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for i, w in split.items()}
+    root = {i: i for i in sets if i}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in root:
+        for b in root:
+            if a < b and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    expected = {i for i in root if find(i) == i}
+    assert {1, 4, 5, 6, 8} <= expected and not {2, 3, 7} & expected and (_print(made[1]) ^ _print(made[2])).bit_count() > 4
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    found = corpus_pipeline.near_duplicates(spark, spark.createDataFrame([(i, t, None, None, None) for i, t in made.items()], schema), DATA)
+    assert sorted(r["doc_id"] for r in found.collect()) == sorted(expected)
+    some = corpus_pipeline.near_duplicates(spark, odd, DATA)
+    assert some.columns == odd.columns and {1, 3, 6, 8} <= {r["doc_id"] for r in some.collect()}
