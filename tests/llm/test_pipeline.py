@@ -72,3 +72,14 @@ def test_near_duplicates_are_those_of_similar_shingles(spark, odd):
     assert sorted(r["doc_id"] for r in found.collect()) == sorted(expected)
     some = corpus_pipeline.near_duplicates(spark, odd, DATA)
     assert some.columns == odd.columns and {1, 3, 6, 8} <= {r["doc_id"] for r in some.collect()}
+
+
+def test_language_stage_rejects_foreign_text_and_junk(spark):
+    docs = spark.read.parquet(f"{DATA}/documents.parquet").select("doc_id", "text", "lang", "source", "n_chars")
+    rng = np.random.default_rng(3)
+    drawn = lambda letters, n: "".join(rng.choice(list(letters), n))
+    others = ["Все люди рождаются свободными и равными в своем достоинстве и правах.", "人人生而自由，在尊严和权利上一律平等。", "Bütün insanlar hür, haysiyet ve haklar bakımından eşit doğarlar.", "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw."]
+    others += [drawn("abcdefghijklmnopqrstuvwxyz ", 500), drawn("0123456789abcdef", 500), drawn("#$%&/()=?*+~x {}[]<>;:_", 500), "12 34", ""]
+    more = spark.createDataFrame([(-1 - k, t, None, None, None) for k, t in enumerate(others)], docs.schema)
+    found = [r["doc_id"] for r in corpus_pipeline.language_id(spark, docs.unionByName(more), DATA).select("doc_id").collect()]
+    assert sorted(found) == sorted(r["doc_id"] for r in docs.select("doc_id").collect())
