@@ -93,6 +93,13 @@ def near_pairs(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
     return pairs.select("high", "low", "other_high", "other_low", apart.alias("distance"))
 
 
+def near_counts(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """(high, low, n_near) of every fingerprint that has others within the radius: how many. prints: (high, low), any rows."""
+    pairs = near_pairs(cut(own_columns(prints, "high", "low").distinct()), radius)  # written, so that hot blocks can be split
+    ends = pairs.select(F.explode(F.array(F.struct("high", "low"), F.struct(F.col("other_high").alias("high"), F.col("other_low").alias("low")))).alias("x"))
+    return cut(ends.groupBy("x.high", "x.low").agg(F.count(F.lit(1)).alias("n_near")))
+
+
 def in_order(docs: DataFrame) -> DataFrame:
     """docs (doc_id, text) with (block, place, next_text): the text of the next row in descending doc_id, the first row's after the last.
 
@@ -117,7 +124,7 @@ def in_order(docs: DataFrame) -> DataFrame:
 
 
 def edited_fingerprints(docs: DataFrame) -> DataFrame:
-    """A row for each row of docs: (doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next).
+    """A row for each row of docs: (doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next, n_near).
 
     The edited text has its last floor(n_chars / 2) code points replaced by the first as
     many, or all, of the next document in descending doc_id (the first after the last).
@@ -132,6 +139,7 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
     prints = fingerprints(both, [*keys, "kind"])
     pick = lambda kind, c: F.max(F.when(F.col("kind") == kind, F.col(c))).alias(f"{c}_{kind}")
     rows = cut(prints.groupBy(*keys).agg(*[pick(k, c) for k in (0, 1) for c in ("high", "low")]))
+    near = near_counts(rows.select(F.col("high_0").alias("high"), F.col("low_0").alias("low")))
     sizes = rows.groupBy("block").agg(F.max("place").alias("size"))  # MOST_BLOCKS rows at most
     sizes = sizes.withColumn("after", F.coalesce(F.lead("block").over(Window.orderBy("block")), F.min("block").over(Window.partitionBy())))
     rows = rows.join(F.broadcast(sizes), "block")
@@ -139,4 +147,5 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
     mine = rows.withColumn("next_block", F.when(last, F.col("after")).otherwise(F.col("block"))).withColumn("next_place", F.when(last, 1).otherwise(F.col("place") + 1))
     theirs = rows.select(F.col("block").alias("next_block"), F.col("place").alias("next_place"), F.col("high_0").alias("next_high"), F.col("low_0").alias("next_low"))
     own, edit, following = (F.col("high_0"), F.col("low_0")), (F.col("high_1"), F.col("low_1")), (F.col("next_high"), F.col("next_low"))
-    return mine.join(theirs, ["next_block", "next_place"]).select("doc_id", "n_chars", F.lower(F.hex("edited_sha256")).alias("edited_sha256"), as_text(*own).alias("fingerprint"), as_text(*edit).alias("edited_fingerprint"), likeness(own, edit).alias("near_edited"), likeness(own, following).alias("near_next"))
+    found = mine.join(theirs, ["next_block", "next_place"]).join(near.withColumnsRenamed({"high": "high_0", "low": "low_0"}), ["high_0", "low_0"], "left")
+    return found.select("doc_id", "n_chars", F.lower(F.hex("edited_sha256")).alias("edited_sha256"), as_text(*own).alias("fingerprint"), as_text(*edit).alias("edited_fingerprint"), likeness(own, edit).alias("near_edited"), likeness(own, following).alias("near_next"), F.coalesce("n_near", F.lit(0)).alias("n_near"))

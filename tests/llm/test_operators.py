@@ -75,6 +75,15 @@ def test_votes_and_near_pairs(spark):
         assert set(got) == expected and len(got) == len(expected)
 
 
+def test_near_fingerprints_are_counted(spark, docs):
+    text = " ".join(f"word{k} and{k % 7}" for k in range(400))
+    made = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(-1, text), (-2, text), (-3, text + " more")], "doc_id long, text string"))
+    found = by_id(fingerprints.edited_fingerprints(made))
+    prints = {i: int(r["fingerprint"], 16) for i, r in found.items()}
+    expected = {i: sum(0 < (p ^ q).bit_count() <= fingerprints.RADIUS for q in set(prints.values())) for i, p in prints.items()}
+    assert {i: r["n_near"] for i, r in found.items()} == expected and found[-1]["n_near"] == found[-2]["n_near"] > 0
+
+
 # -- 2 language --------------------------------------------------------------------------
 
 
