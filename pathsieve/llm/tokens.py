@@ -51,7 +51,9 @@ class ChunkEncoder:
         from tokenizers import Tokenizer
 
         self.model, self.spaced = Tokenizer.from_file(path), spaced
-        self.model.encode_special_tokens = True
+        #: Added tokens, which the library finds in a text before it splits; a text that holds one, in any case, goes to it as a whole.
+        self.added = sorted({t.content.lower() for t in self.model.get_added_tokens_decoder().values()})
+        self.starts = {re.match("[^A-Za-z]*", x)[0] for x in self.added}
         self.known: dict[bytes, bytes] = {}
         self.older: dict[bytes, bytes] = {}
         vocabulary = self.model.get_vocab()
@@ -94,7 +96,9 @@ class ChunkEncoder:
         return out
 
     def _marked(self, text: str) -> bytes | None:
-        """The text with a space wherever a chunk ends."""
+        """The text with a space wherever a chunk ends; None if it can't be cut."""
+        if any(x in text for x in self.starts) and any(x in text.lower() for x in self.added):
+            return None
         raw = text.encode()
         if self.spaced:
             if _unsure(text):
