@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import cut, own_columns, sha256_hex
+from pathsieve.llm.shared import cut, masked, own_columns, sha256_hex
 from pathsieve.llm.words import lower_word, with_words, words, words_as_written
 
 WINDOW, SMALL = 10, 100_000
@@ -95,10 +95,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) ->
 
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, size: int = WINDOW) -> DataFrame:
-    """The rows of docs, all columns, that hold no window of the benchmark."""
+    """The rows of docs, all columns, that hold no window of the benchmark. Null and empty texts hold none; repeated rows stay or go together."""
+    docs, named = masked(docs, "doc_id", "text")
     hit = exact_hits(docs, benchmark, size).where(F.size("hits") > 0).select(F.col("key").alias("hit_key")).distinct()
     key = F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.hex(F.xxhash64(F.coalesce("text", F.lit("")))))
-    return docs.join(hit, key == F.col("hit_key"), "left_anti")
+    return named(docs.join(hit, key == F.col("hit_key"), "left_anti"))
 
 
 def proximity_matches(docs: DataFrame, phrases: DataFrame, distance: int) -> DataFrame:

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import forget_tokenizers, own_columns, text_slices
+from pathsieve.llm.shared import forget_tokenizers, masked, own_columns, text_slices
 
 #: Hashed n-grams; sizes of n-grams; labelled texts of a language in the sample, at most; landmarks; ridge.
 DIMENSIONS, SIZES, SAMPLE, LANDMARKS, RIDGE = 1 << 15, (1, 2, 3, 4), 500, 256, 1e-3
@@ -95,12 +95,12 @@ def held_out(doc_id: Column, folds: int = 5, fold: int = 0) -> Column:
 
 
 def fit(docs: DataFrame, sample: int = SAMPLE) -> Model:
-    """From (doc_id, text, lang) of labelled rows that aren't held out: at most `sample` texts of a language, those of the least hash of their doc_id."""
+    """From (doc_id, text, lang) of labelled rows that aren't held out: at most `sample` texts of a language, those of the least hash of their doc_id and text, so that a doc_id that repeats isn't taken as a whole."""
     rows = own_columns(docs, "doc_id", "text", "lang").where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
     counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each language
     if not counts:
         return train(np.zeros((0, DIMENSIONS // 8), np.uint8), [])
-    at = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40))
+    at = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 40))
     share = F.lit(0.0)
     for lang, n in counts.items():
         share = F.when(F.col("lang") == lang, F.lit(min(1.0, 1.3 * sample / n + 30 / n))).otherwise(share)
@@ -150,7 +150,7 @@ def predict(docs: DataFrame, model: Model, columns: list[str] | None = None) ->
 
 
 def accepted(docs: DataFrame, model: Model, least_score: float) -> DataFrame:
-    """The rows of docs, all columns, whose text has a language: letters, and a score of `least_score` at least."""
-    columns = docs.columns
-    found = predict(docs, model, columns)
-    return found.where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least_score)).select(*[F.col(f"`{c}`") for c in columns])
+    """The rows of docs, all columns, whose text has a language: letters, and a score of `least_score` at least. Null and empty texts have none; repeated rows stay or go together."""
+    rows, named = masked(docs, "text")
+    found = predict(rows, model, rows.columns)
+    return named(found.where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least_score)))

@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm.components import components
-from pathsieve.llm.shared import cut, forget_tokenizers, own_columns, text_slices
+from pathsieve.llm.shared import cut, forget_tokenizers, masked, own_columns, text_slices
 
 RADIUS, SHINGLE, SEED = 4, 4, 42
 BLOCKS, KEEP, SHELL = 6, 2, 16
@@ -40,6 +40,11 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >= 1 << 63 else x
 
 
+def as_hex(fingerprint: Column) -> Column:
+    """16 lower-case hex digits."""
+    return F.lower(F.lpad(F.hex(fingerprint), 16, "0"))
+
+
 def fingerprint_batch(texts: list[str | None], size: int = SHINGLE) -> np.ndarray:
     """64-bit fingerprints: a bit is set if it is in over half the shingles' XXH64."""
     hashes: list[int] = []
@@ -137,22 +142,19 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     classes = least.join(linked, least["fingerprint"] == linked["id"], "left").select("fingerprint", "least", F.coalesce("component", "fingerprint").alias("component"))
     roots = classes.groupBy("component").agg(F.min("least").alias("component_id"))
     classes = cut(classes.join(roots, "component").join(ends, "fingerprint", "left").select("fingerprint", "component_id", F.coalesce("links", F.lit(0)).alias("links")))  # so that the last join's largest fingerprints can be split
-    return prints.join(classes, "fingerprint").select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id", "links")
+    return prints.join(classes, "fingerprint").select("doc_id", as_hex(F.col("fingerprint")).alias("fingerprint"), "component_id", "links")
 
 
 def one_of_each(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     """The rows of docs, all columns, without near-duplicates: of each component the row of its component_id stays.
 
-    Of repeated rows of that id one stays. Rows without an id stay, one for each text,
-    unless a document with an id is in their component.
+    Of repeated rows of that id and fingerprint one stays; another text that shares the id
+    is a document of its own. Rows without an id stay, one for each fingerprint, unless a
+    document with an id is in their component.
     """
-    found = cut(near_duplicates(docs, radius))
-    keep = found.where("doc_id = component_id").select("doc_id").distinct()
-    named = docs.where("doc_id IS NOT NULL").join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
-    alone = found.where("component_id IS NULL").select(F.col("fingerprint").alias("alone")).distinct()
-    unnamed = docs.where("doc_id IS NULL")
-    if alone.isEmpty():
-        return named
-    marked = fingerprints(unnamed, docs.columns)
-    stay = marked.join(alone, F.lower(F.lpad(F.hex("fingerprint"), 16, "0")) == F.col("alone"), "left_semi").dropDuplicates(["text"])
-    return named.unionByName(stay.select(docs.columns))
+    rows, named = masked(docs, "doc_id", "text")
+    found = near_duplicates(rows, radius)
+    keep = cut(found.where("doc_id = component_id OR component_id IS NULL").select(F.col("doc_id").alias("kept_id"), F.col("fingerprint").alias("kept_print")).distinct())
+    marked = fingerprints(rows, rows.columns)
+    stay = marked.join(keep, F.col("doc_id").eqNullSafe(F.col("kept_id")) & (as_hex(F.col("fingerprint")) == F.col("kept_print")), "left_semi")
+    return named(stay.dropDuplicates(["doc_id", "fingerprint"]))

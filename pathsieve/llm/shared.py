@@ -23,10 +23,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where that is unset (tests on one machine)."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where that is unset and all is on one machine (a local master); else an error."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext.getCheckpointDir()
+        if not held and not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = held.rsplit("/", 1)[0] if held else tempfile.mkdtemp(prefix="pathsieve-")
     return found.rstrip("/")
 
@@ -57,6 +59,12 @@ def own_columns(df: DataFrame, *names: str) -> DataFrame:
     return df.select(*[F.col(f"`{n}`") for n in names])
 
 
+def masked(docs: DataFrame, *named: str) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """docs under names that no operator uses, but for the columns `named`; and the way back to docs' own names and order."""
+    names = [c if c in named else f"given_column_{k}" for k, c in enumerate(docs.columns)]
+    return docs.toDF(*names), lambda df: df.select(*[F.col(f"`{m}`").alias(c) for m, c in zip(names, docs.columns, strict=True)])
+
+
 @cache
 def _lean() -> Callable[[], object]:
     """Has Arrow take memory from the C library, and gives the call by which that returns what is free: idle workers should hold little."""
