@@ -16,30 +16,37 @@ All windows are then sorted by their first 32 bytes; ties are resolved by the ra
 the next cover place, however long they are. Neighbours that agree on LENGTH bytes are
 repeats. A task holds one block of bounded size.
 
-A bucket of more than `HOT` different spans isn't sorted in one task: its windows become
-rows of their 128-bit hashes and are counted with partial sums, which is exact as well.
+Large buckets. A bucket whose different spans exceed `_BLOCK` bytes is cut before it is
+sorted: equal windows hold their anchor at the same place, so each span is cut into
+stretches of such places, PARTS at a time, and the bytes common to all windows of a
+stretch name its bucket together with those places. Stretches alone in their bucket are
+settled, and so are buckets of equal stretches; what is still too large is cut again, at
+last to single windows, whose buckets are equal ones. A passage in many contexts thus
+costs a few rows a context in each round, and every bucket that needs an order is sorted.
+
+Equal spans and stretches are told by 64-bit hashes within a bucket, sorted ones by their bytes.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import cache
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathsieve.llm.shared import forget_tokenizers, fresh_path, own_columns, text_slices, trim
+from pathsieve.llm.shared import forget_tokenizers, fresh_path, masked, own_columns, text_slices, trim
 
-LENGTH, GRAM, PERIOD, HOT = 200, 32, 31, 1000
+LENGTH, GRAM, PERIOD, PARTS = 200, 32, 31, 4
 _GRAMS = LENGTH - GRAM + 1
 _PLACE_BITS = 21
 _PIECE = 1 << 18
 _BLOCK = 1 << 20
-ANCHORS = "h long, span long, doc_id long, mark int, first int, n int, rel int"
+ANCHORS = "h long, span long, doc_id long, mark long, first int, n int, rel int"
 
 
 @cache
@@ -172,10 +179,14 @@ def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edges[::2].tolist(), (edges[1::2] - edges[::2]).tolist(), strict=True))
 
 
+def _mark() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")), F.coalesce(F.octet_length("text"), F.lit(0))).alias("mark")
+
+
 def _marked(docs: DataFrame) -> DataFrame:
-    """(doc_id, mark, text): id and mark name a row, or rows of one id and one text."""
+    """(doc_id, mark, text): id and mark name a row, or rows of one id and one text (texts of one id are told apart by 64 bits)."""
     docs = own_columns(docs, "doc_id", "text")
-    return docs.select("doc_id", F.hash(F.coalesce("text", F.lit(""))).alias("mark"), "text")
+    return docs.select("doc_id", _mark(), "text")
 
 
 def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -189,16 +200,47 @@ def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _span_bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (text, wanted: h, span, first, n, rel, hot) to the spans' bytes."""
+    """Rows (text, wanted: h, span, first, n, rel) to the spans' bytes."""
     for whole in batches:
         for batch in text_slices(whole, "text", 1 << 20):
-            out: dict[str, list] = {c: [] for c in ("h", "span", "rel", "hot", "bytes")}
+            out: dict[str, list] = {c: [] for c in ("h", "span", "rel", "bytes")}
             for text, wanted in zip(batch.column("text").to_pylist(), batch.column("wanted").to_pylist(), strict=True):
                 raw = text.encode()
                 for w in wanted:
-                    for c, x in zip(out, (w["h"], w["span"], w["rel"], w["hot"], raw[w["first"] : w["first"] + w["n"] + LENGTH - 1]), strict=True):
+                    for c, x in zip(out, (w["h"], w["span"], w["rel"], raw[w["first"] : w["first"] + w["n"] + LENGTH - 1]), strict=True):
+                        out[c].append(x)
+            yield pa.RecordBatch.from_arrays([pa.array(out["h"], pa.int64()), pa.array(out["span"], pa.int64()), pa.array(out["rel"], pa.int32()), pa.array(out["bytes"], pa.binary())], list(out))
+
+
+def stretches(raw: bytes, rel: int, width: int) -> Iterator[tuple[int, int, bytes]]:
+    """(first window, windows, common bytes) of a span's stretches: their anchors stand at places [k * width, (k + 1) * width) of the windows. rel: place of the anchor in the span."""
+    n, at = len(raw) - LENGTH + 1, 0
+    while at < n:
+        place = rel - at  # of the anchor, in window `at`; one less in the next
+        low = place // width * width
+        size = min(place - low + 1, n - at)
+        # what windows with the anchor at `low` .. `low + width - 1` share, around the anchor
+        begin, end = rel - low, rel - low - width + 1 + LENGTH
+        yield at, size, raw[max(begin, 0) : end]
+        at += size
+
+
+def _cut_spans(width: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Rows (h, span, off, key, rel, bytes) to those of their stretches, each with the key of its smaller bucket and a hash of its bytes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out: dict[str, list] = {c: [] for c in ("h", "span", "off", "key", "piece", "rel", "bytes")}
+            for h, span, off, key, rel, raw in zip(*(batch.column(c).to_pylist() for c in ("h", "span", "off", "key", "rel", "bytes")), strict=True):
+                for at, size, common in stretches(raw, rel, width):
+                    part = raw[at : at + size + LENGTH - 1]
+                    bucket = xxhash.xxh3_64_intdigest(common, (key ^ (rel - at) // width * 0x9E3779B97F4A7C15) % 2**64)
+                    for c, x in zip(out, (h, span, off + at, bucket - 2**63, xxhash.xxh3_64_intdigest(part, rel - at) - 2**63, rel - at, part), strict=True):
                         out[c].append(x)
-            yield pa.RecordBatch.from_arrays([pa.array(out["h"], pa.int64()), pa.array(out["span"], pa.int64()), pa.array(out["rel"], pa.int32()), pa.array(out["hot"], pa.bool_()), pa.array(out["bytes"], pa.binary())], list(out))
+            kinds = {"off": pa.int32(), "rel": pa.int32(), "bytes": pa.binary()}
+            yield pa.RecordBatch.from_arrays([pa.array(v, kinds.get(c, pa.int64())) for c, v in out.items()], list(out))
+
+    return run
 
 
 def _sorted_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -226,23 +268,56 @@ def _sorted_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     yield solve()
 
 
-def _hashed_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        out: dict[str, list] = {c: [] for c in ("h", "span", "off", "back", "w1", "w2")}
-        for h, span, rel, raw in zip(*(batch.column(c).to_pylist() for c in ("h", "span", "rel", "bytes")), strict=True):
-            for off in range(len(raw) - LENGTH + 1):
-                w = xxhash.xxh3_128_intdigest(raw[off : off + LENGTH])
-                for c, x in zip(out, (h, span, off, rel - off, (w >> 64) - (1 << 63), (w & (2**64 - 1)) - (1 << 63)), strict=True):
-                    out[c].append(x)
-        yield pa.RecordBatch.from_arrays([pa.array(v, pa.int32() if c in ("off", "back") else pa.int64()) for c, v in out.items()], list(out))
+def _settled(pieces: DataFrame, path: str) -> tuple[DataFrame, DataFrame]:
+    """(found, large) of pieces (h, span, off, key, piece, rel, bytes), a written table: stretches (h, span, off, len) that repeat, and the pieces of buckets that exceed a block."""
+    spark = pieces.sparkSession
+    same = pieces.groupBy("key", "piece").agg(F.count(F.lit(1)).alias("times"), F.max(F.octet_length("bytes")).alias("size"))
+    groups = same.groupBy("key").agg(F.sum("times").alias("times"), F.sum("size").alias("size"), F.count(F.lit(1)).alias("kinds")).where("times > 1").select("key", "kinds", (F.col("size") > _BLOCK).alias("large"))
+    groups.write.parquet(f"{path}/groups")
+    groups = spark.read.schema("key long, kinds long, large boolean").parquet(f"{path}/groups")
+    pieces.join(groups, "key").write.parquet(f"{path}/grouped")
+    grouped = spark.read.schema(f"{PIECES}, kinds long, large boolean").parquet(f"{path}/grouped")
+    windows = F.octet_length("bytes") - F.lit(LENGTH - 1)
+    equal = grouped.where("kinds = 1").select("h", "span", "off", windows.alias("len"))
+    small = grouped.where("kinds > 1 AND NOT large")
+    one = small.groupBy("key", "piece").agg(F.count(F.lit(1)).alias("times"), F.first("rel").alias("rel"), F.first("bytes").alias("bytes"))
+    one.write.parquet(f"{path}/different")
+    one = spark.read.schema("key long, piece long, times long, rel int, bytes binary").parquet(f"{path}/different")
+    ordered = one.select(F.col("key").alias("h"), F.col("piece").alias("span"), "rel", "bytes").repartition("h").sortWithinPartitions("h", "span").mapInArrow(_sorted_blocks, "h long, span long, off int, len int")
+    repeated = ordered.select(F.col("h").alias("key"), F.col("span").alias("piece"), F.col("off").alias("at"), F.col("len"))
+    repeated = repeated.unionByName(one.where("times > 1").select("key", "piece", F.lit(0).alias("at"), windows.alias("len")))
+    repeated.write.parquet(f"{path}/repeated")
+    repeated = spark.read.schema("key long, piece long, at int, len int").parquet(f"{path}/repeated")
+    sorted_ones = small.select("h", "span", "off", "key", "piece").join(repeated, ["key", "piece"]).select("h", "span", (F.col("off") + F.col("at")).alias("off"), "len")
+    return equal.unionByName(sorted_ones), grouped.where("kinds > 1 AND large").drop("kinds", "large", "piece")
+
+
+PIECES = "h long, span long, off int, key long, piece long, rel int, bytes binary"
+
+
+def _in_large_buckets(spans: DataFrame, path: str) -> DataFrame:
+    """(h, span, off, len) of the repeated windows in spans (h, span, rel, bytes) of buckets above a block."""
+    spark = spans.sparkSession
+    now, found, width, step = spans.select("h", "span", F.lit(0).alias("off"), F.col("h").alias("key"), "rel", "bytes"), None, _GRAMS, 0
+    while width > 1 and not now.isEmpty():
+        width, step = -(-width // PARTS), step + 1
+        # dealt by span, since one file may hold most of a large bucket
+        now.repartition("h", "span").mapInArrow(_cut_spans(width), PIECES).write.parquet(f"{path}/pieces-{step}")
+        some, now = _settled(spark.read.schema(PIECES).parquet(f"{path}/pieces-{step}"), f"{path}/round-{step}")
+        found = some if found is None else found.unionByName(some)
+    return found if found is not None else spark.createDataFrame([], "h long, span long, off int, len int")
 
 
 def repeats(docs: DataFrame) -> DataFrame:
-    """(doc_id, mark, text, runs) of each row of docs: runs is an array of (start, len), stretches of windows that stand elsewhere too; null if there are none. Null texts are null."""
+    """(doc_id, mark, text, runs) of each row of docs: runs is an array of (start, len), stretches of windows that stand elsewhere too; null if there are none. Null texts are null.
+
+    What is gathered into one row (spans or runs of one text) is smaller than that text.
+    """
     spark = docs.sparkSession
     marked = _marked(docs)
     path = fresh_path(spark, "repeats")
-    anchors = marked.where(F.octet_length("text") >= LENGTH).mapInArrow(_anchors, ANCHORS)
+    marked.where(F.octet_length("text") >= LENGTH).mapInArrow(_anchors, ANCHORS).write.parquet(f"{path}/anchors")  # written: they are read twice
+    anchors = spark.read.schema(ANCHORS).parquet(f"{path}/anchors")
     buckets = anchors.groupBy("h").agg(F.count(F.lit(1)).alias("times"), F.min("span").alias("a"), F.max("span").alias("b")).where("times > 1").select("h", (F.col("a") != F.col("b")).alias("mixed"))
     # written first: a join with an aggregate would take over its partitions, in which the engine can't split a large bucket
     buckets.write.parquet(f"{path}/buckets")
@@ -253,24 +328,19 @@ def repeats(docs: DataFrame) -> DataFrame:
     mixed = flagged.where("mixed").drop("mixed")
     spans = mixed.groupBy("h", "span").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("doc_id", "mark", "first", "n", "rel")).alias("one"))
     spans.write.parquet(f"{path}/spans")
-    spans = spark.read.schema("h long, span long, times long, one struct<doc_id: long, mark: int, first: int, n: int, rel: int>").parquet(f"{path}/spans")
-    heavy = spans.groupBy("h").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > HOT).select("h", F.lit(True).alias("hot"))
+    spans = spark.read.schema("h long, span long, times long, one struct<doc_id: long, mark: long, first: int, n: int, rel: int>").parquet(f"{path}/spans")
+    wanted = spans.select("h", "span", "one.*").groupBy("doc_id", "mark").agg(F.collect_list(F.struct("h", "span", "first", "n", "rel")).alias("wanted"))  # spans of one text
+    sources = marked.join(wanted.withColumnsRenamed({"doc_id": "d", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m"))).select("doc_id", "mark", "text", "wanted").dropDuplicates(["doc_id", "mark"])
+    sources.mapInArrow(_span_bytes, "h long, span long, rel int, bytes binary").write.parquet(f"{path}/bytes")
+    held = spark.read.schema("h long, span long, rel int, bytes binary").parquet(f"{path}/bytes")
+    heavy = spans.groupBy("h").agg(F.sum(F.col("one.n") + F.lit(LENGTH - 1)).alias("size")).where(F.col("size") > _BLOCK).select("h")
     heavy.write.parquet(f"{path}/heavy")
-    heavy = spark.read.schema("h long, hot boolean").parquet(f"{path}/heavy")
-    wanted = spans.join(heavy, "h", "left").select("h", "span", "one.*", F.coalesce("hot", F.lit(False)).alias("hot"))
-    wanted = wanted.groupBy("doc_id", "mark").agg(F.collect_list(F.struct("h", "span", "first", "n", "rel", "hot")).alias("wanted"))  # spans of one text
-    sources = marked.join(wanted.withColumnsRenamed({"doc_id": "d", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m"))).select("text", "wanted")
-    sources.mapInArrow(_span_bytes, "h long, span long, rel int, hot boolean, bytes binary").write.parquet(f"{path}/bytes")
-    held = spark.read.schema("h long, span long, rel int, hot boolean, bytes binary").parquet(f"{path}/bytes")
-    found = held.where("NOT hot").repartition("h").sortWithinPartitions("h", "span").mapInArrow(_sorted_blocks, "h long, span long, off int, len int")
-    hashed = held.where("hot").mapInArrow(_hashed_windows, "h long, span long, off int, back int, w1 long, w2 long")
-    often = hashed.groupBy("h", "back", "w1", "w2").agg(F.count(F.lit(1)).alias("times")).where("times > 1").select("h", "back", "w1", "w2")
-    often.write.parquet(f"{path}/often")
-    often = spark.read.schema("h long, back int, w1 long, w2 long").parquet(f"{path}/often")
-    found = found.unionByName(hashed.join(often, ["h", "back", "w1", "w2"], "left_semi").select("h", "span", "off", F.lit(1).alias("len")))
-    stretches = found.groupBy("h", "span").agg(F.collect_set(F.struct("off", "len")).alias("part"))  # of one span
+    heavy = spark.read.schema("h long").parquet(f"{path}/heavy")
+    found = held.join(heavy, "h", "left_anti").repartition("h").sortWithinPartitions("h", "span").mapInArrow(_sorted_blocks, "h long, span long, off int, len int")
+    found = found.unionByName(_in_large_buckets(held.join(heavy, "h", "left_semi"), path))
+    parts = found.groupBy("h", "span").agg(F.collect_set(F.struct("off", "len")).alias("part"))  # of one span
     whole = F.array(F.struct(F.lit(0).alias("off"), F.col("one.n").alias("len")))
-    decided = spans.join(stretches, ["h", "span"], "left").select("h", "span", F.when(F.col("times") > 1, whole).otherwise(F.col("part")).alias("part")).where("part IS NOT NULL")
+    decided = spans.join(parts, ["h", "span"], "left").select("h", "span", F.when(F.col("times") > 1, whole).otherwise(F.col("part")).alias("part")).where("part IS NOT NULL")
     decided.write.parquet(f"{path}/decided")
     decided = spark.read.schema("h long, span long, part array<struct<off: int, len: int>>").parquet(f"{path}/decided")
     of_mixed = mixed.join(decided, ["h", "span"]).select("doc_id", "mark", "first", F.explode("part").alias("x")).select("doc_id", "mark", (F.col("first") + F.col("x.off")).alias("first"), F.col("x.len").alias("n"))
@@ -315,10 +385,10 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
 
 
 def with_repeats_removed(docs: DataFrame) -> DataFrame:
-    """The rows of docs, all columns: text without its repeats, n_chars (where there is one) counted anew. Rows of which nothing is left go; rows without repeats stay as they are."""
-    columns = docs.columns
-    found = repeats(docs).where("runs IS NOT NULL").select("doc_id", "mark", "runs").dropDuplicates(["doc_id", "mark"])
-    schema = docs.schema
+    """The rows of docs, all columns: text without its repeats, n_chars (where there is one) counted anew. Rows of which nothing is left go; rows without repeats, null and empty texts stay as they are."""
+    rows, named = masked(docs, "doc_id", "text", "n_chars")
+    columns, schema = rows.columns, rows.schema
+    found = repeats(rows).where("runs IS NOT NULL").select(F.col("doc_id").alias("run_id"), F.col("mark").alias("run_mark"), "runs").dropDuplicates(["run_id", "run_mark"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -331,6 +401,5 @@ def with_repeats_removed(docs: DataFrame) -> DataFrame:
                 out = pa.RecordBatch.from_arrays([new.get(c, batch.column(c)) for c in columns], columns)
                 yield out.filter(pa.array([not g for g in gone]))
 
-    marked = docs.withColumn("mark_of_row", F.hash(F.coalesce("text", F.lit(""))))
-    joined = marked.join(found.withColumnsRenamed({"doc_id": "id_of_row", "mark": "m"}), F.col("doc_id").eqNullSafe(F.col("id_of_row")) & (F.col("mark_of_row") == F.col("m")), "left")
-    return joined.select(*[F.col(f"`{c}`") for c in columns], "runs").mapInArrow(run, schema)
+    joined = rows.withColumn("mark", _mark()).join(found, F.col("doc_id").eqNullSafe(F.col("run_id")) & (F.col("mark") == F.col("run_mark")), "left")
+    return named(joined.select(*[F.col(f"`{c}`") for c in columns], "runs").mapInArrow(run, schema))

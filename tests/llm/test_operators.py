@@ -7,11 +7,13 @@ from collections import Counter
 
 import duckdb
 import numpy as np
+import public_tokenizers
 import pytest
 import xxhash
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
-from pathsieve.llm import components, decontamination, fingerprints, html_text, huffman, language, language_model, licenses, near_dedup, packing, queries, suffix_dedup
+from pathsieve.llm import components, decontamination, fingerprints, html_text, huffman, language, language_model, licenses, near_dedup, packing, queries, shingle_dedup, suffix_dedup
 from pathsieve.llm.elias_fano import EliasFano, Trie
 from pathsieve.llm.tokens import encoder
 from tests.conftest import DATA
@@ -191,9 +193,11 @@ def test_proximity(spark):
 def test_chunks_give_the_tokenizers_ids(odd):
     rng = random.Random(5)
     texts = [t for _, t in rows(odd)] + ["".join(rng.choice("aB é.,'s1\n\t  <>ß中\x00") for _ in range(60)) for _ in range(300)] + ["a. B", "don't stop. it's", "<|endoftext|> x", " lead", "trail \n", "x.,  y"]
+    texts += ["x <|endoftext|> y", "<|endoftext|>", "A<|ENDOFTEXT|>b", "<|startoftext|>one two<|endoftext|>", "<| endoftext |>"]
     for name, spaced in ((packing.VOCABULARY, False), (huffman.VOCABULARY, True)):
         e = encoder(name, spaced)
-        expected = [np.array(x.ids, "<u4").tobytes() for x in e.model.encode_batch([t or "" for t in texts], add_special_tokens=False)]
+        fresh = Tokenizer.from_file(public_tokenizers.path(name))
+        expected = [np.array(x.ids, "<u4").tobytes() for x in fresh.encode_batch([t or "" for t in texts], add_special_tokens=False)]
         assert e.encode(texts) == expected and e.encode(texts) == expected
 
 
@@ -295,6 +299,10 @@ def test_near_duplicates(spark, docs, odd, nothing):
     assert near_dedup.near_duplicates(nothing).count() == 0
     kept = near_dedup.one_of_each(odd)
     assert kept.columns == odd.columns and Counter(r["doc_id"] for r in kept.collect())[1] == 1
+    a, b = "one two three four five six seven", "eight nine ten eleven twelve thirteen"
+    for one_of_each in (near_dedup.one_of_each, shingle_dedup.one_of_each):
+        some = spark.createDataFrame([(1, a), (7, a), (7, b), (None, b), (None, a + " more words here that differ from all others at length"), (None, a)], "doc_id long, text string")
+        assert sorted((r["doc_id"] or 0, r["text"][:3]) for r in one_of_each(some).collect()) == [(0, "one"), (1, "one"), (7, "eig")]
 
 
 def test_pairs_within_the_radius(spark):
@@ -332,9 +340,10 @@ def _cut(texts, n=200):
     return out
 
 
-@pytest.mark.parametrize("hot", [suffix_dedup.HOT, 1])
-def test_repeats_against_brute_force(spark, odd, nothing, monkeypatch, hot):
-    monkeypatch.setattr(suffix_dedup, "HOT", hot)
+@pytest.mark.parametrize("block", [suffix_dedup._BLOCK, 1])
+def test_repeats_against_brute_force(spark, odd, nothing, monkeypatch, block):
+    """block: 1 has every bucket of different spans cut to single windows."""
+    monkeypatch.setattr(suffix_dedup, "_BLOCK", block)
     rng = random.Random(6)
     word = lambda: "".join(rng.choice("abcdeé") for _ in range(rng.randrange(2, 9)))
     shared = [" ".join(word() for _ in range(60)) for _ in range(4)]
@@ -350,6 +359,32 @@ def test_repeats_against_brute_force(spark, odd, nothing, monkeypatch, hot):
     assert suffix_dedup.with_repeats_removed(odd).columns == odd.columns
 
 
+def test_one_passage_in_many_contexts(spark, monkeypatch):
+    """Contexts that agree with others for a few bytes, on either side of the passage: its bucket is cut in some places and sorted in others."""
+    monkeypatch.setattr(suffix_dedup, "_BLOCK", 20_000)
+    rng = random.Random(11)
+    drawn = lambda n: "".join(rng.choice("xyz") for _ in range(n))
+    passage = "".join(rng.choice("abcdefgh ") for _ in range(230))
+    made = [drawn(220) + passage + drawn(220) for _ in range(250)]
+    df = spark.createDataFrame([(k if k % 3 else None, t) for k, t in enumerate(made)], "doc_id long, text string")  # a third without an id
+    found = Counter((r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffix_dedup.remove_repeats(df).collect())
+    expected = _cut(made)
+    assert found == Counter(x[1:] for x in expected) and len({x[1] for x in expected}) > 4
+
+
+def test_stretches_of_a_span():
+    rng = random.Random(12)
+    raw = rng.randbytes(300)
+    for rel in (100, 168, 150):
+        for width in (169, 43, 11, 3, 1):
+            parts = list(suffix_dedup.stretches(raw, rel, width))
+            assert [k for at, n, _ in parts for k in range(at, at + n)] == list(range(101))
+            for at, n, common in parts:
+                assert len({(rel - k) // width for k in range(at, at + n)}) == 1
+                for k in range(at, at + n):
+                    assert common in raw[k : k + 200]
+
+
 def test_difference_cover():
     cover = suffix_dedup.difference_cover()
     assert {(a - b) % suffix_dedup.PERIOD for a in cover for b in cover} == set(range(suffix_dedup.PERIOD))

@@ -1,6 +1,7 @@
 import zlib
 
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from pathsieve.llm import packing
@@ -46,6 +47,22 @@ def test_stages_on_odd_and_empty_tables(spark, odd, nothing):
             assert k == 4 or docs.columns == columns, name
 
 
+CLASHES = ["score", "lang_pred", "runs", "m", "mark", "id_of_row", "mark_of_row", "fingerprint", "words", "component_id", "hit_key", "key", "kept_id", "row", "length", "piece"]
+
+
+def test_stages_keep_columns_of_any_name(spark, odd):
+    columns = ["doc_id", "text", "lang", "source", "n_chars"]
+    docs = odd.select(*columns, *[F.concat(F.lit(c), F.col("text")).alias(c) for c in CLASHES])
+    plain = odd.select(columns)
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        found = stage(spark, docs, DATA)
+        assert found.columns == docs.columns, name
+        rows = found.collect()
+        assert all(r[c] is None or r[c].startswith(c) for r in rows for c in CLASHES), name
+        assert sorted(map(repr, (r["doc_id"] for r in rows))) == sorted(map(repr, (r["doc_id"] for r in stage(spark, plain, DATA).collect()))), name
+    assert stage is corpus_pipeline.STAGES[-2][1] and corpus_pipeline.pack(spark, docs, DATA).count() >= odd.count()
+
+
 def test_near_duplicates_are_those_of_similar_shingles(spark, odd):
     words = [f"w{k}" for k in range(200)]
     changed = lambda *at: " ".join("new" if k in at else w for k, w in enumerate(words))
