@@ -1,11 +1,14 @@
 """License scans: an exact set-similarity join of text blocks with license templates.
 
-A block is a line. A template is found in a block that holds at least `threshold` of its
-distinct words. The join is exact: words are ordered by the number of documents that hold them,
-rarest first; of each template only the prefix is indexed, which every block that meets
-the threshold must touch; blocks with fewer template words than any template asks for
-are left out first (length filter), and a touched word's place in both orders bounds the
-overlap that can still come (positional filter). What is left is intersected.
+A block is a line, or up to `WRAPPED` lines in a row that are wrapped (none blank, none
+longer than `WRAP` characters), so that a notice broken over lines is one block. A
+template is found in a block that holds at least `threshold` of its distinct words. The
+join is exact: words are ordered by the number of documents that hold them, rarest
+first. A document whose words can't reach any template's threshold is left out at once.
+Of each template only the prefix is indexed, which every block that meets the threshold
+must touch; blocks with fewer template words than any template asks for are left out
+(length filter), and a touched word's place in both orders bounds the overlap that can
+still come (positional filter). What is left is intersected.
 
 Beside it stand the plain phrases: places where a phrase's words stand in a row.
 Everything is DataFrame operations; templates and phrases are parameters of fixed size.
@@ -22,6 +25,8 @@ from pathsieve.llm.shared import cut, own_columns
 from pathsieve.llm.words import words, words_for_ascii
 
 THRESHOLD = 0.9
+#: Lines in one block, where each has at most so many characters.
+WRAPPED, WRAP = 4, 120
 
 # Phrases and their labels.
 PHRASES = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
@@ -61,29 +66,46 @@ def template_sets(spark, templates: dict[str, str]) -> DataFrame:
     return rows.select("label", F.array_distinct(words(F.col("text"))).alias("terms")).where(F.size("terms") > 0)
 
 
+def blocks_of(text: Column) -> Column:
+    """Array of a text's blocks: its lines, then every row of 2 to WRAPPED wrapped lines that can't be longer by a line after it (shorter rows hold no more words)."""
+    lines = F.split(F.coalesce(text, F.lit("")), "\n")
+    fits = lambda x: (F.char_length(x) <= WRAP) & (F.trim(x) != "")
+    row = lambda k: F.slice(lines, k + 1, WRAPPED)
+    # a row ends before its first line that doesn't fit
+    length = lambda r: F.aggregate(r, F.struct(F.lit(0).alias("n"), F.lit(True).alias("on")), lambda a, x: F.struct(F.when(a["on"] & fits(x), a["n"] + 1).otherwise(a["n"]).alias("n"), (a["on"] & fits(x)).alias("on")), lambda a: a["n"])
+    rows = F.transform(F.sequence(F.lit(0), F.size(lines) - 1), lambda k: F.array_join(F.slice(row(k), 1, F.when(length(row(k)) > 1, length(row(k))).otherwise(0)), "\n"))
+    return F.concat(lines, F.filter(rows, lambda x: x != ""))
+
+
 def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
-    """(key, block, label, containment): every line, counted from 0, that holds at least `threshold` of a template's distinct words. docs: (key, text)."""
+    """(key, block, label, containment): every block that holds at least `threshold` of a template's distinct words. docs: (key, text); rows of one key are one text. Lines are counted from 0, rows of wrapped lines after them."""
     spark = docs.sparkSession
     sets = {r["label"]: r["terms"] for r in template_sets(spark, templates).collect()}  # the templates given
     if not sets:
         return docs.select("key", F.lit(0).alias("block"), F.lit("").alias("label"), F.lit(0.0).alias("containment")).limit(0)
     vocabulary = sorted({w for terms in sets.values() for w in terms})
     needs = {label: max(1, math.ceil(threshold * len(terms) - 1e-9)) for label, terms in sets.items()}
-    several = docs.select(F.array_intersect(words_against(F.col("text"), vocabulary), F.array(*map(F.lit, vocabulary))).alias("held"))
+    words_held = lambda text: F.array_intersect(words_against(text, vocabulary), F.array(*map(F.lit, vocabulary)))
+    several = docs.select(words_held(F.col("text")).alias("held"))
     order = {r["term"]: r["n"] for r in several.select(F.explode_outer("held").alias("term")).where("term IS NOT NULL").groupBy("term").agg(F.count(F.lit(1)).alias("n")).collect()}  # words of the templates only
     rank = {w: k for k, w in enumerate(sorted(vocabulary, key=lambda w: (order.get(w, 0), w)))}
     prefixes = []
     for label, terms in sets.items():
         ordered = sorted(terms, key=rank.__getitem__)
         prefixes += [(w, label, k, len(terms), needs[label]) for k, w in enumerate(ordered[: len(terms) - needs[label] + 1])]
-    blocks = docs.select("key", F.posexplode_outer(F.split(F.coalesce("text", F.lit("")), "\n")).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
+    reach = F.lit(False)
+    for label, terms in sets.items():
+        reach = reach | (F.size(F.array_intersect("held", F.array(*map(F.lit, terms)))) >= needs[label])
+    some = docs.select("key", "text", words_held(F.col("text")).alias("held")).where(reach).select("key", "text")
+    blocks = some.select("key", F.posexplode_outer(blocks_of(F.col("text"))).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
     touching = blocks.where(F.arrays_overlap("w", F.array(*[F.lit(w) for w in sorted({p[0] for p in prefixes})])))  # prefix filter
     held = touching.select("key", "block", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("held"))
     index = spark.createDataFrame(prefixes, "term string, label string, template_place int, template_size int, need int")
     ranks = spark.createDataFrame(list(rank.items()), "term string, rank int")
     full = spark.createDataFrame(list(sets.items()), "label string, terms array<string>")
     kept = held.where(F.size("held") >= min(needs.values()))  # length filter
-    ranked = kept.select("key", "block", "held", F.explode("held").alias("term")).join(F.broadcast(ranks), "term").groupBy("key", "block").agg(F.first("held").alias("held"), F.array_sort(F.collect_list(F.struct("rank", "term"))).alias("ordered"))
+    # a set: rows of one key, and so of one text, count once
+    ranked = kept.select("key", "block", "held", F.explode("held").alias("term")).join(F.broadcast(ranks), "term").groupBy("key", "block").agg(F.first("held").alias("held"), F.array_sort(F.collect_set(F.struct("rank", "term"))).alias("ordered"))
     touched = ranked.select("key", "block", "held", F.posexplode("ordered").alias("block_place", "o")).select("key", "block", "held", "block_place", F.col("o.term").alias("term")).join(F.broadcast(index), "term")
     may = F.least(F.col("template_size") - F.col("template_place"), F.size("held") - F.col("block_place"))  # positional filter: the first word in common and what follows it
     maybe = touched.where((F.size("held") >= F.col("need"))).groupBy("key", "block", "label", "template_size", "need").agg(F.first("held").alias("held"), F.max(may).alias("most")).where("most >= need")
@@ -104,7 +126,7 @@ def phrase_starts(w: Column, phrase: str) -> Column:
 def scan(docs: DataFrame, phrases: dict[str, str] = PHRASES, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
     """A row for each row of docs: (doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score).
 
-    score: the largest containment of a template in a line of the document, 1 where a
+    score: the largest containment of a template in a block of the document, 1 where a
     phrase stands; 0 if neither. Null and empty texts have no words, no labels, score 0;
     repeated rows give equal rows. Other columns of docs are not read.
     """

@@ -86,7 +86,10 @@ WITH d AS (SELECT row_number() OVER () AS k, doc_id, text, {_WORDS} AS w FROM do
 phrases(phrase, label) AS (VALUES {values(licenses.PHRASES)}),
 base AS (SELECT k, label, unnest(list_filter(range(0, len(w)), lambda i: list_slice(w, i + 1, i + len(string_split(phrase, ' '))) = string_split(phrase, ' '))) AS place FROM d, phrases WHERE list_has_all(w, string_split(phrase, ' '))),
 b AS (SELECT k, count(*) AS n_base, min(place) AS first_word, max(place) AS last_word, list(DISTINCT label) AS labels FROM base GROUP BY k),
-lines AS (SELECT k, list_distinct(text_words) AS lw FROM (SELECT k, {_WORDS} AS text_words FROM (SELECT k, unnest(string_split(coalesce(text, ''), chr(10))) AS text FROM d))),
+split AS (SELECT k, nth, line, length(line) <= {licenses.WRAP} AND trim(line, ' ') <> '' AS fits FROM (SELECT k, unnest(string_split(coalesce(text, ''), chr(10))) AS line, unnest(range(len(string_split(coalesce(text, ''), chr(10))))) AS nth FROM d)),
+rows_of AS (SELECT k, list(line) OVER w AS run_lines, list(fits) OVER w AS fit FROM split WINDOW w AS (PARTITION BY k ORDER BY nth ROWS BETWEEN CURRENT ROW AND {licenses.WRAPPED - 1} FOLLOWING)),
+blocks AS (SELECT k, line AS text FROM split UNION ALL SELECT k, array_to_string(list_slice(run_lines, 1, coalesce(nullif(list_position(fit, false), 0) - 1, len(fit))), chr(10)) AS text FROM rows_of WHERE fit[1]),
+lines AS (SELECT k, list_distinct(text_words) AS lw FROM (SELECT k, {_WORDS} AS text_words FROM blocks)),
 templates AS (SELECT label, list_distinct({_WORDS}) AS tw FROM (VALUES {values(licenses.TEMPLATES)}) AS t(label, text)),
 s AS (SELECT k, list(DISTINCT label) AS labels, max(c) AS score FROM (SELECT k, label, len(list_intersect(lw, tw)) / len(tw) AS c FROM lines, templates WHERE list_has_any(lw, tw) AND len(list_intersect(lw, tw)) >= {licenses.THRESHOLD} * len(tw) - 1e-9) GROUP BY k)
 SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_base, 0)::BIGINT AS n_base, first_word::BIGINT AS first_word, last_word::BIGINT AS last_word,

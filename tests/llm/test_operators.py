@@ -442,6 +442,14 @@ def test_licenses(spark, odd, nothing):
     mit = spark.createDataFrame([(1, "x\nReleased UNDER the MIT license!\ny"), (2, "released under license")], "doc_id long, text string")
     assert {i: (r["labels"], r["n_base"]) for i, r in by_id(licenses.scan(mit)).items()} == {1: ("mit", 0), 2: ("", 0)}
     assert licenses.scan(mit, templates={}).count() == 2
+    text = "Creative Commons attribution international work: Released under the MIT License"
+    for times in (1, 2, 3):  # repeated rows
+        found = licenses.scan(spark.createDataFrame([(1, text)] * times, "doc_id long, text string")).collect()
+        assert [(r["labels"], r["score"]) for r in found] == [("mit", 1.0)] * times
+    notice = licenses.TEMPLATES["mit-permission"].split()
+    wrapped = "\n".join(" ".join(notice[k : k + 7]) for k in range(0, len(notice), 7))
+    found = by_id(licenses.scan(spark.createDataFrame([(1, f"x\n\n{wrapped}\n\ny"), (2, wrapped.replace("\n", "\n\n")), (3, wrapped.replace("\n", "\n" + "z " * 80 + "\n"))], "doc_id long, text string")))
+    assert {i: r["labels"] for i, r in found.items()} == {1: "mit-permission", 2: "", 3: ""}
 
 
 def test_similar_blocks_against_brute_force(spark):
@@ -449,10 +457,18 @@ def test_similar_blocks_against_brute_force(spark):
     vocabulary = [f"w{k}" for k in range(12)]
     templates = {f"t{k}": " ".join(rng.sample(vocabulary, rng.randrange(1, 8))) for k in range(6)}
     lines = [" ".join(rng.choice(vocabulary) for _ in range(rng.randrange(1, 15))) for _ in range(150)]
-    df = spark.createDataFrame([(str(k), "\n".join(lines[k : k + 3])) for k in range(0, 150, 3)], "key string, text string")
-    got = {(r["key"], r["block"], r["label"], round(r["containment"], 9)) for r in licenses.similar_blocks(df, templates, 0.75).collect()}
-    expected = {(str(k // 3 * 3), k % 3, t, round(c, 9)) for k, line in enumerate(lines) for t, x in templates.items() if (c := len(set(x.split()) & set(line.split())) / len(set(x.split()))) >= 0.75}
-    assert got == expected
+    texts = {str(k): "\n".join(lines[k : k + 6]) for k in range(0, 150, 6)}
+    texts["6"] = texts["6"].replace("\n", "\n\n")
+    df = spark.createDataFrame(list(texts.items()) * 2, "key string, text string")  # repeated rows
+    got = {(r["key"], r["label"], round(r["containment"], 9)) for r in licenses.similar_blocks(df, templates, 0.75).collect()}
+    expected = set()
+    for key, text in texts.items():
+        split = text.split("\n")
+        some = [" ".join(split[a:b]) for a in range(len(split)) for b in range(a + 1, min(len(split), a + licenses.WRAPPED) + 1) if b == a + 1 or all(split[a:b])]
+        for x in some:
+            expected |= {(key, t, c) for t, y in templates.items() if (c := len(set(y.split()) & set(x.split())) / len(set(y.split()))) >= 0.75}
+    best = lambda rows: {(k, t): max(c for a, b, c in rows if (a, b) == (k, t)) for k, t, _ in rows}
+    assert {k: round(v, 9) for k, v in best(expected).items()} == best(got)
 
 
 @pytest.mark.parametrize("name", ["op4_positional_decontamination", "op10_license_scan"])
