@@ -3,8 +3,9 @@
 A monotone sequence keeps the low bits of each value packed and the high parts in unary,
 about 2 bits each. A level of the trie is the sequence parent * symbols + symbol of its
 nodes, so that the children of a node are a stretch of it, found by a sequence of
-monotone pointers and searched for the symbol. Probabilities and back-off weights are
-indexes into codebooks.
+monotone pointers and searched for the symbol. Symbols are numbered within a trie, by
+their place in a sequence of their own. Log probabilities and back-off weights are codes
+of 16 bits.
 """
 
 from __future__ import annotations
@@ -16,7 +17,8 @@ from dataclasses import dataclass
 
 import numpy as np
 
-CODEBOOK_BITS = 12
+#: Codes stand for log10 values from 0 down to -LOWEST.
+LOWEST, TOP = 12.0, (1 << 16) - 1
 
 
 @dataclass(frozen=True)
@@ -82,111 +84,60 @@ class EliasFano:
         return out
 
 
-def _codebook(values: np.ndarray, bits: int = CODEBOOK_BITS) -> tuple[np.ndarray, np.ndarray]:
-    """(codes, codebook): bins of equal size, each stands for its mean."""
-    size = min(1 << bits, max(len(values), 1))
-    order = np.argsort(values, kind="stable")
-    codes = np.zeros(len(values), np.uint16)
-    codes[order] = np.arange(len(values)) * size // max(len(values), 1)
-    sums, counts = np.bincount(codes, values, size), np.bincount(codes, minlength=size)
-    return codes, (sums / np.maximum(counts, 1)).astype(np.float32)
+def coded(log10: np.ndarray) -> np.ndarray:
+    """Codes of log10 values of 0 or less; the nearest step of LOWEST / TOP."""
+    return np.rint(np.clip(-log10, 0, LOWEST) * (TOP / LOWEST)).astype(np.uint16)
+
+
+def decoded(codes: np.ndarray) -> np.ndarray:
+    return codes * (-LOWEST / TOP)
 
 
 @dataclass
 class Trie:
-    """Levels 1 .. order: nodes, pointers to children, codes of log10 probability and back-off, codebooks."""
+    """n-grams of up to three symbols. counts: of the first level's nodes; likely: codes of log10 probability of the second and third level's last symbol; backoff: codes of the weight that a second-level node leaves to shorter contexts."""
 
-    order: int
-    bits: int  # of a symbol
+    symbols: EliasFano
     nodes: list[EliasFano]
     pointers: list[EliasFano]
-    probability: list[np.ndarray]
-    backoff: list[np.ndarray]
-    books: list[np.ndarray]
+    counts: np.ndarray
+    likely: list[np.ndarray]
+    backoff: np.ndarray
 
     @classmethod
-    def build(cls, keys: np.ndarray, counts: np.ndarray, order: int, bits: int, discount: float = 0.75) -> Trie:
-        """keys: n-grams of `order` symbols, `bits` each, first symbol highest; every shorter one is a suffix of these. Interpolated absolute discounting down to equal shares."""
-        grams: list[tuple[np.ndarray, np.ndarray]] = [(np.zeros(0, np.int64), np.zeros(0))] * (order + 1)
-        for k in range(order, 0, -1):
-            tail = keys & ((1 << bits * k) - 1)
-            found, inverse = np.unique(tail, return_inverse=True)
-            grams[k] = (found, np.bincount(inverse, counts, len(found)))
-        below: tuple[np.ndarray, np.ndarray] = (np.zeros(1, np.int64), np.full(1, np.nan))  # of order 0
-        smooth: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []  # n-grams, log probability, contexts, log back-off
-        for k in range(1, order + 1):
-            found, n = grams[k]
-            context, inverse = np.unique(found >> bits, return_inverse=True)
-            total, kinds = np.bincount(inverse, n, len(context)), np.bincount(inverse, minlength=len(context))
-            left = np.minimum(discount, 0.5 * total / np.maximum(kinds, 1)) * kinds / total
-            share = left[inverse]
-            shorter = np.full(len(found), 1 / (1 << bits)) if k == 1 else below[1][np.searchsorted(below[0], found & ((1 << bits * (k - 1)) - 1))]
-            taken = np.minimum(discount, 0.5 * total / np.maximum(kinds, 1))[inverse]
-            p = (n - taken) / total[inverse] + share * shorter
-            smooth.append((found, np.log10(p), context, np.log10(left)))
-            below = (found, p)
-        nodes, pointers, probability, backoff, books = [], [], [], [], []
-        parents = np.zeros(1, np.int64)
-        for k in range(1, order + 1):
-            found, p, *_ = smooth[k - 1]
-            longer = smooth[k][2] if k < order else np.zeros(0, np.int64)
-            every = np.union1d(found, longer)  # contexts of starts alone have no probability of their own
-            parent = np.searchsorted(parents, every >> bits)
-            nodes.append(EliasFano.build(parent * (1 << bits) + (every & (1 << bits) - 1), max(len(parents), 1) << bits))
-            pointers.append(EliasFano.build(np.searchsorted(parent, np.arange(len(parents) + 1)), len(every) + 1))
-            full = np.full(len(every), -99.0)
-            full[np.searchsorted(every, found)] = p
-            weight = np.zeros(len(every))
-            if k < order:
-                weight[np.searchsorted(every, longer)] = smooth[k][3]
-            for values, into in ((full, probability), (weight, backoff)):
-                codes, book = _codebook(values)
-                into.append(codes)
-                books.append(book)
-            parents = every
-        unigram = smooth[0][3][0] if len(smooth[0][3]) else 0.0
-        books.append(np.array([unigram], np.float32))
-        return cls(order, bits, nodes, pointers, probability, backoff, books)
-
-    def _walk(self, keys: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """Node of each n-gram of k symbols, and of its context (one symbol less; 0 at k = 1); -1 if there is none."""
-        node, context = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
-        for level in range(k):
-            context = node
-            ok = np.flatnonzero(node >= 0)
-            symbol = keys[ok] >> self.bits * (k - 1 - level) & (1 << self.bits) - 1
+    def build(cls, symbols: np.ndarray, firsts: np.ndarray, pairs: np.ndarray, triples: np.ndarray, counts: np.ndarray, likely: list[np.ndarray], backoff: np.ndarray) -> Trie:
+        """symbols: ascending; firsts: their numbers; pairs: (place in firsts) * symbols + number; triples: (place in pairs) * symbols + number; all ascending."""
+        size = max(len(symbols), 1)
+        nodes, pointers, parents = [], [], 1
+        for level in (firsts, pairs, triples):
+            nodes.append(EliasFano.build(level, parents * size))
+            pointers.append(EliasFano.build(np.searchsorted(level, np.arange(parents + 1) * size), len(level) + 1))
+            parents = max(len(level), 1)
+        return cls(EliasFano.build(symbols, 1 << 63), nodes, pointers, counts, likely, backoff)
+
+    def numbers(self, symbols: np.ndarray) -> np.ndarray:
+        """Numbers of symbols, -1 for those that the trie doesn't know."""
+        return self.symbols.find(symbols, np.zeros(len(symbols), np.int64), np.full(len(symbols), self.symbols.n))
+
+    def walk(self, *symbols: np.ndarray) -> list[np.ndarray]:
+        """Nodes along the n-grams of these symbols, level by level; -1 from where there is none. A node's children are searched in its stretch alone."""
+        node, out = np.zeros(len(symbols[0]), np.int64), []
+        for level, some in enumerate(symbols):
+            number = self.numbers(some)
+            ok = np.flatnonzero((node >= 0) & (number >= 0))
             begin, end = self.pointers[level].get(node[ok]), self.pointers[level].get(node[ok] + 1)
-            node = np.full(len(keys), -1, np.int64)
-            node[ok] = self.nodes[level].find((context[ok] << self.bits) + symbol, begin, end)
-        return node, context
-
-    def log10(self, keys: np.ndarray) -> np.ndarray:
-        """log10 P(last symbol | those before it) of n-grams of `order` symbols: the longest suffix that the trie has, with the back-off of each longer context."""
-        out, todo = np.zeros(len(keys)), np.arange(len(keys))
-        for k in range(self.order, 0, -1):
-            node, context = self._walk(keys[todo] & ((1 << self.bits * k) - 1), k)
-            hit = node >= 0
-            p = self.books[2 * (k - 1)][self.probability[k - 1][np.maximum(node, 0)]]
-            hit &= p > -98
-            out[todo[hit]] += p[hit]
-            todo, context = todo[~hit], context[~hit]
-            if k > 1:
-                known = context >= 0
-                out[todo[known]] += self.books[2 * (k - 1) - 1][self.backoff[k - 2][context[known]]]
-        out[todo] += float(self.books[-1][0]) - self.bits * np.log10(2)
+            found = np.full(len(node), -1, np.int64)
+            found[ok] = self.nodes[level].find(node[ok] * max(self.symbols.n, 1) + number[ok], begin, end)
+            node = found
+            out.append(node)
         return out
 
     # -- as one block of bytes ---------------------------------------------------------
 
     def dump(self) -> bytes:
-        arrays, plan = [], []
-        for k in range(self.order):
-            for e in (self.nodes[k], self.pointers[k]):
-                plan.append([e.n, e.low_bits])
-                arrays += [e.low, e.high, e.ranks]
-            arrays += [self.probability[k], self.backoff[k]]
-        arrays += self.books
-        head = json.dumps({"order": self.order, "bits": self.bits, "plan": plan, "arrays": [[a.dtype.str, len(a)] for a in arrays]}).encode()
+        sequences = [self.symbols, *(e for k in range(3) for e in (self.nodes[k], self.pointers[k]))]
+        arrays = [a for e in sequences for a in (e.low, e.high, e.ranks)] + [self.counts, *self.likely, self.backoff]
+        head = json.dumps({"plan": [[e.n, e.low_bits] for e in sequences], "arrays": [[a.dtype.str, len(a)] for a in arrays]}).encode()
         out = io.BytesIO()
         out.write(len(head).to_bytes(8, "little") + head)
         for a in arrays:
@@ -195,7 +146,7 @@ class Trie:
 
     @classmethod
     def mapped(cls, raw: bytes) -> Trie:
-        """The block in a temporary file without a name, mapped into memory."""
+        """The block in a temporary file without a name, mapped into memory. The file is one task's own; a task that starts anew writes it anew."""
         held = tempfile.TemporaryFile()
         held.write(raw)
         held.flush()
@@ -208,11 +159,6 @@ class Trie:
             width = np.dtype(kind).itemsize
             arrays.append(block[at : at + n * width].view(kind))
             at += n * width
-        nodes, pointers, probability, backoff = [], [], [], []
-        for k in range(head["order"]):
-            some = arrays[8 * k : 8 * k + 8]
-            nodes.append(EliasFano(*head["plan"][2 * k], *some[0:3]))
-            pointers.append(EliasFano(*head["plan"][2 * k + 1], *some[3:6]))
-            probability.append(some[6])
-            backoff.append(some[7])
-        return cls(head["order"], head["bits"], nodes, pointers, probability, backoff, arrays[8 * head["order"] :])
+        symbols, *levels = (EliasFano(*plan, *arrays[3 * k : 3 * k + 3]) for k, plan in enumerate(head["plan"]))
+        counts, second, third, backoff = arrays[3 * len(head["plan"]) :]
+        return cls(symbols, levels[::2], levels[1::2], counts, [second, third], backoff)

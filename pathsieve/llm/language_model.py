@@ -1,36 +1,49 @@
-"""Language-model scores from a compact n-gram trie.
+"""Language-model scores from tries of word trigrams, sharded by context.
 
-The most frequent tokens are classes of their own, all others share one. An Elias-Fano
-trie holds the n-grams of classes with interpolated, quantised probabilities; a token of
-the shared class has its own discounted count beside it, and what the discount leaves is
-the probability of a token that training never saw:
+Every distinct token is a symbol: the most frequent ones by their rank, all others by 62
+bits of a hash. Each token starts one entry (itself and the two after it); entries go,
+packed by thousands, to shards by their first two symbols (by the first alone where that
+is rare). A shard numbers its symbols, builds an Elias-Fano trie of what training texts
+sent, and settles all entries in one pass: those of training by the nodes that they are,
+the others by a search in the mapped trie.
 
-    P(token | before) = P(class | classes before) x P(token | class)
+    P(w | u, v) = c(u v w) / (c(u v) + KEPT)  if training has u v w,  else KEPT / (c(u v) + KEPT) x P(w | v)
+    P(w | v)    = c(v w) / (c(v) + KEPT)      if training has v w,    else KEPT / (c(v) + KEPT) x P(w)
+    P(w)        = (c(w) + 1) / (N + V + 1)
 
-Token counts are exact and cover all training texts; they stay distributed. Two things
-go to every task, both bounded by their parameters: the trie (2^(BITS x ORDER) n-grams at
-most) and the counts of the most frequent tokens (MOST_FREQUENT). All other tokens meet
-their counts in a join, where none is frequent enough to be a hot key.
+A text starts with two symbols of its own and ends with an end token. The levels keep
+probabilities and back-off weights as 16-bit codes; counts of tokens are exact.
+
+No task holds the whole model. Two things go to every task, both of bounded size: the
+MOST_FREQUENT tokens with their counts, and nothing that grows with the texts. Entries
+whose first two symbols are both among the HOT most frequent are dealt to SALTS shards by
+their third; their pairs' counts go to each of those.
 """
 
 from __future__ import annotations
 
 import math
+import pickle
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathsieve.llm.elias_fano import Trie
-from pathsieve.llm.shared import LOWER, UPPER, fresh_path, own_columns, text_slices
+from pathsieve.llm.elias_fano import LOWEST, TOP, Trie, coded, decoded
+from pathsieve.llm.shared import LOWER, UPPER, forget_tokenizers, fresh_path, own_columns, text_slices, trim
 
-ORDER, BITS, MOST_FREQUENT = 3, 7, 150_000
-#: Classes: before the text, its end, all tokens without a class of their own; those follow.
-START, END, OTHER, FIRST = 0, 1, 2, 3
+MOST_FREQUENT, HOT, SALTS, KEPT = 150_000, 16, 16, 1.0
+#: Bytes of text in a slice, and for each shard.
+SLICE, SHARD = 1 << 22, 1 << 23
+#: Symbols: after the end, two and one before the start, the end; frequent tokens follow, all others have the bit RARE.
+PAD, START2, START1, END, FIRST = 0, 1, 2, 3, 4
+RARE = 1 << 62
 _SPACES = b"\t\n\x0b\x0c\r"
 _PLAIN = bytes.maketrans(UPPER.encode() + _SPACES, LOWER.encode() + b" " * len(_SPACES))
 
@@ -68,137 +81,249 @@ def token_counts(texts: DataFrame) -> DataFrame:
     return texts.select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def _grams(index: np.ndarray, owner: np.ndarray, texts: int, classes: np.ndarray, order: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """(n-gram, text number) of every token, ends with them. index: distinct number of each word; classes: of each distinct word."""
+def _packed(*values: object) -> bytes:
+    """Arrays of eight bytes a number are laid out by the rank of their bytes, which packs small and repeated numbers well."""
+    flat = [(v.dtype.str, v.view(np.uint8).reshape(-1, 8).T.tobytes()) if isinstance(v, np.ndarray) and v.itemsize == 8 else v for v in values]
+    return zstandard.compress(pickle.dumps(flat, 5), 1)
+
+
+def _unpacked(raw: bytes) -> list:
+    flat = pickle.loads(zstandard.decompress(raw))
+    return [np.frombuffer(v[1], np.uint8).reshape(8, -1).T.copy().view(v[0]).ravel() if isinstance(v, tuple) else v for v in flat]
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = x.astype(np.uint64)
+    x = (x ^ x >> np.uint64(31)) * np.uint64(0x9E3779B97F4A7C15)
+    return x ^ x >> np.uint64(29)
+
+
+def shard_of(u: np.ndarray, v: np.ndarray, w: np.ndarray, shards: int) -> np.ndarray:
+    """By the first symbol if that is rare, else by the first two, and by a share of the third where both are hot."""
+    both, hot = _mixed(u) ^ np.where(u < RARE, _mixed(_mixed(v)), 0).astype(np.uint64), (u < FIRST + HOT) & (v < FIRST + HOT)
+    salt = np.where(hot, _mixed(w) % np.uint64(SALTS) + np.uint64(1), 0).astype(np.uint64)
+    return (_mixed(_mixed(both + salt)) % np.uint64(shards)).astype(np.int64)
+
+
+def entries(symbols: np.ndarray, owner: np.ndarray, texts: int) -> tuple[np.ndarray, ...]:
+    """(u, v, w, text number): the entries of texts given as the symbols of their tokens; of n tokens n + 2, the first two start before the text."""
     n = np.bincount(owner, minlength=texts)
-    slots = n + order  # order - 1 starts, the words, an end
+    slots = n + 4  # two starts, the tokens, end, pad
     at = np.cumsum(slots) - slots
-    symbols = np.full(int(slots.sum()), START, np.int64)
-    symbols[np.repeat(at + order - 1 - (np.cumsum(n) - n), n) + np.arange(len(index))] = classes[index]
-    symbols[at + slots - 1] = END
-    keys = np.zeros(max(len(symbols) - order + 1, 0), np.int64)
-    for k in range(order):
-        keys = keys << bits | symbols[k : k + len(keys)]
-    each = n + 1
+    laid = np.zeros(int(slots.sum()), np.int64)
+    laid[at], laid[at + 1], laid[at + slots - 2] = START2, START1, END
+    laid[np.repeat(at + 2 - (np.cumsum(n) - n), n) + np.arange(len(symbols))] = symbols
+    each = n + 2
     first = np.repeat(at - (np.cumsum(each) - each), each) + np.arange(int(each.sum()))
-    return keys[first], np.repeat(np.arange(texts), each)
+    return laid[first], laid[first + 1], laid[first + 2], np.repeat(np.arange(texts), each)
 
 
-def gram_counts(texts: DataFrame, own: list[bytes], order: int, bits: int) -> DataFrame:
-    """(gram, n): n-grams of classes over all texts. own: tokens with classes of their own."""
+def _hot_pairs(u: np.ndarray, v: np.ndarray, shards: int) -> dict[int, tuple[np.ndarray, ...]]:
+    """shard -> (u, v, count) of the hot pairs whose entries may go there."""
+    size = FIRST + HOT
+    hot = (u < size) & (v < size)
+    if not hot.any():
+        return {}
+    pair, n = np.unique(u[hot] * size + v[hot], return_counts=True)
+    a, b, c = (np.repeat(x, SALTS) for x in (pair // size, pair % size, n))
+    both = _mixed(a) ^ _mixed(_mixed(b))
+    to = (_mixed(_mixed(both + np.tile(np.arange(1, SALTS + 1, dtype=np.uint64), len(pair)))) % np.uint64(shards)).astype(np.int64)
+    _, keep = np.unique(to * size * size + a * size + b, return_index=True)
+    a, b, c, to = a[keep], b[keep], c[keep], to[keep]  # ascending by shard
+    cuts = np.flatnonzero(np.r_[True, to[1:] != to[:-1]])
+    return {int(to[i]): (a[i:j], b[i:j], c[i:j]) for i, j in zip(cuts, [*cuts[1:], len(to)], strict=True)}
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        place, total = {w: FIRST + k for k, w in enumerate(own)}, np.zeros(1 << bits * order, np.int64)
-        for whole in batches:
-            for batch in text_slices(whole, "text", 1 << 21):
-                index, owner, words = _tokens(batch.column("text").to_pylist())
-                keys, _ = _grams(index, owner, batch.num_rows, np.array([place.get(w, OTHER) for w in words], np.int64), order, bits)
-                found, n = np.unique(keys, return_counts=True)
-                total[found] += n
-        used = np.flatnonzero(total)
-        for at in range(0, len(used), 100_000):
-            some = used[at : at + 100_000]
-            yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], ["gram", "n"])
-
-    return texts.select("text").mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-
-
-@dataclass(frozen=True)
-class Model:
-    trie: bytes
-    own: list[bytes]  # tokens with classes of their own, by class
-    tokens: int  # N, end tokens among them
-    distinct: int  # V, the end token with them
-    texts: int  # of training: the end token's count
-    shared: int  # tokens of the shared class
-    kinds: int  # distinct ones of them
-    discount: float
-    counts: str  # folder of (word, n)
-    floor: int  # words of this count or more are frequent
-
-    def within(self, n: np.ndarray) -> np.ndarray:
-        """log10 P(token | shared class) by its count; 0: never seen."""
-        rest = max(self.discount * self.kinds, 0.5)
-        return np.log10(np.where(n > 0, n - self.discount, rest) / (max(self.shared - self.discount * self.kinds, 0) + rest))
-
-
-def train(texts: DataFrame, order: int = ORDER, bits: int = BITS) -> Model:
-    """From all rows of texts (text); null texts are empty."""
-    spark: SparkSession = texts.sparkSession
+
+class Shard:
+    """The trie of one shard's training entries, and the answers to all its entries."""
+
+    def __init__(self, u: np.ndarray, v: np.ndarray, w: np.ndarray, pairs: tuple[np.ndarray, ...], frequent: np.ndarray, texts: int) -> None:
+        """Entries of training; pairs: (u, v, count) of hot ones; frequent: counts by symbol - FIRST."""
+        self.frequent = np.r_[0, texts, texts, texts, frequent].astype(np.int64)
+        symbols, number = np.unique(np.concatenate([u, v, w, *pairs[:2]]), return_inverse=True)
+        a, b, c, hot_a, hot_b = np.split(number, np.cumsum([len(u), len(v), len(w), len(pairs[0])]))
+        size = max(len(symbols), 1)
+        pair, of = np.unique(np.r_[a * size + b, hot_a * size + hot_b], return_inverse=True)
+        mine, hot = of[: len(a)], of[len(a) :]
+        c2 = np.bincount(mine, minlength=len(pair))
+        c2[hot] = 0
+        np.add.at(c2, hot, pairs[2])
+        triple, self.own, c3 = np.unique(mine * size + c, return_inverse=True, return_counts=True)
+        first = np.unique(pair // size)
+        known = symbols[first]
+        c1 = np.where(known < RARE, self._frequent(known), np.bincount(a, minlength=size)[first])
+        parent = np.searchsorted(first, pair // size)
+        likely = [coded(np.log10(np.maximum(c2, 1) / (c1[parent] + KEPT))), coded(np.log10(c3 / (c2[triple // size] + KEPT)))]
+        trie = Trie.build(symbols, first, parent * size + pair % size, triple, c1, likely, coded(np.log10(KEPT / (c2 + KEPT))))
+        self.trie = Trie.mapped(trie.dump())
+
+    def _frequent(self, symbols: np.ndarray) -> np.ndarray:
+        return self.frequent[np.where(symbols < RARE, symbols, 0)]
+
+    def answers(self, u: np.ndarray, v: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For entries: code of P(w | u, v), or -1 - code of the weight left; the same of P(v | u); count of u."""
+        one, two, three = self.trie.walk(u, v, w)
+        count = np.where(u < RARE, self._frequent(u), np.where(one >= 0, self.trie.counts[one], 0) if len(self.trie.counts) else 0)
+        left = -1 - coded(np.log10(KEPT / (count + KEPT))).astype(np.int32)
+        if not len(self.trie.counts):
+            return np.full(len(u), -1, np.int32), left, count
+        second, third = self.trie.likely
+        p3 = np.where(three >= 0, third[three].astype(np.int32) if len(third) else -1, np.where(two >= 0, -1 - self.trie.backoff[two].astype(np.int32), -1))
+        return p3, np.where(two >= 0, second[two].astype(np.int32), left), count
+
+
+def score(docs: DataFrame, learn: Column) -> DataFrame:
+    """A row for each row of docs (doc_id, text): (doc_id, learnt, n_tokens, n_known, train_tokens, base_score, score).
+
+    learn: which rows the model learns from, over columns of docs (null: not). Null texts
+    are empty: their end is their one token. Repeated rows count as often as they stand,
+    and get a row each. base_score: log10 of (c + 1) / (N + V + 1), summed over tokens.
+    """
+    spark: SparkSession = docs.sparkSession
     path = fresh_path(spark, "model")
-    texts = own_columns(texts, "text")
-    n_texts = texts.count()
-    token_counts(texts).write.parquet(f"{path}/counts")
+    docs = docs.select("doc_id", "text", F.coalesce(learn, F.lit(False)).alias("learnt"))
+    texts, size = docs.agg(F.count_if("learnt"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    shards = -(-size // SHARD) or 1
+    token_counts(docs.where("learnt")).write.parquet(f"{path}/counts")
     counts = spark.read.schema("word binary, n long").parquet(f"{path}/counts")
-    facts = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1)), F.count_if(F.col("n") == 1), F.count_if(F.col("n") == 2)).first()
-    words, kinds, once, twice = facts
-    sizes = counts.groupBy(F.floor(F.log2("n") * 8).alias("b")).agg(F.count(F.lit(1)).alias("k"), F.min("n").alias("least")).orderBy(F.desc("b")).collect()  # a few hundred rows at most
+    words, kinds = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
+    steps = counts.groupBy(F.floor(F.log2("n") * 8).alias("b")).agg(F.count(F.lit(1)).alias("k"), F.min("n").alias("least")).orderBy(F.desc("b")).collect()  # a few hundred rows at most
     floor, taken = 1 << 62, 0
-    for r in sizes:
+    for r in steps:
         taken += r["k"]
         if taken > MOST_FREQUENT:
             break
         floor = r["least"]
-    top = counts.orderBy(F.desc("n"), "word").limit((1 << bits) - FIRST).collect()
-    own = [bytes(r["word"]) for r in top]
-    grams = gram_counts(texts, own, order, bits).toArrow()  # 2^(bits x order) rows at most
-    keys, n = grams.column("gram").to_numpy(), grams.column("n").to_numpy().astype(float)
-    if not len(keys):
-        keys, n = np.array([END]), np.ones(1)
-    discount = once / (once + 2 * twice) if once and twice else 0.5
-    return Model(Trie.build(keys, n, order, bits).dump(), own, words + n_texts, kinds + (n_texts > 0), n_texts, words - sum(r["n"] for r in top), kinds - len(own), discount, f"{path}/counts", floor)
-
-
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """(doc_id, n_tokens, n_known, base_score, score) of each row of docs (doc_id, text). Null texts are empty: their end is their one token. Repeated rows get equal rows."""
-    spark = docs.sparkSession
-    docs = own_columns(docs, "doc_id", "text").select("doc_id", F.hash(F.coalesce("text", F.lit(""))).alias("mark"), "text")
-    counts = spark.read.schema("word binary, n long").parquet(model.counts)
-    frequent = counts.where(F.col("n") >= model.floor).toArrow()  # MOST_FREQUENT rows at most
-    head = spark.sparkContext.broadcast((frequent.column("word").to_pylist(), frequent.column("n").to_numpy()))
-    schema = "doc_id long, mark int, word binary, texts long, n_tokens long, n_known long, base double, score double"
-    names = [x.split()[0] for x in schema.split(", ")]
-
-    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row for each text with its n-grams and the sums over its frequent tokens, and one for each other word of it."""
-        words, n = head.value
-        trie, classes = Trie.mapped(model.trie), {w: FIRST + k for k, w in enumerate(model.own)}
-        place = dict(zip(words, range(len(words)), strict=True))
-        base = np.log10(n + 1.0)
-        within = np.where([w in classes for w in words], 0.0, model.within(n)) if len(words) else np.zeros(0)
-        end_base = math.log10(model.texts + 1)
+    top = counts.where(F.col("n") >= floor).toArrow().sort_by([("n", "descending"), ("word", "ascending")])  # MOST_FREQUENT rows at most
+    head = spark.sparkContext.broadcast((top.column("word").to_pylist(), top.column("n").to_numpy()))
+    tokens, distinct = words + texts, kinds + (texts > 0)
+    unit = math.log10(tokens + distinct + 1)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Each slice's entries by shard; and one row with what is known of the slice, which passes through some shard."""
+        forget_tokenizers()
+        frequent, n_of = head.value
+        place = {w: FIRST + k for k, w in enumerate(frequent)}
+        known = np.log10(np.r_[0, 0, 0, texts, n_of] + 1.0)  # by symbol
+        turn = TaskContext.get().partitionId() << 32
         for whole in batches:
-            for batch in text_slices(whole, "text", 1 << 21):
-                index, owner, distinct = _tokens(batch.column("text").to_pylist())
-                at = np.array([place.get(w, -1) for w in distinct], np.int64)
-                kind = np.array([classes.get(w, OTHER) for w in distinct], np.int64)
-                token, rows = at[index], batch.num_rows
-                keys, of = _grams(index, owner, rows, kind, trie.order, trie.bits)
-                found, inverse = np.unique(keys, return_inverse=True)
-                own = np.bincount(of, trie.log10(found)[inverse], rows)
-                known = token >= 0
-                total = lambda values: np.bincount(owner[known], values[token[known]], rows)
-                first = [batch.column("doc_id"), batch.column("mark"), pa.nulls(rows, pa.binary()), pa.array(np.ones(rows, np.int64)), pa.array(np.bincount(owner, minlength=rows).astype(np.int64) + 1), pa.array(np.bincount(owner[known], minlength=rows).astype(np.int64) + (model.texts > 0)), pa.array(total(base) + end_base), pa.array(total(within) + own)]
-                yield pa.RecordBatch.from_arrays(first, names)
-                rare, times = np.unique(owner[~known] * max(len(distinct), 1) + index[~known], return_counts=True)
-                if len(rare):
-                    doc = pa.array(rare // len(distinct))
-                    none = pa.nulls(len(rare), pa.int64())
-                    second = [batch.column("doc_id").take(doc), batch.column("mark").take(doc), pa.array([distinct[k] for k in (rare % len(distinct)).tolist()], pa.binary()), none, none, pa.array(times.astype(np.int64)), pa.nulls(len(rare), pa.float64()), pa.nulls(len(rare), pa.float64())]
-                    yield pa.RecordBatch.from_arrays(second, names)
-
-    path = fresh_path(spark, "scores")
-    docs.mapInArrow(sums, schema).write.parquet(path)
-    rows = spark.read.schema(schema).parquet(path)
-    rare = rows.where("word IS NOT NULL").select("doc_id", "mark", "word", F.col("n_known").alias("times")).join(counts.where(F.col("n") < model.floor), "word", "left").withColumn("n", F.coalesce("n", F.lit(0)))
-    rest = max(model.discount * model.kinds, 0.5)
-    all_of = max(model.shared - model.discount * model.kinds, 0) + rest
-    within = F.log10(F.when(F.col("n") > 0, F.col("n") - model.discount).otherwise(rest) / all_of)
-    zero = F.lit(0).cast("long")
-    settled = rare.select("doc_id", "mark", zero.alias("texts"), zero.alias("n_tokens"), F.when(F.col("n") > 0, F.col("times")).otherwise(0).alias("n_known"), (F.col("times") * F.log10(F.col("n") + 1)).alias("base"), (F.col("times") * within).alias("score"))
-    every = rows.where("word IS NULL").drop("word").unionByName(settled)
-    summed = every.groupBy("doc_id", "mark").agg(*[F.sum(c).alias(c) for c in ("texts", "n_tokens", "n_known", "base", "score")])
-    each = summed.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("texts").cast("int"))))
-    whole = lambda c: (F.col(c) / F.col("texts")).cast("long").alias(c)  # noqa: E731  rows of one text have equal sums
-    constant = math.log10(model.tokens + model.distinct + 1)
-    return each.select("doc_id", whole("n_tokens"), whole("n_known"), (F.col("base") / F.col("texts") - F.col("n_tokens") / F.col("texts") * constant).alias("base_score"), (F.col("score") / F.col("texts")).alias("score"))
+            for batch in text_slices(whole, "text", SLICE):
+                rows, learnt = batch.num_rows, batch.column("learnt").to_numpy(zero_copy_only=False)
+                index, owner, kinds_here = _tokens(batch.column("text").to_pylist())
+                symbol = np.array([place.get(w) or RARE | xxhash.xxh3_64_intdigest(w) >> 2 for w in kinds_here], np.int64)[index]
+                u, v, w, of = entries(symbol, owner, rows)
+                to, train = shard_of(u, v, w, shards), learnt[of]
+                pairs = _hot_pairs(u[train], v[train], shards)
+                order = np.argsort(to, kind="stable")
+                cuts = np.searchsorted(to[order], np.arange(shards + 1))
+                some = symbol < RARE
+                base = np.bincount(owner[some], known[symbol[some]], rows) + known[END]
+                held = np.flatnonzero(~learnt[owner])
+                p1 = np.where(symbol[held] < RARE, known[np.where(symbol[held] < RARE, symbol[held], 0)], np.nan)
+                ids = batch.column("doc_id")
+                facts = _packed(ids.is_null().to_numpy(zero_copy_only=False), ids.fill_null(0).to_numpy().astype(np.int64), learnt, np.bincount(owner, minlength=rows), np.bincount(owner[some], minlength=rows) + (texts > 0), base, to[~train], p1)
+                out = [(turn % shards, turn, 0, facts)]
+                for k in range(shards):
+                    at = order[cuts[k] : cuts[k + 1]]
+                    if len(at) or k in pairs:
+                        out.append((k, turn, 1, _packed(u[at], v[at], w[at], of[at], train[at], *pairs.get(k, (np.zeros(0, np.int64),) * 3))))
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.binary()), strict=True)], ["shard", "slice", "kind", "payload"])
+                turn += 1
+
+    def settle(rows: list[tuple[int, bytes]]) -> Iterator[tuple[int, int, bytes]]:
+        parts = [_unpacked(raw) for _, raw in rows]
+        u, v, w, of, train = (np.concatenate([p[k] for p in parts]) for k in range(5))
+        shard = Shard(u[train], v[train], w[train], tuple(np.concatenate([p[k] for p in parts]) for k in (5, 6, 7)), head.value[1], texts)
+        code = np.where(w[train] == PAD, 0, shard.trie.likely[1][shard.own].astype(np.int64) if train.any() else 0)
+        p3, p2, count = shard.answers(u[~train], v[~train], w[~train])
+        rare = np.zeros(len(u), np.int64)
+        rare[~train] = count
+        known = train & (u >= RARE)
+        if known.any():
+            symbols, number, n = np.unique(u[known], return_inverse=True, return_counts=True)
+            rare[known] = n[number]
+        at = np.cumsum([0, *(len(p[0]) for p in parts)])
+        taught, asked = np.cumsum(np.r_[0, train]), np.cumsum(np.r_[0, ~train])
+        for (slice_id, _), i, j in zip(rows, at[:-1], at[1:], strict=True):
+            mine = train[i:j]
+            docs_here, inverse = np.unique(of[i:j][mine], return_inverse=True)
+            sums = np.bincount(inverse, code[taught[i] : taught[j]], len(docs_here)).astype(np.int64)
+            low = np.flatnonzero(known[i:j]) + i
+            a, b = asked[i], asked[j]
+            yield slice_id, 1, _packed(docs_here, sums, of[low], rare[low], p3[a:b], p2[a:b], count[a:b])
+
+    def shard_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by shard."""
+        names = ["shard", "slice", "kind", "payload"]
+        now, held = None, []
+
+        def ready(some: list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in some], pa.int64()), pa.array([r[1] for r in some], pa.int64()), pa.array([r[2] for r in some], pa.binary())], ["slice", "shard", "payload"])
+
+        for batch in batches:
+            for shard, slice_id, kind, raw in zip(*(batch.column(c).to_pylist() for c in names), strict=True):
+                if shard != now and held:
+                    yield ready([(s, now, x) for s, _, x in settle(held)])
+                    held = []
+                    trim()
+                now = shard
+                if kind:
+                    held.append((slice_id, raw))
+                else:
+                    yield ready([(slice_id, -1, raw)])
+        if held:
+            yield ready([(s, now, x) for s, _, x in settle(held)])
+
+    def sum_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by slice and shard, the slice's own row (shard -1) first."""
+        now, facts, parts = None, None, []
+
+        def ready() -> pa.RecordBatch:
+            missing, ids, learnt, n, n_known, base, to, p1 = facts
+            rows = len(ids)
+            codes, answers = np.zeros(rows), np.zeros((3, len(to)), np.int64)
+            for shard, raw in parts:
+                docs_here, sums, of, count, *rest = _unpacked(raw)
+                codes[docs_here] += sums
+                base += np.bincount(of, np.log10(count + 1.0), rows)
+                n_known += np.bincount(of, count > 0, rows).astype(np.int64)
+                answers[:, to == shard] = rest
+            total = codes * (-LOWEST / TOP)
+            held = np.flatnonzero(~learnt)
+            if len(held):
+                p3, p2, count = answers
+                size = n[held]
+                start = np.cumsum(size + 2) - (size + 2)  # of a text's entries
+                doc = np.repeat(np.arange(len(held)), size + 1)  # of each token, ends with them
+                at = np.arange(int((size + 1).sum())) - np.repeat(np.cumsum(size + 1) - (size + 1), size + 1)
+                entry = start[doc] + at
+                word = at < size[doc]
+                alone = np.full(len(doc), math.log10(texts + 1))
+                of_word = count[np.minimum(entry + 2, len(count) - 1)][word]
+                rare = np.isnan(p1)
+                alone[word] = np.where(rare, np.log10(of_word + 1.0), p1)
+                base += np.bincount(held[doc[word][rare]], np.log10(of_word[rare] + 1.0), rows)
+                n_known += np.bincount(held[doc[word][rare]], of_word[rare] > 0, rows).astype(np.int64)
+                three, two = p3[entry], p2[entry + 1]
+                shorter = np.where(two >= 0, decoded(two), decoded(-1 - two) + alone - unit)
+                total += np.bincount(held[doc], np.where(three >= 0, decoded(three), decoded(-1 - three) + shorter), rows)
+            n = n + 1
+            return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64(), mask=missing), pa.array(learnt), pa.array(n, pa.int64()), pa.array(n_known, pa.int64()), pa.array(np.full(rows, tokens), pa.int64()), pa.array(base - n * unit), pa.array(total)], [x.split()[0] for x in SCORES.split(", ")])
+
+        for batch in batches:
+            for slice_id, shard, raw in zip(*(batch.column(c).to_pylist() for c in ("slice", "shard", "payload")), strict=True):
+                if slice_id != now:
+                    if facts is not None:
+                        yield ready()
+                    now, facts, parts = slice_id, _unpacked(raw), []
+                else:
+                    parts.append((shard, raw))
+        if facts is not None:
+            yield ready()
+
+    dealt = docs.mapInArrow(deal, "shard long, slice long, kind int, payload binary")
+    answered = dealt.repartition(shards, "shard").sortWithinPartitions("shard", "slice", "kind").mapInArrow(shard_rows, "slice long, shard long, payload binary")
+    return answered.repartition("slice").sortWithinPartitions("slice", "shard").mapInArrow(sum_up, SCORES)
+
+
+SCORES = "doc_id long, learnt boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"

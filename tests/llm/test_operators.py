@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from pathsieve.llm import components, decontamination, fingerprints, html_text, huffman, language, language_model, licenses, near_dedup, packing, queries, shingle_dedup, suffix_dedup
-from pathsieve.llm.elias_fano import EliasFano, Trie
+from pathsieve.llm.elias_fano import EliasFano, decoded
 from pathsieve.llm.tokens import encoder
 from tests.conftest import DATA
 
@@ -401,21 +401,60 @@ def _check_scores(found, texts, train_ids):
     assert sorted((str(r["doc_id"]), r["n_tokens"], r["n_known"], round(r["base_score"], 6)) for r in found) == expected
 
 
+def _trigram_scores(texts, train_ids, kept):
+    """log10 P of each text, with counts in dictionaries."""
+    tokens = lambda t: [w.decode("utf-8") for w in (t or "").encode().translate(bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))).split()]
+    c1, c2, c3 = Counter(), Counter(), Counter()
+    for i, t in texts:
+        if train_ids(i):
+            w = [0, 1, *tokens(t), 2]  # starts and end
+            c1.update(w)
+            c2.update(zip(w, w[1:], strict=False))
+            c3.update(zip(w, w[1:], w[2:], strict=False))
+    total, kinds = sum(n for w, n in c1.items() if w not in (0, 1)), len(c1.keys() - {0, 1})
+    out = []
+    for _, t in texts:
+        w, s = [0, 1, *tokens(t), 2], 0.0
+        for u, v, x in zip(w, w[1:], w[2:], strict=False):
+            p = (c1[x] + 1) / (total + kinds + 1)
+            p = c2[v, x] / (c1[v] + kept) if c2[v, x] else kept / (c1[v] + kept) * p
+            p = c3[u, v, x] / (c2[u, v] + kept) if c3[u, v, x] else kept / (c2[u, v] + kept) * p
+            s += math.log10(p)
+        out.append((s, len(w) - 2))
+    return out
+
+
+def _check_trigrams(found, texts, train_ids):
+    expected = sorted((str(i), s, n) for (i, _), (s, n) in zip(texts, _trigram_scores(texts, train_ids, language_model.KEPT), strict=True))
+    got = sorted((str(r["doc_id"]), r["score"], r["n_tokens"]) for r in found)
+    for (i, s, n), (j, x, k) in zip(expected, got, strict=True):
+        assert (i, n) == (j, k) and abs(s - x) < 3e-4 * n + 1e-6, (i, s, x, n)  # three codes of 16 bits
+
+
 def test_scores(spark, docs, odd, nothing, monkeypatch):
     found = queries.op9_trie_lm_scoring(spark, DATA).collect()
-    _check_scores(found, rows(docs), lambda i: zlib.crc32(str(i).encode()) % 7 != 2)
+    train_ids = lambda i: zlib.crc32(str(i).encode()) % 7 != 2
+    _check_scores(found, rows(docs), train_ids)
+    _check_trigrams(found, rows(docs), train_ids)
     held = [r for r in found if r["held_out"]]
     assert sum(r["score"] for r in held) > sum(r["base_score"] for r in held)
-    monkeypatch.setattr(language_model, "MOST_FREQUENT", 20)  # nearly all tokens meet their counts in the join
-    model = language_model.train(odd)
-    _check_scores(language_model.score(odd, model).collect(), rows(odd), lambda i: True)
-    none = language_model.train(nothing)
-    assert language_model.score(odd, none).count() == odd.count() and language_model.score(nothing, model).count() == 0
+    # many shards and slices, few frequent tokens, hot pairs in several shards
+    for name, value in (("MOST_FREQUENT", 40), ("SLICE", 30_000), ("SHARD", 20_000), ("HOT", 6), ("SALTS", 3)):
+        monkeypatch.setattr(language_model, name, value)
+    found = queries.op9_trie_lm_scoring(spark, DATA).collect()
+    _check_scores(found, rows(docs), train_ids)
+    _check_trigrams(found, rows(docs), train_ids)
+    found = language_model.score(odd, F.col("doc_id") % 2 == 1).collect()
+    odd_ids = lambda i: i is not None and i % 2 == 1
+    _check_scores(found, rows(odd), odd_ids)
+    _check_trigrams(found, rows(odd), odd_ids)
+    none = language_model.score(odd, F.lit(False)).collect()
+    assert len(none) == odd.count() and {r["train_tokens"] for r in none} == {0} and language_model.score(nothing, F.lit(True)).count() == 0
 
 
 def test_elias_fano_and_trie():
     rng = np.random.default_rng(2)
-    for n, universe in ((0, 10), (1, 1), (500, 100), (3000, 10**9)):
+    for n, universe in ((0, 10), (1, 1), (500, 100), (3000, 10**9), (3000, 1 << 62)):
         values = np.sort(rng.integers(0, universe, n))
         e = EliasFano.build(values, universe)
         assert (e.get(np.arange(n)) == values).all()
@@ -423,12 +462,22 @@ def test_elias_fano_and_trie():
             asked = np.r_[values, rng.integers(0, universe, 100)]
             at = e.find(asked, np.zeros(len(asked), np.int64), np.full(len(asked), n))
             assert all((values[a] == v) if a >= 0 else v not in values for a, v in zip(at, asked, strict=True))
-    keys = rng.integers(0, 4**3, 500)
-    grams = np.array([(k >> 4 & 3) << 4 | (k >> 2 & 3) << 2 | k & 3 for k in keys])
-    found, counts = np.unique(grams, return_counts=True)
-    trie = Trie.mapped(Trie.build(found, counts.astype(float), 3, 2).dump())
-    for context in range(16):
-        assert abs(sum(10 ** trie.log10(np.array([context << 2 | x for x in range(4)]))) - 1) < 0.05
+    frequent = np.array([50, 40, 30, 20, 10])
+    grams = rng.integers(0, 9, (400, 3))
+    grams = np.where(grams < 5, grams + language_model.FIRST, language_model.RARE + grams * 7)
+    u, v, w = grams.T
+    none = (np.zeros(0, np.int64),) * 3
+    shard = language_model.Shard(u, v, w, none, frequent, 3)
+    asked = np.r_[grams, grams[:50, ::-1], np.full((1, 3), language_model.RARE + 1)]
+    p3, p2, count = shard.answers(*asked.T)
+    c3, c2, c1 = Counter(map(tuple, grams.tolist())), Counter(map(tuple, grams[:, :2].tolist())), Counter(grams[:, 0].tolist())
+    for g, x, y, n in zip(asked.tolist(), p3, p2, count, strict=True):
+        first = int(frequent[g[0] - language_model.FIRST]) if g[0] < language_model.RARE else c1[g[0]]
+        pair, kept = c2[tuple(g[:2])], language_model.KEPT
+        p = c3[tuple(g)] / (pair + kept) if c3[tuple(g)] else kept / (pair + kept)
+        assert n == first and (x >= 0) == (tuple(g) in c3) and abs(decoded(np.int64(x if x >= 0 else -1 - x)) - math.log10(p)) < 1e-4
+        p = pair / (first + kept) if pair else kept / (first + kept)
+        assert (y >= 0) == (pair > 0) and abs(decoded(np.int64(y if y >= 0 else -1 - y)) - math.log10(min(p, 1))) < 1e-4
 
 
 # -- 10 licenses -------------------------------------------------------------------------
