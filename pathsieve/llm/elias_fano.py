@@ -4,8 +4,8 @@ A monotone sequence keeps the low bits of each value packed and the high parts i
 about 2 bits each. A level of the trie is the sequence parent * symbols + symbol of its
 nodes, so that the children of a node are a stretch of it, found by a sequence of
 monotone pointers and searched for the symbol. Symbols are numbered within a trie, by
-their place in a sequence of their own. Log probabilities and back-off weights are codes
-of 16 bits.
+their place in a sorted list; the first level is a sorted list of such numbers, since its
+one stretch is the whole level. Log probabilities and back-off weights are codes of 16 bits.
 """
 
 from __future__ import annotations
@@ -93,11 +93,20 @@ def decoded(codes: np.ndarray) -> np.ndarray:
     return codes * (-LOWEST / TOP)
 
 
+def _places(ordered: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Places of values in an ascending list, -1 where they aren't in it."""
+    if not len(ordered):
+        return np.full(len(values), -1, np.int64)
+    at = np.minimum(np.searchsorted(ordered, values), len(ordered) - 1)
+    return np.where(ordered[at] == values, at, -1)
+
+
 @dataclass
 class Trie:
-    """n-grams of up to three symbols. counts: of the first level's nodes; likely: codes of log10 probability of the second and third level's last symbol; backoff: codes of the weight that a second-level node leaves to shorter contexts."""
+    """n-grams of up to three symbols; nodes and pointers are those of the second and third level. counts: of the first level's nodes; likely: codes of log10 probability of the second and third level's last symbol; backoff: codes of the weight that a second-level node leaves to shorter contexts."""
 
-    symbols: EliasFano
+    symbols: np.ndarray
+    firsts: np.ndarray
     nodes: list[EliasFano]
     pointers: list[EliasFano]
     counts: np.ndarray
@@ -108,35 +117,32 @@ class Trie:
     def build(cls, symbols: np.ndarray, firsts: np.ndarray, pairs: np.ndarray, triples: np.ndarray, counts: np.ndarray, likely: list[np.ndarray], backoff: np.ndarray) -> Trie:
         """symbols: ascending; firsts: their numbers; pairs: (place in firsts) * symbols + number; triples: (place in pairs) * symbols + number; all ascending."""
         size = max(len(symbols), 1)
-        nodes, pointers, parents = [], [], 1
-        for level in (firsts, pairs, triples):
-            nodes.append(EliasFano.build(level, parents * size))
+        nodes, pointers, parents = [], [], len(firsts)
+        for level in (pairs, triples):
+            nodes.append(EliasFano.build(level, max(parents, 1) * size))
             pointers.append(EliasFano.build(np.searchsorted(level, np.arange(parents + 1) * size), len(level) + 1))
-            parents = max(len(level), 1)
-        return cls(EliasFano.build(symbols, 1 << 63), nodes, pointers, counts, likely, backoff)
+            parents = len(level)
+        return cls(symbols, firsts, nodes, pointers, counts, likely, backoff)
 
-    def numbers(self, symbols: np.ndarray) -> np.ndarray:
-        """Numbers of symbols, -1 for those that the trie doesn't know."""
-        return self.symbols.find(symbols, np.zeros(len(symbols), np.int64), np.full(len(symbols), self.symbols.n))
-
-    def walk(self, *symbols: np.ndarray) -> list[np.ndarray]:
+    def walk(self, u: np.ndarray, v: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Nodes along the n-grams of these symbols, level by level; -1 from where there is none. A node's children are searched in its stretch alone."""
-        node, out = np.zeros(len(symbols[0]), np.int64), []
-        for level, some in enumerate(symbols):
-            number = self.numbers(some)
+        node = _places(self.firsts, _places(self.symbols, u))
+        out = [node]
+        for level, some in enumerate((v, w)):
+            number = _places(self.symbols, some)
             ok = np.flatnonzero((node >= 0) & (number >= 0))
-            begin, end = self.pointers[level].get(node[ok]), self.pointers[level].get(node[ok] + 1)
-            found = np.full(len(node), -1, np.int64)
-            found[ok] = self.nodes[level].find(node[ok] * max(self.symbols.n, 1) + number[ok], begin, end)
-            node = found
+            asked, inverse = np.unique(node[ok] * max(len(self.symbols), 1) + number[ok], return_inverse=True)
+            parent = asked // max(len(self.symbols), 1)
+            node = np.full(len(node), -1, np.int64)
+            node[ok] = self.nodes[level].find(asked, self.pointers[level].get(parent), self.pointers[level].get(parent + 1))[inverse]
             out.append(node)
-        return out
+        return tuple(out)
 
     # -- as one block of bytes ---------------------------------------------------------
 
     def dump(self) -> bytes:
-        sequences = [self.symbols, *(e for k in range(3) for e in (self.nodes[k], self.pointers[k]))]
-        arrays = [a for e in sequences for a in (e.low, e.high, e.ranks)] + [self.counts, *self.likely, self.backoff]
+        sequences = [e for k in range(2) for e in (self.nodes[k], self.pointers[k])]
+        arrays = [a for e in sequences for a in (e.low, e.high, e.ranks)] + [self.symbols, self.firsts, self.counts, *self.likely, self.backoff]
         head = json.dumps({"plan": [[e.n, e.low_bits] for e in sequences], "arrays": [[a.dtype.str, len(a)] for a in arrays]}).encode()
         out = io.BytesIO()
         out.write(len(head).to_bytes(8, "little") + head)
@@ -159,6 +165,6 @@ class Trie:
             width = np.dtype(kind).itemsize
             arrays.append(block[at : at + n * width].view(kind))
             at += n * width
-        symbols, *levels = (EliasFano(*plan, *arrays[3 * k : 3 * k + 3]) for k, plan in enumerate(head["plan"]))
-        counts, second, third, backoff = arrays[3 * len(head["plan"]) :]
-        return cls(symbols, levels[::2], levels[1::2], counts, [second, third], backoff)
+        levels = [EliasFano(*plan, *arrays[3 * k : 3 * k + 3]) for k, plan in enumerate(head["plan"])]
+        symbols, firsts, counts, second, third, backoff = arrays[3 * len(levels) :]
+        return cls(symbols, firsts, levels[::2], levels[1::2], counts, [second, third], backoff)

@@ -38,9 +38,9 @@ from pyspark.sql import functions as F
 from pathsieve.llm.elias_fano import LOWEST, TOP, Trie, coded, decoded
 from pathsieve.llm.shared import LOWER, UPPER, forget_tokenizers, fresh_path, own_columns, text_slices, trim
 
-MOST_FREQUENT, HOT, SALTS, KEPT = 150_000, 16, 16, 1.0
+MOST_FREQUENT, HOT, SALTS, KEPT = 400_000, 16, 16, 1.0
 #: Bytes of text in a slice, and for each shard.
-SLICE, SHARD = 1 << 22, 1 << 23
+SLICE, SHARD = 1 << 22, 1 << 22
 #: Symbols: after the end, two and one before the start, the end; frequent tokens follow, all others have the bit RARE.
 PAD, START2, START1, END, FIRST = 0, 1, 2, 3, 4
 RARE = 1 << 62
