@@ -1,15 +1,17 @@
 """Main text of web pages: the page's own structure, and nearest-URL page differencing.
 
-Pages are ordered by host and URL path; each is aligned, line by line, with the page
-before and the page after it on its host by a longest common subsequence. Lines that
-they share are the site's, not the page's, and are deleted. Where a page marks its
-article (an article or main element, or a container named so), it says itself what is
-its text: there no line is deleted for being shared, since two articles may quote the
-same passage. A neighbour that shares nearly everything is a copy and isn't compared.
-
-The order is cut into stretches of about PAGES_A_BLOCK pages by a bounded sample of
-URLs; the first and last page of a stretch is dealt to its neighbours too, so that one
-host of any size is spread and no pair is missed.
+Pages are ordered by host and URL path; each is aligned, line by line, with the nearest
+page before and the nearest page after it on its host by a longest common subsequence.
+Lines that they share are the site's, not the page's, and are deleted. Copies are no
+neighbours: of a run of copies each page is held against the pages around the run. Where
+a page marks its article (an article or main element, or a container named so), it says
+itself what is its text: there no line is deleted for being shared, since two articles
+may quote the same passage.
+
+The order is cut into stretches of about PAGES_A_BLOCK pages, or of BLOCK_BYTES where
+there are very many, by a bounded sample of URLs; the first and last page of a stretch is
+dealt to its neighbours too, so that one host of any size is spread and no pair is
+missed. A run of copies doesn't reach over the end of a stretch.
 """
 
 from __future__ import annotations
@@ -21,16 +23,18 @@ from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm.shared import own_columns, text_slices
 
-PAGES_A_BLOCK, MOST_BLOCKS, SAMPLED_A_BLOCK = 200, 4096, 16
-#: A neighbour that shares more of a page's text than this is a copy of it.
+PAGES_A_BLOCK, SMALL_BLOCKS, BLOCK_BYTES, SAMPLED_A_BLOCK = 200, 4096, 1 << 24, 16
+#: A page that shares more than this of another's text, as far as the structure leaves it, is a copy.
 COPY = 0.9
-_REPEATS = 64
+#: Pairs of equal lines for each line beyond which the alignment goes by rows of bits.
+_MANY = 32
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|iframe|object|textarea|select|button|math|canvas|audio|video|head)\b[^>]*>.*?(?:</\1\s*>|\Z)|<[!?][^>]*>|<(/?)([A-Za-z][\w:-]*)([^>]*)>|[^<]+|<", re.S | re.I)
 _ATTRIBUTE = re.compile(r"""(class|id|role|style|aria-hidden|hidden)\s*(?:=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.I)
@@ -119,24 +123,35 @@ def parse(source: str | None) -> Page:
     return page
 
 
+def _lengths(a: list[str], b: list[str]) -> np.ndarray:
+    """Length of a longest common subsequence of a and b[:k], for every k: a row of bits for each line of a."""
+    places: dict[str, int] = defaultdict(int)
+    for k, x in enumerate(b):
+        places[x] |= 1 << k
+    full = (1 << len(b)) - 1
+    row = full
+    for x in a:
+        if found := row & places.get(x, 0):
+            row = (row + found | row - found) & full
+    bits = np.unpackbits(np.frombuffer(row.to_bytes(-(-len(b) // 8) or 1, "little"), np.uint8), bitorder="little")[: len(b)]
+    return np.r_[0, np.cumsum(1 - bits.astype(np.int64))]
+
+
 def common(a: list[str], b: list[str]) -> list[int]:
-    """Places in a of a longest common subsequence with b. Of a line that stands often in both, the k-th place meets the k-th."""
+    """Places in a of a longest common subsequence with b. Memory is linear in the lines, however often some repeat."""
     where = defaultdict(list)
     for k, x in enumerate(b):
         where[x].append(k)
-    often: dict[str, int] = defaultdict(int)
+    if len(a) > 1 and sum(len(where.get(x, ())) for x in a) > _MANY * (len(a) + len(b)):
+        half = len(a) // 2  # each half has its share of b
+        ahead, back = _lengths(a[:half], b), _lengths(a[:half - 1 : -1], b[::-1])[::-1]
+        cut = int((ahead + back).argmax())
+        return common(a[:half], b[:cut]) + [half + k for k in common(a[half:], b[cut:])]
     tails: list[int] = []
     nodes: list[tuple[int, int]] = []  # (place in a, previous node)
     last: list[int] = []
     for i, x in enumerate(a):
-        at = where.get(x)
-        if not at:
-            continue
-        if len(at) > _REPEATS:
-            k = often[x]
-            often[x] += 1
-            at = at[k : k + 1]
-        for j in reversed(at):
+        for j in reversed(where.get(x, ())):
             k = bisect_left(tails, j)
             nodes.append((i, last[k - 1] if k else -1))
             if k == len(tails):
@@ -151,14 +166,15 @@ def common(a: list[str], b: list[str]) -> list[int]:
     return out[::-1]
 
 
+def is_copy(page: Page, other: Page) -> bool:
+    """Whether the other page shares nearly all lines that the structure doesn't drop."""
+    size = lambda some: sum(len(page.lines[k]) for k in some if not page.dropped[k])
+    return size(common(page.lines, other.lines)) > COPY * size(range(len(page.lines)))
+
+
 def main_text(page: Page, neighbours: list[Page]) -> tuple[str, int]:
     """The page's text, and how many of its lines a neighbour shares."""
-    shared: set[int] = set()
-    size = sum(map(len, page.lines)) or 1
-    for other in neighbours:
-        same = common(page.lines, other.lines)
-        if sum(len(page.lines[k]) for k in same) <= COPY * size:
-            shared.update(same)
+    shared = {k for other in neighbours for k in common(page.lines, other.lines)}
     mark = max((i for i, d in zip(page.inside, page.dropped, strict=True) if not d), default=0)  # the plainest mark on the page counts
     kept = [line for k, line in enumerate(page.lines) if not page.dropped[k] and (page.inside[k] == mark if mark else k not in shared)]
     return "\n\n".join(kept), len(shared)
@@ -183,8 +199,9 @@ def extract(pages: DataFrame) -> DataFrame:
     host. Repeated rows get rows each; other columns aren't read.
     """
     pages = own_columns(pages, "page_id", "url", "html")
-    total = pages.count()
-    blocks = max(1, min(MOST_BLOCKS, -(-total // PAGES_A_BLOCK)))
+    total, size = pages.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("html")), F.lit(0))).first()
+    blocks = max(1, min(SMALL_BLOCKS, -(-total // PAGES_A_BLOCK)), -(-size // BLOCK_BYTES))
+    tasks = max(int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // (2 * BLOCK_BYTES)))
     share = min(1.0, SAMPLED_A_BLOCK * blocks / max(total, 1))
     sampled = pages.where(F.pmod(F.xxhash64("page_id", "url"), F.lit(1 << 30)) < share * (1 << 30)).select("url", "page_id").limit(2 * SAMPLED_A_BLOCK * blocks).collect()  # a sample of bounded size, for the stretches' edges alone
     keys = sorted(_key(r["url"], r["page_id"]) for r in sampled)
@@ -203,7 +220,7 @@ def extract(pages: DataFrame) -> DataFrame:
                     most[b] = key
         yield pa.RecordBatch.from_pydict({"block": pa.array(list(least), pa.int32()), "least": pa.array(list(least.values()), pa.string()), "most": pa.array([most[b] for b in least], pa.string())})
 
-    found = sorted(pages.select("url", "page_id").mapInArrow(ends, "block int, least string, most string").groupBy("block").agg(F.min("least"), F.max("most")).collect())  # MOST_BLOCKS rows at most
+    found = sorted(pages.select("url", "page_id").mapInArrow(ends, "block int, least string, most string").groupBy("block").agg(F.min("least"), F.max("most")).collect())  # a row for each stretch, about 100 bytes for 16 MB of pages
     before = {b[1]: a[0] for a, b in zip(found, found[1:], strict=False)}  # first key of a stretch -> the stretch before
     after = {a[2]: b[0] for a, b in zip(found, found[1:], strict=False)}
 
@@ -223,17 +240,20 @@ def extract(pages: DataFrame) -> DataFrame:
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows come sorted by (block, key); a page waits for the one after it."""
-        earlier: tuple | None = None
-        waiting: tuple | None = None
+        before: tuple | None = None
+        run: list[tuple] = []  # pages in a row that are copies
         out: dict[str, list] = {c: [] for c in ("page_id", "url", "text", "n_chars", "n_lines", "n_shared")}
 
         def settle(following: tuple | None) -> None:
-            if waiting is None or waiting[2]:
-                return
-            near = [x[3] for x in (earlier, following) if x is not None and x[0] == waiting[0] and x[1] == waiting[1]]
-            text, shared = main_text(waiting[3], near)
-            for c, v in zip(out, (waiting[4], waiting[5], text, len(text), len(waiting[3].lines), shared), strict=True):
-                out[c].append(v)
+            nonlocal before
+            for block, host, ghost, page, page_id, url in run:
+                if not ghost:
+                    text, shared = main_text(page, [x[3] for x in (before, following) if x is not None and x[:2] == (block, host)])
+                    for c, v in zip(out, (page_id, url, text, len(text), len(page.lines), shared), strict=True):
+                        out[c].append(v)
+            if run:
+                before = run[-1]
+            run.clear()
 
         def ready() -> pa.RecordBatch:
             batch = pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out.values(), (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64()), strict=True)], list(out))
@@ -245,11 +265,12 @@ def extract(pages: DataFrame) -> DataFrame:
             for batch in text_slices(whole, "html"):
                 for page_id, url, source, block, key, ghost in zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "html", "block", "key", "ghost")), strict=True):
                     now = (block, key.split("\x00", 1)[0], ghost, parse(source), page_id, url)
-                    settle(now)
-                    earlier, waiting = waiting, now
+                    if run and not (run[-1][:2] == now[:2] and is_copy(now[3], run[-1][3])):
+                        settle(now)
+                    run.append(now)
                 yield ready()
         settle(None)
         yield ready()
 
     dealt = pages.mapInArrow(deal, "page_id long, url string, html string, block int, key string, ghost boolean")
-    return dealt.repartition("block").sortWithinPartitions("block", "key", "ghost").mapInArrow(compare, "page_id long, url string, text string, n_chars long, n_lines long, n_shared long")
+    return dealt.repartition(tasks, "block").sortWithinPartitions("block", "key", "ghost").mapInArrow(compare, "page_id long, url string, text string, n_chars long, n_lines long, n_shared long")

@@ -136,7 +136,7 @@ def test_differencing_without_a_marked_article(spark):
     assert html_text.extract(df).count() == len(pages) and html_text.extract(df.limit(0)).count() == 0
 
 
-def test_longest_common_subsequence():
+def test_longest_common_subsequence(monkeypatch):
     rng = random.Random(3)
     for _ in range(200):
         a, b = ([rng.choice("abcd") for _ in range(rng.randrange(9))] for _ in range(2))
@@ -144,8 +144,56 @@ def test_longest_common_subsequence():
         for i, x in enumerate(a):
             for j, y in enumerate(b):
                 table[i + 1][j + 1] = table[i][j] + 1 if x == y else max(table[i][j + 1], table[i + 1][j])
-        got = html_text.common(a, b)
-        assert len(got) == table[-1][-1] and got == sorted(set(got))
+        for many in (32, 0):  # 0: by rows of bits wherever lines are equal
+            monkeypatch.setattr(html_text, "_MANY", many)
+            got = html_text.common(a, b)
+            assert len(got) == table[-1][-1] and got == sorted(set(got))
+
+
+def _paired(pages):
+    """Brute force: texts by page, neighbours looked for in the whole order, longest common subsequences by a table."""
+    def lcs(a, b):
+        table = [[[] for _ in range(len(b) + 1)] for _ in range(len(a) + 1)]
+        for i, x in enumerate(a):
+            for j, y in enumerate(b):
+                table[i + 1][j + 1] = table[i][j] + [i] if x == y else max(table[i][j + 1], table[i + 1][j], key=len)
+        return table[-1][-1]
+
+    order = sorted(pages, key=lambda p: html_text._key(p[1], p[0]))
+    parsed = [html_text.parse(p[2]) for p in order]
+    host = [html_text.place(p[1])[0] for p in order]
+    kept = [[x for x, d in zip(p.lines, p.dropped, strict=True) if not d] for p in parsed]
+    near = lambda i, j: host[i] == host[j] and sum(len(parsed[j].lines[k]) for k in lcs(parsed[j].lines, parsed[i].lines) if not parsed[j].dropped[k]) > html_text.COPY * sum(map(len, kept[j]))
+    out = {}
+    for i, p in enumerate(order):
+        a, b = i - 1, i + 1
+        while a >= 0 and near(a, a + 1):
+            a -= 1
+        while b < len(order) and near(b - 1, b):
+            b += 1
+        gone = {k for j in (a, b) if 0 <= j < len(order) and host[j] == host[i] for k in lcs(parsed[i].lines, parsed[j].lines)}
+        out[p[0]] = "\n\n".join(x for k, x in enumerate(parsed[i].lines) if k not in gone and not parsed[i].dropped[k])
+    return out
+
+
+def test_differencing_against_brute_force(spark):
+    rng = random.Random(9)
+    site, foot = [f"Site line {k}" for k in range(6)], [f"Foot line {k}" for k in range(6)]  # each once on a page: one alignment is longest
+    pages = []
+    for k in range(60):
+        lines = [*site[: rng.randrange(3, 6)], *(f"Own words of page {k}, line {j}, long enough to be a story of its own" for j in range(rng.randrange(1, 4))), *foot[rng.randrange(2, 5) :]]
+        if k % 10 in (4, 5):
+            lines = [f"Own words of page {k - k % 10}, told again and again, long enough to be a story" for _ in range(8)] + foot[:2]  # copies side by side
+        pages.append((k, f"http://h{k % 2}.example/{k % 7}/{k:02}", "<body>" + "".join(f"<p>{x}</p>" for x in lines) + "</body>"))
+    found = {r["page_id"]: r["text"] for r in html_text.extract(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert found == _paired(pages)
+
+
+def test_long_and_short_pages(spark):
+    story = "".join(f"<p>Line {k} of a very long page &amp; more" for k in range(40_000))
+    pages = [(1, "http://h/a", f"<article>{story}</article>"), (2, "http://h/b", "<p>same</p>" * 9000 + "<p>own" + " own" * 3000), (3, "http://h/c", "<p>same</p>" * 8000 + "<p>mine" + " mine" * 3000)]
+    found = {r["page_id"]: r["text"] for r in html_text.extract(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert found[1].count("\n\n") == 39_999 and found[1].endswith("Line 39999 of a very long page & more") and found[3] == "mine" + " mine" * 3000
 
 
 # -- 4 decontamination -------------------------------------------------------------------
