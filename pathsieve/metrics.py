@@ -58,7 +58,7 @@ def probed_edges(query: GuardedPathQuery) -> DataFrame:
     for hop, prefixes in enumerate(native.frontiers(p), 1):
         if hop > query.max_len:
             break
-        n = native.step(p, prefixes, edges, hop, probes=True).count()
+        n = native.step(p, prefixes, edges, hop, probes=True).count()  # edges are read anew: the executor's are its own
         if n:
             rows.append((hop, n))
     return query.graph.edges.sparkSession.createDataFrame(rows, "len long, n long")

@@ -3,7 +3,9 @@
 The frontier is the side that grows; it is shuffled on its last vertex and met with the
 edges (co-partitioned if they are bucketed), then with the broadcast transition table.
 Checks stand in the same stage as the join, so that a rejected extension is never
-written. Levels are kept in memory and on disk while later levels need them.
+written. The edges are read once, dealt by source, and kept in memory and on disk for all
+hops; of the levels the last one is kept. One pass over a level counts its prefixes and
+its answers.
 """
 
 from __future__ import annotations
@@ -11,10 +13,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
+from pathsieve.sources.tables import shared_folder
+
+#: Out-edges above which a source is heavy, and over how many keys its edges are dealt then.
+HEAVY, SALTS = 1_000_000, 16
 
 
 def _prefix_columns(p: PathPlan) -> list[str]:
@@ -23,7 +29,11 @@ def _prefix_columns(p: PathPlan) -> list[str]:
 
 def step(p: PathPlan, frontier: DataFrame, edges: DataFrame, hop: int, probes: bool = False) -> DataFrame:
     """One more edge: expand, check, advance. probes: without the checks."""
-    wide = frontier.join(edges, F.col("v") == F.col("e_src"))
+    if "e_salt" in edges.columns:  # heavy sources: prefixes there are repeated for each salt, their edges have one each
+        frontier = frontier.join(F.broadcast(edges.heavy), F.col("v") == F.col("heavy_v"), "left").withColumn("salt", F.explode(F.when(F.col("heavy_v").isNotNull(), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))
+        wide = frontier.join(edges, (F.col("v") == F.col("e_src")) & (F.col("salt") == F.col("e_salt")))
+    else:
+        wide = frontier.join(edges, F.col("v") == F.col("e_src"))
     if p.nfa is not None:
         t = p.transitions()
         wide = wide.join(t, (F.col("q") == F.col("from_state")) & (F.col("e_label") == t["label"])).drop("from_state", "label")
@@ -45,30 +55,61 @@ def _vertices(q: GuardedPathQuery, some: DataFrame | tuple[int, ...]) -> DataFra
     return some.select("v").distinct() if isinstance(some, DataFrame) else q.graph.edges.sparkSession.createDataFrame([(int(v),) for v in sorted(set(some))], "v long")
 
 
+def held_edges(p: PathPlan) -> DataFrame:
+    """The edge side for several hops: dealt by source once, and kept until unpersist(). With the rewrite "salt", edges of sources of more than HEAVY of them are dealt by a salt too."""
+    edges = p.edges()
+    if "salt" in p.query.rewrites:
+        heavy = edges.groupBy(F.col("e_src").alias("heavy_v")).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HEAVY).select("heavy_v").persist()  # fewer than edges / HEAVY rows
+        if not heavy.isEmpty():
+            salt = F.when(F.col("heavy_v").isNull(), 0).otherwise(F.pmod(F.xxhash64("e_id"), F.lit(SALTS))).cast("int")
+            edges = edges.join(F.broadcast(heavy), F.col("e_src") == F.col("heavy_v"), "left").withColumn("e_salt", salt).drop("heavy_v").repartition("e_src", "e_salt").persist(StorageLevel.MEMORY_AND_DISK)
+            edges.heavy = heavy
+            return edges
+    return edges.repartition("e_src").persist(StorageLevel.MEMORY_AND_DISK) if p.query.max_len > 1 else edges
+
+
 def with_envelope(p: PathPlan, frontier: DataFrame, edges: DataFrame) -> DataFrame:
     """Edges within the range that the frontier's states admit at all, as literals that reach the scan. Runs a small aggregate."""
     bounds = [(f, s, op, e, add) for f, s, op, e, add in p.aggregate.envelope if e.startswith("e_")]
     if not bounds:
         return edges
     found = frontier.agg(*[F.expr(f"{f}(s_{s})").alias(f"b{k}") for k, (f, s, *_) in enumerate(bounds)]).first()
+    near = edges
     for k, (_, _, op, e, add) in enumerate(bounds):
         if found[k] is not None:
-            edges = edges.where(f"{e} {op} {found[k] + add}")
-    return edges
+            near = near.where(f"{e} {op} {found[k] + add}")
+    if "e_salt" in near.columns:
+        near.heavy = edges.heavy
+    return near
 
 
-def frontiers(p: PathPlan, persist: bool = True, checkpoint_every: int = 0) -> Iterator[DataFrame]:
-    """Prefixes of length 0, 1, ... max_len, lazily; checkpoint_every: hops after which lineage is cut in spark.checkpoint.dir."""
-    edges, now = p.edges(), p.anchors()
+def frontiers(p: PathPlan) -> Iterator[DataFrame]:
+    """Prefixes of length 0, 1, ... max_len. Each level is written to the shared folder as it is asked for, so that lineage ends there and nothing stays in memory."""
+    spark, folder = p.query.graph.edges.sparkSession, shared_folder(p.query.graph.edges.sparkSession, "levels")
+    edges, now = held_edges(p), p.anchors()
     yield now
-    for hop in range(1, p.query.max_len + 1):
-        near = with_envelope(p, now, edges) if "envelope" in p.query.rewrites and hop > 1 else edges
-        now = step(p, now, near, hop)
-        if checkpoint_every and hop % checkpoint_every == 0:
-            now = now.checkpoint(eager=False)
-        elif persist:
-            now = now.persist(StorageLevel.MEMORY_AND_DISK)
-        yield now
+    try:
+        for hop in range(1, p.query.max_len + 1):
+            near = with_envelope(p, now, edges) if "envelope" in p.query.rewrites and hop > 1 else edges
+            now = step(p, now, near, hop)
+            now.write.parquet(f"{folder}/{hop}")
+            now = spark.read.schema(now.schema).parquet(f"{folder}/{hop}")
+            yield now
+    finally:
+        edges.unpersist()
+
+
+def answer_test(p: PathPlan) -> Column | None:
+    """Whether a prefix is an answer, as one expression; None where that needs a join or distinct rows."""
+    q = p.query
+    if isinstance(q.targets, DataFrame) or q.via or (p.nfa is not None and q.dedupe and p.needs_ids):
+        return None
+    out = F.col("len") >= q.min_len
+    if p.accepting is not None:
+        out = out & F.col("q").isin(p.accepting)
+    for text in p.aggregate.accept:
+        out = out & F.coalesce(F.expr(text), F.lit(False))
+    return out if q.targets is None else out & F.col("v").isin(sorted(set(q.targets)))
 
 
 def accepted(p: PathPlan, prefixes: DataFrame) -> DataFrame:
@@ -90,13 +131,18 @@ def accepted(p: PathPlan, prefixes: DataFrame) -> DataFrame:
     return out
 
 
-def paths(query: GuardedPathQuery, persist: bool = True, with_ids: bool = True) -> DataFrame:
-    """(start, v, len, edge_ids, emitted columns) of every answer, lazily; edge_ids is a '-'-joined text."""
+def paths(query: GuardedPathQuery, with_ids: bool = True) -> DataFrame:
+    """(start, v, len, edge_ids, emitted columns) of every answer; edge_ids is a '-'-joined text. Runs level by level and stops at an empty one; what it returns reads the written levels."""
     p = plan(query, with_ids=with_ids)
     out = None
-    for level in frontiers(p, persist):
-        found = accepted(p, level)
-        out = found if out is None else out.unionByName(found)
+    for hop, level in enumerate(frontiers(p)):
+        if hop and level.isEmpty():
+            break
+        if hop >= query.min_len:
+            found = accepted(p, level)
+            out = found if out is None else out.unionByName(found)
+    if out is None:
+        out = accepted(p, level)
     ids = [F.array_join(F.transform("s_edge_ids", lambda x: x.cast("string")), "-").alias("edge_ids")] if with_ids else []
     return out.select("start", "v", "len", *ids, *[F.expr(text).alias(name) for name, text in p.aggregate.emit.items()])
 
@@ -119,41 +165,48 @@ def _by_level(query: GuardedPathQuery, early: bool, collapse: bool, candidates:
     p = plan(query, early)
     if collapse and (p.needs_ids or any(s.dtype.startswith("ARRAY") for s in p.aggregate.slots)):
         raise ValueError("states that keep lists can't be collapsed")
-    edges, now, rows = p.edges(), p.anchors(), []
+    edges, now, rows = held_edges(p), p.anchors(), []
+    times = F.sum("times") if collapse else F.count(F.lit(1))
+    test = answer_test(p)
     if collapse:
         now = now.withColumn("times", F.lit(1).cast("long"))
-    held: DataFrame | None = None
+    held: list[DataFrame] = []
     sizes: list[int] = []
-    for hop in range(p.query.max_len + 1):
-        if hop:
-            near = with_envelope(p, now, edges) if "envelope" in query.rewrites and hop > 1 else edges
-            if collapse:
-                names = _prefix_columns(p)
-                stepped = step_with(p, now, near, hop, "times")
-                now = stepped.groupBy(*names).agg(F.sum("times").alias("times"))
-            else:
-                now = step(p, now, near, hop)
-            now = now.persist(StorageLevel.MEMORY_AND_DISK)
-            total = now.count()
-            sizes.append(total)
-            if held is not None:
-                held.unpersist()
-            held = now
-            if query.max_frontier_rows is not None and total > query.max_frontier_rows:
-                held.unpersist()
-                raise RuntimeError(f"a level of {total} prefixes is above max_frontier_rows; levels so far: {sizes}")
-            if not total:
-                break
-        if candidates:
+
+    def release(keep: int) -> None:
+        while len(held) > keep:
+            held.pop(0).unpersist()
+
+    try:
+        for hop in range(p.query.max_len + 1):
             if hop:
-                rows.append((hop, total))
-        else:
-            found = accepted(p, now)
-            n = (found.agg(F.sum("times")).first()[0] or 0) if collapse else found.count()
+                near = with_envelope(p, now, edges) if "envelope" in query.rewrites and hop > 1 else edges
+                if collapse:
+                    now = step_with(p, now, near, hop, "times").groupBy(*_prefix_columns(p)).agg(F.sum("times").alias("times"))
+                else:
+                    now = step(p, now, near, hop)
+                now = now.persist(StorageLevel.MEMORY_AND_DISK)
+                held.append(now)
+            elif candidates or query.min_len > 0:
+                continue
+            hits = F.lit(0) if candidates or test is None else F.coalesce(F.sum(F.when(test, F.col("times") if collapse else 1)), F.lit(0))
+            total, n = now.agg(F.count(F.lit(1)), hits).first()
+            release(1)
+            if hop:
+                sizes.append(total)
+                if query.max_frontier_rows is not None and total > query.max_frontier_rows:
+                    raise RuntimeError(f"a level of {total} prefixes is above max_frontier_rows; levels so far: {sizes}")
+            if candidates:
+                n = total
+            elif test is None and total:
+                n = accepted(p, now).agg(times).first()[0] or 0
             if n:
                 rows.append((hop, n))
-    if held is not None:
-        held.unpersist()
+            if not total:
+                break
+    finally:
+        release(0)
+        edges.unpersist()
     return spark.createDataFrame(rows, "len long, n long")  # max_len rows at most
 
 

@@ -58,9 +58,9 @@ def asof_next_edge(graph: PropertyGraph, time: str = "t") -> DataFrame:
     e = graph.edges
     arrivals = e.select(F.col("dst").alias("v"), F.col(time).alias("at"), F.lit(1).alias("kind"), F.col("id"))
     departures = e.select(F.col("src").alias("v"), F.col(time).alias("at"), F.lit(0).alias("kind"), F.col("id"))
-    w = Window.partitionBy("v").orderBy(F.col("at").asc(), F.col("kind").asc(), F.col("id").asc())
-    # a departure at an arrival's time isn't later: within a time, departures sort before arrivals, and so aren't ahead of them
-    ahead = F.first(F.when(F.col("kind") == 0, F.col("id")), ignorenulls=True).over(w.rowsBetween(1, Window.unboundedFollowing))
+    w = Window.partitionBy("v").orderBy(F.col("at").desc(), F.col("kind").desc(), F.col("id").desc())
+    # from the last time to the first, so that the frame only grows; a departure at an arrival's time isn't later: it comes after the arrival here
+    ahead = F.last(F.when(F.col("kind") == 0, F.col("id")), ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, -1))
     return arrivals.unionByName(departures).withColumn("next_id", ahead).where("kind = 1 AND next_id IS NOT NULL").select("id", "next_id")
 
 

@@ -13,7 +13,7 @@ from pathsieve.plans.aggregate import Check, PruningAggregate, compose
 from pathsieve.plans.graph import PropertyGraph
 from pathsieve.plans.regex import Nfa, automaton, is_ambiguous, min_hops_to_accept
 
-REWRITES = frozenset(["elide_trail", "hoist", "envelope", "remaining_hops", "targets"])
+REWRITES = frozenset(["elide_trail", "hoist", "envelope", "remaining_hops", "targets", "salt"])
 
 
 @dataclass(frozen=True)

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathsieve.plans.graph import PropertyGraph
-from pathsieve.sources.tables import load, micros
+from pathsieve.sources.tables import load, micros, shared_folder
 
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
 
@@ -41,7 +43,7 @@ def basket(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Part to next part of an order. Line numbers repeat, so that a row number over all columns makes the ids."""
     w = Window.partitionBy("l_orderkey").orderBy(*_LINE_ORDER)
     rows = load(spark, sf_dir, "lineitem").select("*", F.row_number().over(w).alias("rn"), F.lead("l_partkey").over(w).alias("dst")).where("dst IS NOT NULL")
-    return PropertyGraph.from_table(rows, F.col("l_orderkey") * 1000 + F.col("rn"), "l_partkey", "dst", "l_returnflag", alphabet=("A", "N", "R"), t=micros("l_shipdate"), weight="l_extendedprice")
+    return PropertyGraph.from_table(rows, F.col("l_orderkey") * 100_000 + F.col("rn"), "l_partkey", "dst", "l_returnflag", alphabet=("A", "N", "R"), t=micros("l_shipdate"), weight="l_extendedprice")
 
 
 def knows(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -58,7 +60,7 @@ def supply(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     lines, orders, customer, supplier = (load(spark, sf_dir, t) for t in ("lineitem", "orders", "customer", "supplier"))
     w = Window.partitionBy("l_orderkey").orderBy(*_LINE_ORDER)
     rows = lines.select("*", F.row_number().over(w).alias("rn")).join(orders.select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
-    rowid, c, s = F.col("l_orderkey") * 1000 + F.col("rn"), 2 * F.col("o_custkey"), 2 * F.col("l_suppkey") + 1
+    rowid, c, s = F.col("l_orderkey") * 100_000 + F.col("rn"), 2 * F.col("o_custkey"), 2 * F.col("l_suppkey") + 1
     both = F.array(F.struct((2 * rowid).alias("id"), c.alias("src"), s.alias("dst"), F.lit("buys").alias("label")), F.struct((2 * rowid + 1).alias("id"), s.alias("src"), c.alias("dst"), F.lit("ships").alias("label")))
     edges = rows.select(F.explode(both).alias("e"), micros("l_shipdate").alias("t"), F.col("l_extendedprice").alias("amount")).select("e.*", "t", "amount")
     vertices = customer.select((2 * F.col("c_custkey")).alias("v"), F.lit("customer").alias("vlabel"), F.col("c_nationkey").cast("long").alias("nation"), F.col("c_acctbal").alias("acctbal")).unionByName(supplier.select((2 * F.col("s_suppkey") + 1).alias("v"), F.lit("supplier").alias("vlabel"), F.col("s_nationkey").cast("long").alias("nation"), F.col("s_acctbal").alias("acctbal")))
@@ -68,7 +70,7 @@ def supply(spark: SparkSession, sf_dir: str) -> PropertyGraph:
 def dialog(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Turn to next turn of a conversation, from a root before turn 0."""
     rows = load(spark, sf_dir, "conversations")
-    at = F.col("conv_id") * 1000 + F.col("turn")
+    at = F.col("conv_id") * 1_000_000 + F.col("turn")
     return PropertyGraph.from_table(rows, at, at, at + 1, "role", alphabet=("assistant", "system", "user"), chars=F.char_length("text").cast("long"))
 
 
@@ -95,14 +97,28 @@ _ROWS = f"row_number() OVER (PARTITION BY l_orderkey ORDER BY {', '.join(_LINE_O
 EDGE_SQL = {
     "handover": "SELECT a.event_id AS id, a.user_id AS src, b.user_id AS dst, a.event_type AS label, epoch_us(a.ts) AS t, a.value AS amount, CAST(json_extract_string(a.props, '$.k') AS BIGINT) AS risk, CAST(n_regionkey AS BIGINT) AS region FROM events a JOIN events b ON b.event_id = a.event_id + 1 LEFT JOIN nation ON n_nationkey = a.user_id % 25",
     "payments": "SELECT a.o_orderkey AS id, a.o_custkey AS src, b.o_custkey AS dst, CASE WHEN n1.n_regionkey = n2.n_regionkey THEN 'Domestic' ELSE 'Foreign' END AS label, epoch_us(a.o_orderdate) AS t, a.o_totalprice AS amount, a.o_orderpriority AS color FROM orders a JOIN orders b ON b.o_orderkey = a.o_orderkey + 1 JOIN customer c1 ON c1.c_custkey = a.o_custkey JOIN customer c2 ON c2.c_custkey = b.o_custkey JOIN nation n1 ON n1.n_nationkey = c1.c_nationkey JOIN nation n2 ON n2.n_nationkey = c2.c_nationkey",
-    "basket": f"SELECT id, src, dst, label, t, weight FROM (SELECT l_orderkey * 1000 + {_ROWS} AS id, l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY {', '.join(_LINE_ORDER)}) AS dst, l_returnflag AS label, epoch_us(l_shipdate) AS t, l_extendedprice AS weight FROM lineitem) WHERE dst IS NOT NULL",
+    "basket": f"SELECT id, src, dst, label, t, weight FROM (SELECT l_orderkey * 100000 + {_ROWS} AS id, l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY {', '.join(_LINE_ORDER)}) AS dst, l_returnflag AS label, epoch_us(l_shipdate) AS t, l_extendedprice AS weight FROM lineitem) WHERE dst IS NOT NULL",
     "knows": "SELECT a.o_orderkey * 1000000000 + b.o_orderkey AS id, a.o_custkey AS src, b.o_custkey AS dst, 'KNOWS' AS label, epoch_us(a.o_orderdate) AS t FROM (orders JOIN customer ON o_custkey = c_custkey) a JOIN (orders JOIN customer ON o_custkey = c_custkey) b ON a.o_orderdate = b.o_orderdate AND a.c_mktsegment = b.c_mktsegment WHERE a.o_orderkey <> b.o_orderkey AND a.o_custkey <> b.o_custkey",
-    "supply": f"SELECT unnest([2 * r, 2 * r + 1]) AS id, unnest([c, s]) AS src, unnest([s, c]) AS dst, unnest(['buys', 'ships']) AS label, t, amount FROM (SELECT l_orderkey * 1000 + {_ROWS} AS r, 2 * o_custkey AS c, 2 * l_suppkey + 1 AS s, epoch_us(l_shipdate) AS t, l_extendedprice AS amount FROM lineitem JOIN orders ON l_orderkey = o_orderkey)",
-    "dialog": "SELECT conv_id * 1000 + turn AS id, conv_id * 1000 + turn AS src, conv_id * 1000 + turn + 1 AS dst, role AS label, CAST(length(text) AS BIGINT) AS chars FROM conversations",
+    "supply": f"SELECT unnest([2 * r, 2 * r + 1]) AS id, unnest([c, s]) AS src, unnest([s, c]) AS dst, unnest(['buys', 'ships']) AS label, t, amount FROM (SELECT l_orderkey * 100000 + {_ROWS} AS r, 2 * o_custkey AS c, 2 * l_suppkey + 1 AS s, epoch_us(l_shipdate) AS t, l_extendedprice AS amount FROM lineitem JOIN orders ON l_orderkey = o_orderkey)",
+    "dialog": "SELECT conv_id * 1000000 + turn AS id, conv_id * 1000000 + turn AS src, conv_id * 1000000 + turn + 1 AS dst, role AS label, CAST(length(text) AS BIGINT) AS chars FROM conversations",
     "knn": "SELECT src * 1000000 + dst AS id, src, dst, label, sim FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) AS rn FROM (SELECT a.vec_id AS src, b.vec_id AS dst, CAST(b.label AS VARCHAR) AS label, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / (sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[])) * sqrt(list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[]))), 9) AS sim FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0)) WHERE rn <= 5",
 }
 VERTEX_SQL = {"supply": "SELECT 2 * c_custkey AS v, 'customer' AS vlabel, CAST(c_nationkey AS BIGINT) AS nation, c_acctbal AS acctbal FROM customer UNION ALL SELECT 2 * s_suppkey + 1, 'supplier', CAST(s_nationkey AS BIGINT), s_acctbal FROM supplier"}
 
 
+_STORED: dict[tuple[str, str, str], str] = {}
+
+
+def stored(spark: SparkSession, sf_dir: str, name: str) -> PropertyGraph:
+    """The encoding with its edges written once for each session and folder, dealt and sorted by source: hops read them instead of joining the tables again."""
+    graph, key = ENCODINGS[name](spark, sf_dir), (spark.sparkContext.applicationId, sf_dir, name)
+    try:
+        return replace(graph, edges=spark.read.parquet(_STORED[key]))
+    except (KeyError, AnalysisException):  # not written yet, or the folder was cleaned
+        _STORED[key] = path = shared_folder(spark, f"edges-{name}")
+        graph.edges.repartition("src").sortWithinPartitions("src").write.parquet(path)
+        return replace(graph, edges=spark.read.parquet(path))
+
+
 def edges_frame(name: str) -> Callable[[SparkSession, str], DataFrame]:
     return lambda spark, sf_dir: ENCODINGS[name](spark, sf_dir).edges

@@ -14,7 +14,7 @@ from pathsieve.plans.aggregate import PruningAggregate, compose
 from pathsieve.plans.graph import first_start
 from pathsieve.plans.regex import Nfa, automaton
 from pathsieve.plans.spec import GuardedPathQuery
-from pathsieve.sources.encodings import EDGE_SQL, ENCODINGS, VERTEX_SQL
+from pathsieve.sources.encodings import EDGE_SQL, VERTEX_SQL, stored
 from pathsieve.sources.tables import load
 
 DAY = timedelta(days=1)
@@ -36,7 +36,7 @@ class Workload:
     every_run: bool = False
 
     def query(self, spark: SparkSession, sf_dir: str, **changes: object) -> GuardedPathQuery:
-        graph = ENCODINGS[self.encoding](spark, sf_dir)
+        graph = stored(spark, sf_dir, self.encoding)
         if self.start == "all":
             sources = None
         elif self.start in ("iqr", "top"):
@@ -53,8 +53,8 @@ class Workload:
 
     # -- the same by brute force, for DuckDB -----------------------------------------
 
-    def walks(self, tested: bool = True, trail: bool | None = None, semantics: str | None = None) -> str:
-        """CTEs ending in `answers` (start, v, len, ids): every walk with lists, then every constraint on the finished lists. tested=False: only the label expression's prefixes."""
+    def walks(self, tested: bool = True, trail: bool | None = None, semantics: str | None = None, early: int = 0) -> str:
+        """CTEs ending in `answers` (start, v, len, ids): every walk with lists, then every constraint on the finished lists. tested=False: only the label expression's prefixes. early: the first so many constraints, and the trail, hold for every prefix of an answer, so that walks that break them are not carried on."""
         nfa, semantics = self.nfa(), semantics or self.semantics
         props = sorted({u for u in self.constraint.uses})
         names = [f"p_{u.replace('.', '_')}" for u in props]
@@ -69,15 +69,19 @@ class Workload:
         else:
             begin = SOURCE_SQL[self.start]
         rows = f", trans(f, t, l) AS (VALUES {', '.join(f"({f}, {t}, '{x}')" for f, t, x in nfa.rows())})" if nfa else ""
-        grow = "".join(f", list_append({n}, {v})" for n, v in zip(names, values, strict=True))
         seeds = "".join(f", CAST([] AS {PROPERTY_TYPES.get(u, 'BIGINT')}[])" for u in props)
         on_trail = " AND NOT list_contains(ids, e.id)" if trail else ""
         join = " JOIN trans ON trans.f = q AND trans.l = e.label" if nfa else ""
         vjoin = " LEFT JOIN vertices w ON w.v = e.dst" if any(u.startswith("vertex.") for u in props) else ""
+        fill = lambda text: re.sub(r"\{(\w+)\}", lambda m: str(nfa.tagged(m[1])), text)
+        kept = [f"({fill(x)})" for x in self.constraint.oracle[:early]] + ["len(ids) = len(list_distinct(ids))"] * (early > 0 and semantics == "trail")
+        names_of = f"start, v, q, len, ids, vs, qs{''.join(', ' + n for n in names)}"
+        grown = f"SELECT start, e.dst AS v, {'trans.t' if nfa else '0'} AS q, len + 1 AS len, list_append(ids, e.id) AS ids, list_append(vs, e.dst) AS vs, list_append(qs, {'trans.t' if nfa else '0'}) AS qs{''.join(f', list_append({n}, {v}) AS {n}' for n, v in zip(names, values, strict=True))} FROM walks JOIN edges e ON walks.v = e.src{vjoin}{join} WHERE len < {self.max_len}{on_trail}"
+        if kept:
+            grown = f"SELECT {names_of} FROM ({grown}) WHERE {' AND '.join(kept)}"
         body = (
             f"WITH RECURSIVE edges AS MATERIALIZED ({EDGE_SQL[self.encoding]}){vertex}{degrees}{rows}, begin AS ({begin}), "
-            f"walks(start, v, q, len, ids, vs, qs{''.join(', ' + n for n in names)}) AS (SELECT v, v, 0, 0, CAST([] AS BIGINT[]), [v], CAST([] AS INTEGER[]){seeds} FROM begin UNION ALL "
-            f"SELECT start, e.dst, {'trans.t' if nfa else '0'}, len + 1, list_append(ids, e.id), list_append(vs, e.dst), list_append(qs, {'trans.t' if nfa else '0'}){grow} FROM walks JOIN edges e ON walks.v = e.src{vjoin}{join} WHERE len < {self.max_len}{on_trail})"
+            f"walks({names_of}) AS (SELECT v, v, 0, 0, CAST([] AS BIGINT[]), [v], CAST([] AS INTEGER[]){seeds} FROM begin UNION ALL {grown})"
         )
         if not tested:
             return f"{body}, answers AS (SELECT start, v, len, ids FROM walks WHERE len > 0)"
@@ -85,7 +89,6 @@ class Workload:
         if nfa:
             tests.append(f"q IN ({', '.join(map(str, sorted(nfa.accepting)))})")
         tests += ["len(ids) = len(list_distinct(ids))"] * (semantics == "trail") + ["len(vs) = len(list_distinct(vs))"] * (semantics == "acyclic")
-        fill = lambda text: re.sub(r"\{(\w+)\}", lambda m: str(nfa.tagged(m[1])), text)
         tests += [f"({fill(x)})" for x in self.constraint.oracle]
         if self.targets is not None:
             tests.append(f"v IN ({', '.join(map(str, self.targets))})")
@@ -113,11 +116,11 @@ def _nation_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _roots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return load(spark, sf_dir, "conversations").selectExpr("conv_id * 1000 AS v").distinct()
+    return load(spark, sf_dir, "conversations").selectExpr("conv_id * 1000000 AS v").distinct()
 
 
 SOURCES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"nation 3": _nation_customers, "roots": _roots}
-SOURCE_SQL = {"nation 3": "SELECT 2 * c_custkey AS v FROM customer WHERE c_nationkey = 3", "roots": "SELECT DISTINCT conv_id * 1000 AS v FROM conversations"}
+SOURCE_SQL = {"nation 3": "SELECT 2 * c_custkey AS v FROM customer WHERE c_nationkey = 3", "roots": "SELECT DISTINCT conv_id * 1000000 AS v FROM conversations"}
 
 Q1_REGEX = "normal:(click|view|purchase)+ fishy:(error|signup)+"
 QB_REGEX = "dom:Domestic+ fgn:Foreign"

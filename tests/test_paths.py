@@ -125,7 +125,7 @@ def test_composition(spark):
 def test_plans(spark, tmp_path):
     g = graph(spark)
     q = GuardedPathQuery(g, QB_RULE, QB, (3,), max_len=2)
-    text = levels.paths(q, persist=False)._jdf.queryExecution().toString()
+    text = levels.step(plan(q), plan(q).anchors(), plan(q).edges(), 1)._jdf.queryExecution().toString()
     assert "Python" not in text and "BroadcastHashJoin" in text
     assert not [s for s in plan(GuardedPathQuery(g, C.Monotone("t"))).aggregate.slots if s.name == "edge_ids"]  # a strictly growing time repeats no edge
     layout.write_bucketed(g, "toy_edges", 4)
