@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 from dataclasses import replace
@@ -15,7 +14,7 @@ from pathsieve.operators import baselines, layout, levels, recursive, results, u
 from pathsieve.plans.graph import degree_stats, starts
 from pathsieve.plans.regex import automaton
 from pathsieve.sources.encodings import EDGE_SQL, ENCODINGS, VERTEX_SQL, edges_frame
-from pathsieve.sources.tables import TABLES, load, micros
+from pathsieve.sources.tables import TABLES, load, micros, shared_folder
 from pathsieve.streaming import paths as streams
 from pathsieve.workloads import Q1_REGEX, QB_REGEX, WORKLOADS, Workload
 
@@ -30,11 +29,6 @@ def _add(name: str, query: Query, sql: str | None = None) -> None:
         ORACLES[name] = sql
 
 
-def _folder(spark: SparkSession, stem: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="pathsieve-")
-    return f"{base.rstrip('/')}/{stem}-{uuid.uuid4().hex}"
-
-
 # -- graphs ------------------------------------------------------------------------------
 
 for _name in ENCODINGS:
@@ -65,24 +59,32 @@ _add("rx_ambiguous_runs", lambda s, d: levels.levels(_ambiguous.query(s, d, dedu
 _add("q1_summary", lambda s, d: results.count_paths(levels.paths(WORKLOADS["q1"].query(s, d)), "v"), f"{WORKLOADS['q1'].walks()} SELECT v, count(*) AS n FROM answers GROUP BY v")
 _gap = replace(WORKLOADS["q2"], max_len=3)
 _add("q2_walk_vs_trail", lambda s, d: metrics.walk_trail_gap(_gap.query(s, d)), f"{_gap.walks(tested=False)} SELECT CAST(len AS BIGINT) AS len, count(*) AS walk, count_if(len(ids) = len(list_distinct(ids)))::BIGINT AS trail, count(*) - count_if(len(ids) = len(list_distinct(ids)))::BIGINT AS gap FROM answers GROUP BY len")
-_add("gap_q2", QUERIES["q2_walk_vs_trail"], ORACLES["q2_walk_vs_trail"])
+_gap5 = replace(WORKLOADS["q2"], max_len=5)
+_add("q2_walk_vs_trail_5", lambda s, d: metrics.walk_trail_gap(_gap5.query(s, d)), f"{_gap5.walks(tested=False)} SELECT CAST(len AS BIGINT) AS len, count(*) AS walk, count_if(len(ids) = len(list_distinct(ids)))::BIGINT AS trail, count(*) - count_if(len(ids) = len(list_distinct(ids)))::BIGINT AS gap FROM answers GROUP BY len")
+
+#: The lengths that early filtering reaches: the SQL drops walks at the hop where a constraint that holds for every prefix breaks.
+_LONG = {"qa": (10, 2), "qa_wide": (10, 2), "qb": (6, 1), "qb_wide": (6, 1), "q1": (6, 4), "q2": (5, 0), "q3_payments": (8, 1), "q3_basket_weight": (6, 1), "q4_handover": (10, 1), "q4_knows": (6, 1)}
+for _key, (_n, _early) in _LONG.items():
+    _w = replace(WORKLOADS[_key], max_len=_n)
+    _add(f"{_key}_long", lambda s, d, w=_w: levels.levels(w.query(s, d)), _w.levels_sql(early=_early))
 
 # -- execution variants ------------------------------------------------------------------
 
 _SHORT: dict[str, Workload] = {"qb": replace(WORKLOADS["qb"], max_len=3), "q1": WORKLOADS["q1"], "q2": replace(WORKLOADS["q2"], max_len=3), "q3": replace(WORKLOADS["q3_payments"], max_len=4), "q4": replace(WORKLOADS["q4_knows"], max_len=3)}
 for _key, _w in _SHORT.items():
     _sql = _w.levels_sql()
-    for _mode in ("json_udf", "flat_udf", "json_inline", "flat_inline"):
+    for _mode in ("json_udf", "flat_udf", "json_inline"):
         _add(f"{_key}_{_mode}", lambda s, d, w=_w, m=_mode: udf_modes.run_levels(w.query(s, d), m), _sql)
     for _kind in ("arrow", "pandas"):
         _add(f"{_key}_{_kind}_udf", lambda s, d, w=_w, k=_kind: udf_modes.run_levels(w.query(s, d), "json_udf", k), _sql)
     _add(f"{_key}_rcte", lambda s, d, w=_w: recursive.levels(w.query(s, d)), _sql)
     _add(f"{_key}_rcte_sql_function", lambda s, d, w=_w: recursive.levels(w.query(s, d), sql_functions=True), _sql)
     _add(f"{_key}_rcte_json_udf", lambda s, d, w=_w: udf_modes.run_recursive(w.query(s, d)), _sql)
+    _add(f"{_key}_rcte_pandas_udf", lambda s, d, w=_w: udf_modes.run_recursive(w.query(s, d), "pandas"), _sql)
 
 # -- rewrites ----------------------------------------------------------------------------
 
-_ALL = frozenset(["elide_trail", "hoist", "envelope", "remaining_hops", "targets"])
+_ALL = frozenset(["elide_trail", "hoist", "envelope", "remaining_hops", "targets", "salt"])
 for _key, _w in (("q3", _SHORT["q3"]), ("q4", _SHORT["q4"]), ("q1", _SHORT["q1"]), ("qa_pair", WORKLOADS["qa_pair"])):
     _add(f"rewrites_all_{_key}", lambda s, d, w=_w: levels.levels(w.query(s, d, rewrites=_ALL)), _w.levels_sql())
     _add(f"rewrites_none_{_key}", lambda s, d, w=_w: levels.levels(w.query(s, d, rewrites=frozenset())), _w.levels_sql())
@@ -92,13 +94,18 @@ _add("collapse_count_q3", lambda s, d: levels.levels(_SHORT["q3"].query(s, d), c
 
 for _key, _w in _SHORT.items():
     _sql = _w.levels_sql()
-    for _name, _run in (("walk", baselines.postfilter_walk), ("trail", baselines.postfilter_trail), ("json", baselines.json_postfilter), ("listreduce", baselines.postfilter_trail), ("reattach", baselines.reattach_postfilter)):
-        small = replace(_w, max_len=min(_w.max_len, 2 if _key in ("q1", "qb") else 3))
+    for _name, _run in (("walk", baselines.postfilter_walk), ("trail", baselines.postfilter_trail), ("json", baselines.json_postfilter), ("listreduce", baselines.list_reduction), ("reattach", baselines.reattach_postfilter)):
+        small = replace(_w, max_len=min(_w.max_len, 3))
         _add(f"base_{_name}_{_key}", lambda s, d, w=small, r=_run: r(w.query(s, d)), small.levels_sql())
     small = replace(_w, max_len=min(_w.max_len, 3))
     _add(f"cand_{_key}_walk", lambda s, d, w=small: baselines.postfilter_walk(w.query(s, d), candidates=True), small.candidates_sql(False))
     _add(f"cand_{_key}_trail", lambda s, d, w=small: baselines.postfilter_trail(w.query(s, d), candidates=True), small.candidates_sql(True))
-_add("base_split_q1", lambda s, d: baselines.split_regex_join(replace(WORKLOADS["q1"], max_len=2).query(s, d)), replace(WORKLOADS["q1"], max_len=2).levels_sql())
+for _key in ("q1", "qb"):
+    _w = replace(WORKLOADS[_key], max_len=3)
+    _add(f"base_split_{_key}", lambda s, d, w=_w: baselines.split_regex_join(w.query(s, d)), _w.levels_sql())
+#: Bounds of 0 to l edges for each part: a path may have up to 2 l edges, l in each part.
+_printed = replace(WORKLOADS["qb_wide"], max_len=2)
+_add("base_split_printed_qb", lambda s, d: baselines.split_regex_join(_printed.query(s, d), printed_bounds=True), replace(_printed, regex="dom:Domestic{1,2} fgn:Foreign", max_len=3).levels_sql())
 _seg = replace(WORKLOADS["q1"], max_len=3)
 _add(
     "base_segments_q1",
@@ -170,15 +177,6 @@ _add("op_string_labels", lambda s, d: _graph(s, d).edges.select("id", F.concat_w
 _add("op_udf", lambda s, d: _graph(s, d).edges.select("id", F.udf(lambda x: None if x is None else x.upper(), "string", useArrow=True)("label").alias("label")), f"WITH e AS ({EDGE_SQL['payments']}) SELECT id, upper(label) AS label FROM e")
 
 
-def _replayed(s: SparkSession, d: str) -> DataFrame:
-    """All walks of two edges, the finished list folded by the aggregate."""
-    w = replace(_BASE, max_len=2)
-    return baselines.postfilter_walk(w.query(s, d))
-
-
-_add("op_udaf_replay", _replayed, replace(_BASE, max_len=2).levels_sql())
-
-
 def _udtf(s: SparkSession, d: str) -> DataFrame:
     results.register_sql(s)
     return s.sql(f"SELECT from_state, to_state, label FROM transitions('{QB_REGEX}')")
@@ -192,7 +190,7 @@ _LAYOUT_SQL = _BASE.levels_sql()
 
 
 def _partitioned(s: SparkSession, d: str) -> DataFrame:
-    q, path = _BASE.query(s, d), _folder(s, "edges")
+    q, path = _BASE.query(s, d), shared_folder(s, "edges")
     layout.write_partitioned(q.graph, path)
     return levels.levels(q.vary(graph=replace(q.graph, edges=layout.read_partitioned(s, path))))
 
@@ -233,8 +231,7 @@ _EVENTS = "(SELECT event_id AS id, user_id AS src, (user_id * 7 + event_id) % 15
 
 
 def _finish(stream: DataFrame, mode: str = "append") -> DataFrame:
-    s = stream.sparkSession
-    return streams.run_to_end(stream, f"ps_{uuid.uuid4().hex[:10]}", mode, _folder(s, "stream"))
+    return streams.run_to_end(stream, shared_folder(stream.sparkSession, "stream"), mode)
 
 
 _add("stream_chain_2hop", lambda s, d: _finish(streams.chain(_event_stream(s, d), _event_stream(s, d), "2 HOURS").select("id1", "id2")), f"SELECT a.id AS id1, b.id AS id2 FROM {_EVENTS} a JOIN {_EVENTS} b ON a.dst = b.src AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 2 HOUR")
@@ -247,17 +244,35 @@ _add("stream_dedupe", lambda s, d: _finish(streams.dedupe(_event_stream(s, d).un
 def _incremental(s: SparkSession, d: str) -> DataFrame:
     edges = _event_stream(s, d)
     begin = s.createDataFrame([(4,)], "v long")
-    found = streams.incremental_paths(s, edges, _folder(s, "prefixes"), begin, 3, _folder(s, "stream"))
+    found = streams.incremental_paths(s, edges, shared_folder(s, "prefixes"), begin, 3, shared_folder(s, "stream"))
     return found.groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
 
 
 _add("stream_incremental_q3", _incremental, f"WITH RECURSIVE p(v, ts, len) AS (SELECT 4::BIGINT, NULL::TIMESTAMP, 0 UNION ALL SELECT e.dst, e.ts, len + 1 FROM p JOIN {_EVENTS} e ON p.v = e.src WHERE len < 3 AND (p.ts IS NULL OR e.ts > p.ts)) SELECT CAST(len AS BIGINT) AS len, count(*) AS n FROM p WHERE len > 0 GROUP BY len")
 _add("stream_stateful_window", lambda s, d: _finish(streams.stateful_spread(_event_stream(s, d), 6 * 3_600_000_000)).select("src", "id", "n"), f"SELECT src, id, CAST((SELECT count(*) FROM {_EVENTS} b WHERE b.src = a.src AND b.ts >= a.ts - INTERVAL 6 HOUR AND (b.ts, b.id) < (a.ts, a.id)) AS BIGINT) AS n FROM {_EVENTS} a")
 
+_add("stream_stateful_paths", lambda s, d: _finish(streams.stateful_paths(_event_stream(s, d), "label", 12 * 3_600_000_000, 3)), f"WITH RECURSIVE p(label, head, id, v, t0, ts, len) AS (SELECT label, id, id, dst, ts, ts, 1 FROM {_EVENTS} UNION ALL SELECT p.label, p.head, e.id, e.dst, p.t0, e.ts, len + 1 FROM p JOIN {_EVENTS} e ON e.src = p.v AND e.label = p.label AND e.ts > p.ts AND e.ts <= p.t0 + INTERVAL 12 HOUR WHERE len < 3) SELECT label, head AS first, id AS last, CAST(len AS BIGINT) AS len FROM p")
+
+
+def _late(s: SparkSession, d: str) -> DataFrame:
+    """Paths over the edges in time, and those that the late ones (every seventh) add: together the paths over all."""
+    rows = load(s, d, "events").select(F.col("event_id").alias("id"), F.col("user_id").alias("src"), F.pmod(F.col("user_id") * 7 + F.col("event_id"), F.lit(150)).alias("dst"), F.col("ts").cast("timestamp").alias("ts"))
+    in_time, late = rows.where("id % 7 <> 0"), rows.where("id % 7 = 0")
+    begin = s.createDataFrame([(4,)], "v long")
+    before = streams.extend_late(in_time.limit(0), in_time, begin, 3)
+    return before.unionByName(streams.extend_late(in_time, late, begin, 3)).groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+
+
+_add("stream_late_edges", _late, ORACLES["stream_incremental_q3"])
+
 # -- sources -----------------------------------------------------------------------------
 
+#: Columns that name a row, where a table has such; else all are counted as they stand.
+KEYS = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "supplier": "s_suppkey", "part": "p_partkey", "orders": "o_orderkey", "lineitem": "l_orderkey", "events": "event_id", "documents": "doc_id", "embeddings": "vec_id", "pages": "page_id", "benchmark": "item_id", "labels": "doc_id", "conversations": "conv_id"}
 for _name in TABLES:
-    _add(f"scan_{_name}", lambda s, d, n=_name: load(s, d, n).agg(F.count(F.lit(1)).alias("n")), f"SELECT count(*) AS n FROM {_name}")
+    _key = KEYS[_name]
+    _add(f"scan_{_name}", lambda s, d, n=_name, k=_key: load(s, d, n).agg(F.count(F.lit(1)).alias("n"), F.countDistinct(k).alias("n_keys"), F.count_if(F.col(k).isNull()).alias("n_null"), F.min(F.col(k).cast("string")).alias("least"), F.max(F.col(k).cast("string")).alias("most")), f"SELECT count(*) AS n, count(DISTINCT {_key}) AS n_keys, count_if({_key} IS NULL)::BIGINT AS n_null, min({_key}::VARCHAR) AS least, max({_key}::VARCHAR) AS most FROM {_name}")
+
 
 def queries() -> dict[str, Query]:
     return dict(QUERIES)

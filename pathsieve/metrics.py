@@ -71,6 +71,20 @@ def function_share(query: GuardedPathQuery, runs: int = 3) -> dict[str, float]:
     return {"direct": direct, "native": native_s, "share": max(0.0, 1 - native_s / direct)}
 
 
+def function_breakdown(query: GuardedPathQuery) -> DataFrame:
+    """(part, calls, seconds, share) of one run of the direct variant: each of the five functions, the JSON text around them, and all else (scans, joins, transfer). Seconds of workers are added up, so that on one core they are a part of the run time."""
+    spark = query.graph.edges.sparkSession
+    names = (*udf_modes.FUNCTIONS, "json")
+    clock = udf_modes.Clock(spark, names)
+    began = time.perf_counter()
+    udf_modes.run_levels(query, "json_udf", clock=clock).collect()
+    total = time.perf_counter() - began
+    rows = [(n, clock.calls[n].value, clock.seconds[n].value) for n in names]
+    rows.append(("rest", 0, max(0.0, total - sum(r[2] for r in rows))))
+    whole = sum(r[2] for r in rows)
+    return spark.createDataFrame([(*r, r[2] / whole) for r in rows], "part string, calls long, seconds double, share double")
+
+
 def tightness(query: GuardedPathQuery) -> DataFrame:
     """One row: (candidates, answers)."""
     spark = query.graph.edges.sparkSession

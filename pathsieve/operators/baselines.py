@@ -16,12 +16,18 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.operators import levels as native
+from pathsieve.operators.recursive import answers_of
 from pathsieve.plans.aggregate import Check, PruningAggregate, Slot
 from pathsieve.plans.regex import glushkov, parse_regex, segments
 from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
 
 
 def replay(p: PathPlan, hops: Column) -> Column:
+    """replay_text as a column over `hops`."""
+    return F.expr(replay_text(p))
+
+
+def replay_text(p: PathPlan, hops: str = "hops") -> str:
     """Whether the aggregate admits a finished list of hops (structs of e_*, w_*, q, to_state), and accepts it: a fold over the list."""
     slots = p.aggregate.slots
     fields = [f"e_{c}" for c in p.edge_columns] + [f"w_{c}" for c in p.vertex_columns] + ["q", "to_state"]
@@ -36,7 +42,7 @@ def replay(p: PathPlan, hops: Column) -> Column:
     body = ", ".join([f"'ok', {ok}", "'len', acc.len + 1", *[f"'{s.name}', CAST({put(t)} AS {s.dtype})" for s, t in zip(slots, p.advance().values(), strict=True)]])
     final = " AND ".join(["acc.ok", *[f"coalesce(({put(c)}), false)" for c in p.aggregate.accept]])
     seed = ", ".join(["'ok', true", "'len', 0", *[f"'{s.name}', CAST({s.seed} AS {s.dtype})" for s in slots]])
-    return F.expr(f"aggregate(hops, named_struct({seed}), (acc, hop) -> named_struct({body}), acc -> {final})")
+    return f"aggregate({hops}, named_struct({seed}), (acc, hop) -> named_struct({body}), acc -> {final})"
 
 
 def _collecting(query: GuardedPathQuery, trail: bool) -> tuple[PathPlan, PathPlan]:
@@ -66,7 +72,7 @@ def _finish(walking: PathPlan, full: PathPlan, level: DataFrame) -> DataFrame:
 def _run(query: GuardedPathQuery, trail: bool, candidates: bool) -> DataFrame:
     spark = query.graph.edges.sparkSession
     walking, full = _collecting(query, trail)
-    edges, now, rows, held = walking.edges(), walking.anchors(), [], None
+    edges, now, rows, held = native.held_edges(walking), walking.anchors(), [], None
     for hop in range(1, query.max_len + 1):
         now = native.step(walking, now, edges, hop).persist(StorageLevel.MEMORY_AND_DISK)
         total = now.count()
@@ -80,6 +86,7 @@ def _run(query: GuardedPathQuery, trail: bool, candidates: bool) -> DataFrame:
             break
     if held is not None:
         held.unpersist()
+    edges.unpersist()
     return spark.createDataFrame(rows, "len long, n long")
 
 
@@ -102,18 +109,32 @@ def json_postfilter(query: GuardedPathQuery) -> DataFrame:
     spark = query.graph.edges.sparkSession
     walking, full = _collecting(query, False)
     kind = walking.aggregate.slots[0].dtype
-    edges, now, rows = walking.edges(), walking.anchors().withColumn("s_hops", F.lit("[]")), []
+    edges, now, rows, held = native.held_edges(walking), walking.anchors().withColumn("s_hops", F.lit("[]")), [], []
     for hop in range(1, query.max_len + 1):
         parsed = now.withColumn("s_hops", F.from_json("s_hops", kind))
         now = native.step(walking, parsed, edges, hop).withColumn("s_hops", F.to_json("s_hops", {"ignoreNullFields": "false"})).persist(StorageLevel.MEMORY_AND_DISK)
+        held.append(now)
         if not now.count():
             break
+        if len(held) > 1:
+            held.pop(0).unpersist()
         n = _finish(walking, full, now.withColumn("s_hops", F.from_json("s_hops", kind))).count()
         if n:
             rows.append((hop, n))
+    for level in [*held, edges]:
+        level.unpersist()
     return spark.createDataFrame(rows, "len long, n long")
 
 
+def list_reduction(query: GuardedPathQuery) -> DataFrame:
+    """(len, n): the declarative form. One statement matches trails into a list of hops and tests that list in its WHERE clause, by a reduction over it."""
+    walking, full = _collecting(query, True)
+    out = answers_of(replace(walking, aggregate=replace(walking.aggregate, accept=(replay_text(full, "s_hops"),))))
+    if full.nfa is not None and full.needs_ids:
+        out = out.dropDuplicates(["start", "len", "s_hops"])
+    return out.groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+
+
 def reattach_postfilter(query: GuardedPathQuery) -> DataFrame:
     """For an engine that sees no properties while it expands: ids only, then every path's edges are joined back and regrouped in order."""
     full = plan(query.vary(rewrites=frozenset()))
@@ -162,23 +183,21 @@ def split_regex_join(query: GuardedPathQuery, printed_bounds: bool = False) -> D
         joined = joined.where(F.col("len").between(query.min_len, query.max_len))
     joined = joined.where("size(hops) > 0")
     # the parts numbered their states alone: run the whole automaton over the labels again
-    rerun = _restate(whole, joined)
-    return rerun.where(replay(whole, F.col("hops"))).dropDuplicates(["start", "hops"]).groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+    rerun = _restate(whole, joined).where(replay(whole, F.col("hops")))
+    ids = F.transform("hops", lambda h: h["e_id"])
+    return rerun.select("start", "len", ids.alias("ids")).distinct().groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
 
 
 def _restate(p: PathPlan, rows: DataFrame) -> DataFrame:
-    """Gives the hops the states of the whole automaton; paths that it doesn't accept go. Tables of (from, label) -> to are literals of its size."""
-    step_map = {}
-    for f, t, x in p.nfa.rows():
-        step_map.setdefault((f, x), []).append(t)
-    if any(len(t) > 1 for t in step_map.values()):
-        raise ValueError("parts can be joined only where the whole expression is deterministic")
-    moves = ", ".join(f"'{f}|{x}', {t[0]}" for (f, x), t in step_map.items())
+    """Gives the hops the states of the whole automaton, a row for each of its runs; paths that it doesn't accept go. The moves are a literal of the expression's size."""
+    moves = ", ".join(f"named_struct('f', {f}, 't', {t}, 'x', '{x}')" for f, t, x in p.nfa.rows())
     fields = [f"e_{c}" for c in p.edge_columns] + [f"w_{c}" for c in p.vertex_columns]
     one = ", ".join(f"'{f}', h.{f}" for f in fields)
     kind = "ARRAY<STRUCT<" + ", ".join(f"{f.name}: {f.dataType.simpleString()}" for f in rows.schema["hops"].dataType.elementType.fields) + ">>"
-    text = f"aggregate(hops, named_struct('q', 0, 'out', CAST(array() AS {kind})), (acc, h) -> named_struct('q', coalesce(try_element_at(map({moves}), concat(CAST(acc.q AS STRING), '|', h.e_label)), -1), 'out', array_append(acc.out, named_struct({one}, 'q', acc.q, 'to_state', coalesce(try_element_at(map({moves}), concat(CAST(acc.q AS STRING), '|', h.e_label)), -1)))))"
-    return rows.withColumn("r", F.expr(text)).where(F.col("r.q").isin(p.accepting)).select("start", "len", F.col("r.out").alias("hops"))
+    run = f"STRUCT<q: INT, out: {kind}>"
+    grown = f"transform(filter(array({moves}), m -> m.f = a.q AND m.x = h.e_label), m -> CAST(named_struct('q', m.t, 'out', array_append(a.out, named_struct({one}, 'q', a.q, 'to_state', m.t))) AS {run}))"
+    text = f"aggregate(hops, CAST(array(named_struct('q', 0, 'out', array())) AS ARRAY<{run}>), (acc, h) -> flatten(transform(acc, a -> {grown})))"
+    return rows.withColumn("r", F.explode(F.expr(text))).where(F.col("r.q").isin(p.accepting)).select("start", "len", F.col("r.out").alias("hops"))
 
 
 def segment_candidates(query: GuardedPathQuery) -> DataFrame:

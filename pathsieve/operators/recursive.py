@@ -4,12 +4,15 @@ from __future__ import annotations
 
 import re
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
+from pathsieve.sources.tables import shared_folder
 
 
 def to_sql(p: PathPlan, anchors: str, edges: str, transitions: str | None) -> str:
@@ -28,13 +31,14 @@ def to_sql(p: PathPlan, anchors: str, edges: str, transitions: str | None) -> st
     )
 
 
-def _as_functions(p: PathPlan, name: str) -> PathPlan:
-    """The plan with each check and update behind a SQL-defined function, which the engine inlines again."""
+def _as_functions(p: PathPlan, name: str, made: list[str]) -> PathPlan:
+    """The plan with each check and update behind a SQL-defined function, which the engine inlines again. made: gets their names."""
     spark = p.query.graph.edges.sparkSession
     types = {"len": "INT", "q": "INT", "to_state": "INT"} | {f"s_{s.name}": s.dtype for s in p.aggregate.slots} | {c: t for c, t in p.edges().dtypes}
 
     def behind(text: str, returns: str, k: str) -> str:
         used = [c for c in types if re.search(rf"\b{c}\b", text)]
+        made.append(f"{name}_{k}")
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_{k}({', '.join(f'{c} {types[c]}' for c in used)}) RETURNS {returns} RETURN {text}")
         return f"{name}_{k}({', '.join(used)})"
 
@@ -44,21 +48,53 @@ def _as_functions(p: PathPlan, name: str) -> PathPlan:
     return replace(p, aggregate=replace(agg, admit=admit, advance=advance))
 
 
+@contextmanager
+def views(spark: SparkSession, p: PathPlan) -> Iterator[str]:
+    """Views <name>_a, _e, _t of the plan's sides while a statement runs, with the row limit of recursion lifted; then all is as before."""
+    name, limit = f"ps_{uuid.uuid4().hex[:12]}", spark.conf.get(_LIMIT, None)
+    edges = p.edges() if p.nfa is not None else p.edges().withColumn("to_state", F.lit(0))
+    edges = edges.repartition("e_src").persist()  # every iteration reads them
+    spark.conf.set(_LIMIT, "-1")
+    p.anchors().createOrReplaceTempView(f"{name}_a")
+    edges.createOrReplaceTempView(f"{name}_e")
+    if p.nfa is not None:
+        p.nfa.to_df(spark).select("from_state", "to_state", F.col("label").alias("t_label")).createOrReplaceTempView(f"{name}_t")
+    try:
+        yield name
+    finally:
+        for side in "aet":
+            spark.catalog.dropTempView(f"{name}_{side}")
+        edges.unpersist()
+        if limit is None:
+            spark.conf.unset(_LIMIT)
+        else:
+            spark.conf.set(_LIMIT, limit)
+
+
+_LIMIT = "spark.sql.cteRecursionRowLimit"
+
+
+def answers_of(p: PathPlan, sql_functions: bool = False) -> DataFrame:
+    """Rows (start, v, q, len, slots) of the statement, written to the shared folder."""
+    spark = p.query.graph.edges.sparkSession
+    with views(spark, p) as name:
+        made: list[str] = []
+        if sql_functions:
+            p = _as_functions(p, name, made)
+        out = spark.sql(to_sql(p, f"{name}_a", f"{name}_e", f"{name}_t" if p.nfa is not None else None))
+        path = shared_folder(spark, "recursion")
+        out.write.parquet(path)
+        for f in made:
+            spark.sql(f"DROP TEMPORARY FUNCTION IF EXISTS {f}")
+    return spark.read.schema(out.schema).parquet(path)
+
+
 def run(query: GuardedPathQuery, sql_functions: bool = False) -> DataFrame:
-    """Answers (start, v, q, len, slots). The edge side is kept, since every iteration reads it. sql_functions: checks and updates as SQL-defined functions."""
+    """Answers (start, v, q, len, slots). sql_functions: checks and updates as SQL-defined functions."""
     if query.targets is not None or query.via:
         raise ValueError("endpoint sets are for the level executor")
     p = plan(query)
-    spark = query.graph.edges.sparkSession
-    spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
-    name = f"ps_{uuid.uuid4().hex[:12]}"
-    if sql_functions:
-        p = _as_functions(p, name)
-    p.anchors().createOrReplaceTempView(f"{name}_a")
-    p.edges().persist().createOrReplaceTempView(f"{name}_e")
-    if p.nfa is not None:
-        p.nfa.to_df(spark).select("from_state", "to_state", F.col("label").alias("t_label")).createOrReplaceTempView(f"{name}_t")
-    out = spark.sql(to_sql(p, f"{name}_a", f"{name}_e", f"{name}_t" if p.nfa is not None else None))
+    out = answers_of(p, sql_functions)
     return out.dropDuplicates(["start", "len", "s_edge_ids"]) if p.nfa is not None and query.dedupe and p.needs_ids else out
 
 

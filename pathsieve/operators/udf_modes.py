@@ -2,26 +2,28 @@
 
 mode        state            functions
 json_udf    one JSON text    five Python functions
-flat_udf    typed columns    Python functions
+flat_udf    typed columns    the same five, over structs
 json_inline one JSON text    native expressions
 flat_inline typed columns    native expressions (the level executor itself)
 
 kind: plain Python functions, the same with Arrow transfer, or pandas functions.
+A clock counts the seconds and calls of each function, and those of the text between.
 """
 
 from __future__ import annotations
 
 import inspect
 import json
-import uuid
+import time
 from collections.abc import Callable
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from pathsieve.operators import levels as native
+from pathsieve.operators.recursive import views
 from pathsieve.plans.aggregate import PruningAggregate
 from pathsieve.plans.spec import GuardedPathQuery, PathPlan, plan
 
@@ -55,10 +57,11 @@ def _udf(f: Callable, kind: str, returns: str | T.DataType) -> Callable[..., Col
         return F.udf(f, returns, useArrow=False)
     if kind == "arrow":
         return F.udf(f, returns, useArrow=True)
+    if isinstance(returns, T.StructType):
+        raise ValueError("pandas functions take the state as text")
 
     def batch(*columns: pd.Series) -> pd.Series:
-        rows = zip(*[c.to_dict("records") if isinstance(c, pd.DataFrame) else c for c in columns], strict=True)
-        return pd.Series([f(*r) for r in rows])
+        return pd.Series([f(*r) for r in zip(*columns, strict=True)])
 
     # fixed arities, as pandas functions need a plain signature
     two = lambda a, b: batch(a, b)
@@ -66,44 +69,88 @@ def _udf(f: Callable, kind: str, returns: str | T.DataType) -> Callable[..., Col
     return F.pandas_udf(one if len(inspect.signature(f).parameters) == 1 else two, returns, F.PandasUDFType.SCALAR)
 
 
-def _edge_text(p: PathPlan) -> Column:
-    """The hop as JSON text: edge, vertex, tags, length."""
+class Clock:
+    """Seconds and calls by name, added up over all workers; plain Python functions only."""
+
+    def __init__(self, spark: SparkSession, names: tuple[str, ...]) -> None:
+        self.seconds = {n: spark.sparkContext.accumulator(0.0) for n in names}
+        self.calls = {n: spark.sparkContext.accumulator(0) for n in names}
+
+    def over(self, name: str, f: Callable) -> Callable:
+        seconds, calls = self.seconds[name], self.calls[name]
+
+        def timed(*args: object) -> object:
+            began = time.perf_counter()
+            out = f(*args)
+            seconds.add(time.perf_counter() - began)
+            calls.add(1)
+            return out
+
+        return timed
+
+
+FUNCTIONS = ("seed", "advance", "admit", "emit", "accept")
+
+
+def text_functions(parts: dict[str, Callable], kind: str, clock: Clock | None = None) -> dict[str, Callable]:
+    """The five functions as they stand in a statement: state and edge are JSON texts. seed takes the start, which it doesn't use."""
+    over = clock.over if clock else lambda _, f: f
+    parts = {k: over(k, f) for k, f in parts.items()}
+    parse, write = over("json", json.loads), over("json", json.dumps)
+    texts = {
+        "seed": (lambda start: write(parts["seed"]()), "string"),
+        "advance": (lambda d, e: write(parts["advance"](parse(d), parse(e))), "string"),
+        "admit": (lambda d, e: parts["admit"](parse(d), parse(e)), "boolean"),
+        "emit": (lambda d: write(parts["emit"](parse(d))), "string"),
+        "accept": (lambda d: parts["accept"](parse(d)), "boolean"),
+    }
+    return {k: _udf(f, kind, returns) for k, (f, returns) in texts.items()}
+
+
+def struct_functions(parts: dict[str, Callable], kind: str, state: T.StructType) -> dict[str, Callable]:
+    """The five functions over structs: no text between the hops."""
+    names = state.fieldNames()
+    cast = {f.name: float if isinstance(f.dataType, T.DoubleType) else lambda x: x for f in state.fields}  # a whole number isn't taken for a double
+    whole = lambda row: row if isinstance(row, dict) else row.asDict(recursive=True)
+    held = lambda values: tuple(None if values.get(n) is None else cast[n](values[n]) for n in names)
+    typed = {
+        "seed": (lambda start: held(parts["seed"]()), state),
+        "advance": (lambda d, e: held(parts["advance"](whole(d), whole(e))), state),
+        "admit": (lambda d, e: parts["admit"](whole(d), whole(e)), T.BooleanType()),
+        "emit": (lambda d: held(parts["emit"](whole(d))), state),
+        "accept": (lambda d: parts["accept"](whole(d)), T.BooleanType()),
+    }
+    return {k: _udf(f, kind, returns) for k, (f, returns) in typed.items()}
+
+
+def _edge_struct(p: PathPlan) -> Column:
+    """The hop: edge, vertex, tags."""
     parts = [F.col(f"e_{c}").alias(c) for c in p.edge_columns] + [F.col(f"w_{c}").alias(f"vertex_{c}") for c in p.vertex_columns]
     tags = p.nfa.tags if p.nfa else {}
     name = lambda state: F.element_at(F.create_map(*[F.lit(x) for k, v in tags.items() for x in (k, v or "")]), F.col(state)) if tags else F.lit(None).cast("string")
-    return F.to_json(F.struct(*parts, name("q").alias("from_tag"), name("to_state").alias("to_tag")), {"ignoreNullFields": "false"})
+    return F.struct(*parts, name("q").alias("from_tag"), name("to_state").alias("to_tag"))
+
+
+def _as_text(x: Column) -> Column:
+    return F.to_json(x, {"ignoreNullFields": "false"})
 
 
-def run_levels(query: GuardedPathQuery, mode: str = "json_udf", kind: str = "python") -> DataFrame:
-    """(len, n) by the chosen variant."""
+def run_levels(query: GuardedPathQuery, mode: str = "json_udf", kind: str = "python", clock: Clock | None = None) -> DataFrame:
+    """(len, n) by the chosen variant: seed at the start, admit and advance at every hop, accept and emit for the answers."""
     if mode == "flat_inline":
         return native.levels(query)
     spark = query.graph.edges.sparkSession
     p = plan(query)
-    edges, anchors = p.edges(), p.anchors()
+    if p.nfa is not None and query.dedupe and p.needs_ids:
+        raise ValueError("an ambiguous expression needs the level executor")
     names = [s.name for s in p.aggregate.slots]
-    state_type = T._parse_datatype_string("struct<" + ", ".join(f"{s.name}: {s.dtype}" for s in p.aggregate.slots) + ">") if names else T.StructType()
-    held = F.struct(*[F.col(f"s_{n}").alias(n) for n in names]) if names else F.struct(F.lit(0).alias("none"))
-    now = anchors.select("start", "v", "q", "len", F.to_json(held, {"ignoreNullFields": "false"}).alias("d")) if mode != "flat_udf" else anchors
-    edges = edges.persist()
-    parts = _functions(p.aggregate, query.max_len) if mode != "json_inline" else {}
-    if parts:
-        whole = lambda d, e: (json.loads(d), json.loads(e))
-
-        def admit(d: str, e: str) -> bool:
-            state, edge = whole(d, e)
-            return parts["admit"](state, edge)
-
-        def advance(d: str, e: str) -> str:
-            state, edge = whole(d, e)
-            return json.dumps(parts["advance"](state, edge))
-
-        def accept(d: str) -> bool:
-            return parts["accept"](json.loads(d))
-
-        admit_udf, advance_udf, accept_udf = _udf(admit, kind, "boolean"), _udf(advance, kind, "string"), _udf(accept, kind, "boolean")
-    rows = []
-    previous: DataFrame | None = None
+    kinds = T._parse_datatype_string("struct<" + ", ".join([*(f"{s.name}: {s.dtype}" for s in p.aggregate.slots), "none: int"]) + ">")
+    inline, text = mode == "json_inline", mode != "flat_udf"
+    f = None if inline else text_functions(_functions(p.aggregate, query.max_len), kind, clock) if text else struct_functions(_functions(p.aggregate, query.max_len), kind, kinds)
+    slots = lambda df: df.withColumn("x", F.from_json("d", kinds)).select("*", *[F.col(f"x.{n}").alias(f"s_{n}") for n in names])
+    first = _as_text(F.struct(*[F.col(f"s_{n}").alias(n) for n in names], F.lit(None).cast("int").alias("none"))) if inline else f["seed"]("start")
+    now, edges = p.anchors().select("start", "v", "q", "len", first.alias("d")), native.held_edges(p)
+    rows, held = [], []
     for hop in range(1, query.max_len + 1):
         wide = now.join(edges, F.col("v") == F.col("e_src"))
         if p.nfa is not None:
@@ -111,73 +158,64 @@ def run_levels(query: GuardedPathQuery, mode: str = "json_udf", kind: str = "pyt
             wide = wide.join(t, (F.col("q") == F.col("from_state")) & (F.col("e_label") == t["label"])).drop("from_state", "label")
         else:
             wide = wide.withColumn("to_state", F.lit(0))
-        if mode == "json_inline":
-            wide = wide.withColumn("x", F.from_json("d", state_type)).select("*", *[F.col(f"x.{n}").alias(f"s_{n}") for n in names])
-            for text in p.step_checks:
-                wide = wide.where(text)
-            new = [F.expr(f"CAST({text} AS {s.dtype})").alias(s.name) for s, text in zip(p.aggregate.slots, p.advance().values(), strict=True)]
-            now = wide.select("start", F.col("e_dst").alias("v"), F.col("to_state").alias("q"), (F.col("len") + 1).alias("len"), (F.to_json(F.struct(*new), {"ignoreNullFields": "false"}) if new else F.lit("{}")).alias("d"))
+        if inline:
+            wide = slots(wide)
+            for check in p.step_checks:
+                wide = wide.where(check)
+            new = [F.expr(f"CAST({x} AS {s.dtype})").alias(s.name) for s, x in zip(p.aggregate.slots, p.advance().values(), strict=True)]
+            state = _as_text(F.struct(*new, F.lit(None).cast("int").alias("none")))
         else:
-            text = F.col("d") if mode == "json_udf" else F.to_json(held, {"ignoreNullFields": "false"})
-            state = F.concat(F.regexp_replace(text, r"\}$", ""), F.lit(', "len": ' if names else '"len": '), F.col("len").cast("string"), F.lit("}"))
-            wide = wide.withColumn("d_now", state).withColumn("e_now", _edge_text(p)).where(admit_udf("d_now", "e_now"))
-            stepped = wide.select("start", F.col("e_dst").alias("v"), F.col("to_state").alias("q"), (F.col("len") + 1).alias("len"), advance_udf("d_now", "e_now").alias("d"))
-            now = stepped if mode == "json_udf" else stepped.withColumn("x", F.from_json("d", state_type)).select("start", "v", "q", "len", *[F.col(f"x.{n}").alias(f"s_{n}") for n in names])
-        now = now.persist()
-        total = now.count()
-        if previous is not None:
-            previous.unpersist()
-        previous = now
-        if not total:
+            now_state = F.concat(F.regexp_replace("d", r"\}$", ""), F.when(F.col("d") == "{}", "").otherwise(", "), F.lit('"len": '), F.col("len").cast("string"), F.lit("}")) if text else F.struct("d.*", F.col("len").alias("len"))
+            wide = wide.withColumn("d_now", now_state).withColumn("e_now", _as_text(_edge_struct(p)) if text else _edge_struct(p)).where(f["admit"]("d_now", "e_now"))
+            state = f["advance"]("d_now", "e_now")
+        now = wide.select("start", F.col("e_dst").alias("v"), F.col("to_state").alias("q"), (F.col("len") + 1).alias("len"), state.alias("d")).persist()
+        held.append(now)
+        if not now.count():
             break
+        if len(held) > 1:
+            held.pop(0).unpersist()
         found = now.where(F.col("len") >= query.min_len)
         if p.accepting is not None:
             found = found.where(F.col("q").isin(p.accepting))
-        if mode == "json_inline":
-            found = found.withColumn("x", F.from_json("d", state_type)).select("*", *[F.col(f"x.{n}").alias(f"s_{n}") for n in names])
-            for text in p.aggregate.accept:
-                found = found.where(text)
-        elif p.aggregate.accepts:
-            found = found.where(accept_udf("d" if mode == "json_udf" else F.to_json(held, {"ignoreNullFields": "false"})))
-        if p.nfa is not None and query.dedupe and p.needs_ids:
-            raise ValueError("an ambiguous expression needs the level executor")
-        n = found.count()
+        if inline:
+            found = slots(found)
+            for check in p.aggregate.accept:
+                found = found.where(check)
+            n = found.count()
+        else:
+            n = found.where(f["accept"]("d")).select(f["emit"]("d").alias("out")).agg(F.count("out")).first()[0]
         if n:
             rows.append((hop, n))
-    if previous is not None:
-        previous.unpersist()
+    for level in held:
+        level.unpersist()
     edges.unpersist()
     return spark.createDataFrame(rows, "len long, n long")  # max_len rows at most
 
 
 def run_recursive(query: GuardedPathQuery, kind: str = "python") -> DataFrame:
-    """(len, n): the direct form, one recursive statement with the state as JSON text and Python functions for its update and checks."""
+    """(len, n): the direct form, one recursive statement with the state as JSON text and all five functions in Python."""
     spark = query.graph.edges.sparkSession
     p = plan(query)
     if p.nfa is not None and query.dedupe and p.needs_ids:
         raise ValueError("an ambiguous expression needs the level executor")
-    parts, name = _functions(p.aggregate, query.max_len), f"ps_{uuid.uuid4().hex[:12]}"
-    arrow = kind == "arrow"
-    spark.udf.register(f"{name}_admit", F.udf(lambda d, e: parts["admit"](json.loads(d), json.loads(e)), "boolean", useArrow=arrow))
-    spark.udf.register(f"{name}_advance", F.udf(lambda d, e: json.dumps(parts["advance"](json.loads(d), json.loads(e))), "string", useArrow=arrow))
-    spark.udf.register(f"{name}_accept", F.udf(lambda d: parts["accept"](json.loads(d)), "boolean", useArrow=arrow))
-    seeds = json.dumps(parts["seed"]())
-    p.anchors().select("start", "v", "q", "len", F.lit(seeds).alias("d")).createOrReplaceTempView(f"{name}_a")
-    p.edges().persist().createOrReplaceTempView(f"{name}_e")
-    join, to_state, tags = "", "0", "CAST(NULL AS STRING) AS from_tag, CAST(NULL AS STRING) AS to_tag"
-    if p.nfa is not None:
-        p.nfa.to_df(spark).select("from_state", "to_state", F.col("label").alias("t_label")).createOrReplaceTempView(f"{name}_t")
-        join, to_state = f" JOIN {name}_t ON q = from_state AND e_label = t_label", "to_state"
-        case = lambda c: "CASE " + c + "".join(f" WHEN {k} THEN '{v}'" for k, v in sorted(p.nfa.tags.items()) if v) + " END" if any(p.nfa.tags.values()) else "CAST(NULL AS STRING)"
-        tags = f"{case('q')} AS from_tag, {case('to_state')} AS to_tag"
-    fields = ", ".join([*[f"e_{c} AS {c}" for c in p.edge_columns], *[f"w_{c} AS vertex_{c}" for c in p.vertex_columns], tags])
-    edge = f"to_json(struct({fields}), map('ignoreNullFields', 'false'))"
-    state = "concat(rtrim('}', d), CASE WHEN d = '{}' THEN '' ELSE ', ' END, '\"len\": ', CAST(len AS STRING), '}')"
-    spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
-    final = " AND ".join([f"len >= {query.min_len}", *([f"q IN ({', '.join(map(str, p.accepting))})"] if p.accepting else []), *([f"{name}_accept(d)"] if p.aggregate.accepts else [])])
-    out = spark.sql(
-        f"WITH RECURSIVE prefixes MAX RECURSION LEVEL {query.max_len + 1} AS (SELECT start, v, q, len, d FROM {name}_a UNION ALL "
-        f"SELECT start, e_dst AS v, {to_state} AS q, len + 1 AS len, {name}_advance({state}, {edge}) AS d FROM prefixes JOIN {name}_e ON v = e_src{join} WHERE len < {query.max_len} AND {name}_admit({state}, {edge})) "
-        f"SELECT len, d, q FROM prefixes WHERE {final}"
-    )
-    return out.groupBy(F.col("len").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+    with views(spark, p) as name:
+        for k, f in text_functions(_functions(p.aggregate, query.max_len), kind).items():
+            spark.udf.register(f"{name}_{k}", f)
+        join, to_state, tags = "", "0", "CAST(NULL AS STRING) AS from_tag, CAST(NULL AS STRING) AS to_tag"
+        if p.nfa is not None:
+            join, to_state = f" JOIN {name}_t ON q = from_state AND e_label = t_label", "to_state"
+            case = lambda c: "CASE " + c + "".join(f" WHEN {k} THEN '{v}'" for k, v in sorted(p.nfa.tags.items()) if v) + " END" if any(p.nfa.tags.values()) else "CAST(NULL AS STRING)"
+            tags = f"{case('q')} AS from_tag, {case('to_state')} AS to_tag"
+        fields = ", ".join([*[f"e_{c} AS {c}" for c in p.edge_columns], *[f"w_{c} AS vertex_{c}" for c in p.vertex_columns], tags])
+        edge = f"to_json(struct({fields}), map('ignoreNullFields', 'false'))"
+        state = "concat(rtrim('}', d), CASE WHEN d = '{}' THEN '' ELSE ', ' END, '\"len\": ', CAST(len AS STRING), '}')"
+        final = " AND ".join([f"len >= {query.min_len}", *([f"q IN ({', '.join(map(str, p.accepting))})"] if p.accepting else []), f"{name}_accept(d)"])
+        out = spark.sql(
+            f"WITH RECURSIVE prefixes MAX RECURSION LEVEL {query.max_len + 1} AS (SELECT start, v, q, len, {name}_seed(start) AS d FROM {name}_a UNION ALL "
+            f"SELECT start, e_dst AS v, {to_state} AS q, len + 1 AS len, {name}_advance({state}, {edge}) AS d FROM prefixes JOIN {name}_e ON v = e_src{join} WHERE len < {query.max_len} AND {name}_admit({state}, {edge})) "
+            f"SELECT len, {name}_emit(d) AS d FROM prefixes WHERE {final}"
+        )
+        rows = out.groupBy(F.col("len").cast("long").alias("len")).agg(F.count("d").alias("n")).collect()  # max_len rows at most
+        for k in FUNCTIONS:
+            spark.sql(f"DROP TEMPORARY FUNCTION IF EXISTS {name}_{k}")
+    return spark.createDataFrame(rows, "len long, n long")

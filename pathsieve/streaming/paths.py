@@ -2,24 +2,41 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
+from dataclasses import replace
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import IntegerType, StructField, StructType
+
+from pathsieve.functions import constraints as C
+from pathsieve.operators import levels
+from pathsieve.plans.graph import PropertyGraph
+from pathsieve.plans.spec import GuardedPathQuery
 
 EDGE = "id long, src long, dst long, label string, ts timestamp"
 
 
-def run_to_end(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Processes all that is there into a table in memory, and gives that."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    query = writer.start()
+def run_to_end(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
+    """Processes all that is there into Parquet files under `folder`, and reads them. Each batch has a folder of its own, which it replaces when it runs again; in the complete mode the last one counts."""
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={batch_id}")
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    spark = stream.sparkSession
+    schema = StructType([*stream.schema.fields, StructField("batch", IntegerType())])
+    try:
+        out = spark.read.schema(schema).parquet(f"{folder}/rows")
+    except AnalysisException:  # no batch at all
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        out = out.where(F.col("batch") == out.agg(F.max("batch")).first()[0])
+    return out.select(*stream.columns)
 
 
 def chain(first: DataFrame, second: DataFrame, gap: str) -> DataFrame:
@@ -65,12 +82,14 @@ def incremental_paths(spark: SparkSession, edges: DataFrame, store: str, starts:
             if "PATH_NOT_FOUND" not in str(missing):
                 raise
             stored = spark.createDataFrame([], schema)
-        now, found = stored.unionByName(seeds), None
+        now, found, held = stored.unionByName(seeds), None, [fresh]
         for _ in range(max_len):
             now = now.where(F.col("len") < max_len).join(fresh, F.col("v") == F.col("src")).where("last_t IS NULL OR ts > last_t").select("start", F.col("dst").alias("v"), (F.col("len") + 1).alias("len"), F.col("ts").alias("last_t")).persist()
+            held.append(now)
             found = now if found is None else found.unionByName(now)
         found.write.mode("overwrite").parquet(f"{store}/batch={batch_id}")
-        fresh.unpersist()
+        for x in held:
+            x.unpersist()
 
     query = edges.writeStream.foreachBatch(extend).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
@@ -99,6 +118,44 @@ def stateful_spread(edges: DataFrame, window_us: int) -> DataFrame:
     return edges.groupBy("src").applyInPandasWithState(step, "src long, id long, n long", "times array<long>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def replay_late(stored: DataFrame, late: DataFrame, run: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """Edges that came after the watermark: the answer over all edges again."""
-    return run(stored.unionByName(late))
+def stateful_paths(edges: DataFrame, by: str, window_us: int, max_len: int) -> DataFrame:
+    """(by, first, last, len): chronological paths of up to max_len edges that agree in `by` and whose last edge is at most the window after the first. Edges: (id, src, dst, ts, by).
+
+    The state of a key holds the prefixes that may still grow, with the time of their
+    first edge; one expires when the window has passed since then, and the key's timer
+    clears what is left when no edge comes. Within a batch a key's edges are taken in
+    time order; edges below the watermark are dropped (extend_late() makes up for them).
+    """
+    names = ["v", "head", "begin", "at", "n"]
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        prefixes = list(zip(*state.get, strict=True)) if state.exists else []
+        rows = pd.concat(list(frames)).sort_values(["ts", "id"])
+        out = []
+        for r in rows.itertuples():
+            at = int(r.ts.value // 1000)
+            prefixes = [p for p in prefixes if at - p[2] <= window_us]
+            grown = [(int(r.dst), head, begin, at, n + 1) for v, head, begin, last, n in prefixes if v == r.src and last < at]
+            grown.append((int(r.dst), int(r.id), at, at, 1))
+            out += [(key[0], p[1], int(r.id), p[4]) for p in grown]
+            prefixes += [p for p in grown if p[4] < max_len]
+        state.update(tuple(list(x) for x in zip(*prefixes, strict=True)) if prefixes else tuple([] for _ in names))
+        last = max((p[2] for p in prefixes), default=0) + window_us
+        state.setTimeoutTimestamp(max(last // 1000, state.getCurrentWatermarkMs() + 1))
+        yield pd.DataFrame(out, columns=[by, "first", "last", "len"])
+
+    kind = edges.schema[by].dataType.simpleString()
+    return edges.groupBy(by).applyInPandasWithState(step, f"{by} {kind}, first long, last long, len long", ", ".join(f"{n} array<long>" for n in names), "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def extend_late(stored: DataFrame, late: DataFrame, starts: DataFrame, max_len: int) -> DataFrame:
+    """(start, v, len, last_t): the chronological paths that late edges add to those of the stored edges: all that hold a late edge, and no other. Edges: (id, src, dst, ts)."""
+    micros = F.unix_micros(F.col("ts"))
+    both = stored.select("id", "src", "dst", micros.alias("t"), F.lit(0).alias("late")).unionByName(late.select("id", "src", "dst", micros.alias("t"), F.lit(1).alias("late")))
+    graph = PropertyGraph(both.withColumn("label", F.lit("")), alphabet=("",))
+    rule = C.Monotone("t") & C.AnyOf("e_late = 1", "p_late[i] = 1", ["late"])
+    rule = replace(rule, emit={"last_t": "timestamp_micros(s_last_t)"})
+    return levels.paths(GuardedPathQuery(graph, rule, sources=starts, max_len=max_len), with_ids=False)

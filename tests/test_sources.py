@@ -26,7 +26,7 @@ def test_streamed_chain_equals_the_batch_join(spark, tmp_path):
     df = spark.createDataFrame(ROWS, SCHEMA).withColumn("ts", F.timestamp_seconds("t"))
     df.write.parquet(f"{tmp_path}/edges")
     edges = lambda: stream_edges(spark, f"{tmp_path}/edges", df.schema, "ts", "1 hour")
-    found = streams.run_to_end(streams.chain(edges(), edges(), "15 SECONDS").select("id1", "id2"), "chained", checkpoint=f"{tmp_path}/state")
+    found = streams.run_to_end(streams.chain(edges(), edges(), "15 SECONDS").select("id1", "id2"), f"{tmp_path}/chained")
     assert {tuple(r) for r in found.collect()} == {(1, 2), (3, 1)}
     assert df.select(micros(F.col("ts").cast("timestamp_ntz")).alias("m")).first()["m"] == 10_000_000
 
