@@ -353,14 +353,38 @@ def test_near_duplicates(spark, docs, odd, nothing):
         assert sorted((r["doc_id"] or 0, r["text"][:3]) for r in one_of_each(some).collect()) == [(0, "one"), (1, "one"), (7, "eig")]
 
 
-def test_pairs_within_the_radius(spark):
+def _near_prints(rng, seeds, copies):
+    prints = [rng.getrandbits(64) for _ in range(seeds)]
+    return sorted({*prints, *(p ^ sum(1 << k for k in rng.sample(range(64), rng.randrange(7))) for p in prints for _ in range(copies)), 0, 1, 15})
+
+
+def test_tree_links_against_brute_force(monkeypatch):
     rng = random.Random(4)
-    prints = [rng.getrandbits(64) for _ in range(40)]
-    prints = list({*prints, *(p ^ sum(1 << rng.randrange(64) for _ in range(rng.randrange(7))) for p in prints), 0, 1, 15})
+    for leaf in (64, 3):
+        monkeypatch.setattr(near_dedup, "LEAF", leaf)
+        for seeds, copies in ((300, 1), (3, 120), (1, 300), (1, 0)):
+            prints = _near_prints(rng, seeds, copies)
+            tree = near_dedup.Tree(np.array(prints, np.uint64))
+            tree.link(np.arange(len(prints)))
+            expected = _components(dict(enumerate(prints)), 4)
+            assert {k: tree._find(k) for k in expected} == expected and len(tree.forest) == len(prints) - len(set(expected.values()))
+            half = len(prints) // 2
+            tree = near_dedup.Tree(np.array(prints, np.uint64))
+            tree.across(np.arange(half), np.arange(half, len(prints)))
+            pairs = {(a, b) for a in range(half) for b in range(half, len(prints)) if (prints[a] ^ prints[b]).bit_count() <= 4}
+            assert all(tree._find(a) == tree._find(b) for a, b in pairs) and len({x for e in tree.forest for x in e}) == len({x for e in pairs for x in e})
+
+
+def test_links_in_branches_of_any_size(spark, monkeypatch):
+    prints = _near_prints(random.Random(5), 40, 4)
     df = spark.createDataFrame([(p - (1 << 64) if p >> 63 else p,) for p in prints], "fingerprint long")
-    got = [frozenset((r["a"] % (1 << 64), r["b"] % (1 << 64))) for r in near_dedup.near_pairs(df).collect()]
-    expected = {frozenset((a, b)) for a in prints for b in prints if a != b and (a ^ b).bit_count() <= 4}
-    assert set(got) == expected and len(got) == len(expected)
+    expected = _components({p: p for p in prints}, 4)
+    for large in (near_dedup.LARGE, 12):  # 12: branches are parted by shells, over and over
+        monkeypatch.setattr(near_dedup, "LARGE", large)
+        found = {r["fingerprint"] % (1 << 64): r["component"] for r in near_dedup.groups(df).collect()}
+        first = {}
+        assert found.keys() == expected.keys() and all(first.setdefault(expected[p], c) == c for p, c in found.items()) and len(set(found.values())) == len(set(expected.values()))
+    assert near_dedup.blocks_for(1000) == 5 and near_dedup.blocks_for(10**9) > 5 and len(near_dedup.projections(6)) == 15
 
 
 def test_components(spark):
