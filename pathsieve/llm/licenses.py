@@ -66,9 +66,8 @@ def template_sets(spark, templates: dict[str, str]) -> DataFrame:
     return rows.select("label", F.array_distinct(words(F.col("text"))).alias("terms")).where(F.size("terms") > 0)
 
 
-def blocks_of(text: Column) -> Column:
-    """Array of a text's blocks: its lines, then every row of 2 to WRAPPED wrapped lines that can't be longer by a line after it (shorter rows hold no more words)."""
-    lines = F.split(F.coalesce(text, F.lit("")), "\n")
+def blocks_of(lines: Column) -> Column:
+    """Array of the blocks of a text, given as a column of its lines: its lines, then every row of 2 to WRAPPED wrapped lines that can't be longer by a line after it (shorter rows hold no more words)."""
     fits = lambda x: (F.char_length(x) <= WRAP) & (F.trim(x) != "")
     row = lambda k: F.slice(lines, k + 1, WRAPPED)
     # a row ends before its first line that doesn't fit
@@ -96,8 +95,10 @@ def similar_blocks(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thres
     reach = F.lit(False)
     for label, terms in sets.items():
         reach = reach | (F.size(F.array_intersect("held", F.array(*map(F.lit, terms)))) >= needs[label])
-    some = docs.select("key", "text", words_held(F.col("text")).alias("held")).where(reach).select("key", "text")
-    blocks = some.select("key", F.posexplode_outer(blocks_of(F.col("text"))).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
+    # arrays of one element are exploded so that the engine evaluates words and lines once a text, not at every use in a filter or lambda
+    some = docs.select("key", "text", F.explode(F.array(words_held(F.col("text")))).alias("held")).where(reach)
+    some = some.select("key", F.explode(F.array(F.split(F.coalesce("text", F.lit("")), "\n"))).alias("lines"))
+    blocks = some.select("key", F.posexplode_outer(blocks_of(F.col("lines"))).alias("block", "line")).select("key", "block", words_against(F.col("line"), vocabulary).alias("w"))
     touching = blocks.where(F.arrays_overlap("w", F.array(*[F.lit(w) for w in sorted({p[0] for p in prefixes})])))  # prefix filter
     held = touching.select("key", "block", F.array_intersect("w", F.array(*map(F.lit, vocabulary))).alias("held"))
     index = spark.createDataFrame(prefixes, "term string, label string, template_place int, template_size int, need int")
