@@ -148,3 +148,13 @@ def test_operators(spark):
     assert {(r["id"], r["next_id"]) for r in results.asof_next_edge(g).collect()} == {(2, 5), (3, 4), (5, 6), (4, 5), (6, 1)}
     assert layout.from_adjacency(layout.adjacency(g, "t", chunk=1)).count() == len(TOY)
     assert metrics.total_candidates(GuardedPathQuery(g, sources=(3,), max_len=2), "walk") >= metrics.total_candidates(GuardedPathQuery(g, sources=(3,), max_len=2))
+
+
+def test_salted_heavy_sources(spark, monkeypatch):
+    rng = random.Random(1)
+    rows = [(k, rng.randrange(6), rng.randrange(6), "a", rng.randrange(50), 1.0) for k in range(60)]
+    q = GuardedPathQuery(graph(spark, rows), C.Monotone("t"), sources=None, max_len=3)
+    plain = counts(levels.levels(q))
+    monkeypatch.setattr(levels, "HEAVY", 8)
+    for rewrites in (["salt"], ["salt", "envelope", "elide_trail", "hoist"]):
+        assert counts(levels.levels(q.vary(rewrites=frozenset(rewrites)))) == plain
