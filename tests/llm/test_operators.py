@@ -8,6 +8,7 @@ from collections import Counter
 import duckdb
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -353,6 +354,44 @@ def test_near_duplicates(spark, docs, odd, nothing):
         assert sorted((r["doc_id"] or 0, r["text"][:3]) for r in one_of_each(some).collect()) == [(0, "one"), (1, "one"), (7, "eig")]
 
 
+def _edited(rng, base, most):
+    out = list(base)
+    for _ in range(rng.randrange(most + 1)):
+        out[rng.randrange(len(out))] = f"edit{rng.randrange(10**6)}"
+    return " ".join(out)
+
+
+def test_shingle_links_against_brute_force(spark, monkeypatch):
+    """A large group around one text, of which many are too far from it, and chains; one block or many."""
+    rng = random.Random(11)
+    bases = [[f"w{rng.randrange(500)}" for _ in range(n)] for n in (120, 120, 40)]
+    texts = {i: _edited(rng, bases[i % 7 % 3], 5) for i in range(1, 240)}
+    texts |= {300 + i: " ".join(f"c{k}" for k in range(4 * i, 4 * i + 60)) for i in range(25)}
+    sets = {i: set(shingle_dedup.shingle_hashes(t)[1]) for i, t in texts.items()}
+    root = {i: i for i in texts}
+    for a in sorted(texts):
+        for b in sorted(texts):
+            if a < b and root[a] != root[b] and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                low, high = sorted((root[a], root[b]))
+                root = {i: low if r == high else r for i, r in root.items()}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    for members, size in ((shingle_dedup.MEMBERS, shingle_dedup.BYTES), (20, 1 << 22), (1024, 9000)):
+        monkeypatch.setattr(shingle_dedup, "MEMBERS", members)
+        monkeypatch.setattr(shingle_dedup, "BYTES", size)
+        assert {r["doc_id"]: r["component_id"] for r in shingle_dedup.near_duplicates(docs).collect()} == root
+    assert 1 < len(set(root.values())) < len(texts)
+
+
+def test_a_meeting_gives_a_forest():
+    rng = random.Random(5)
+    base = [f"w{k}" for k in range(100)]
+    sets = [np.unique(np.array(shingle_dedup.shingle_hashes(_edited(rng, base, 2))[1], np.uint64)).tobytes() for _ in range(200)]
+    for own, i, j in (([0] * 200, 0, 0), ([k % 2 + 3 for k in range(200)], 3, 4)):
+        rows = pa.table({"i": [i] * 200, "j": [j] * 200, "own": own, "words": list(range(200)), "component": list(range(200)), "shingles": sets})
+        found = shingle_dedup._meeting(rows)
+        assert 100 < found.num_rows < 200
+
+
 def _near_prints(rng, seeds, copies):
     prints = [rng.getrandbits(64) for _ in range(seeds)]
     return sorted({*prints, *(p ^ sum(1 << k for k in rng.sample(range(64), rng.randrange(7))) for p in prints for _ in range(copies)), 0, 1, 15})
