@@ -1,9 +1,13 @@
+import time
+from types import SimpleNamespace
+
 import duckdb
 import numpy as np
 import pandas as pd
 import pytest
 
 from pathsieve import catalog
+from pathsieve.streaming import paths as streams
 
 
 @pytest.fixture
@@ -32,3 +36,21 @@ def same(spark, name, folder):
 
 def test_a_window_whose_key_comes_in_several_frames(spark, small_frames, tmp_path):
     same(spark, "stream_stateful_window", events(tmp_path, 2))
+
+
+def test_paths_of_a_key_in_parts(spark, small_frames, tmp_path, monkeypatch):
+    monkeypatch.setattr(streams, "PART", 7)
+    same(spark, "stream_stateful_paths", events(tmp_path))
+
+
+def test_an_edge_costs_the_paths_that_it_extends(spark):
+    """20,000 edges of one key within the window, which hardly meet: every edge against every prefix takes over 5 seconds."""
+    rows = spark.range(20_000).selectExpr("id", "id AS src", "id + 1 AS dst", "'x' AS label", "timestamp_micros(1000000 * (20000 - id)) AS ts").withWatermark("ts", "1 day")
+    step = {}
+    began = time.perf_counter()
+    frame = rows.toPandas()
+    state = SimpleNamespace(hasTimedOut=False, exists=False, update=lambda x: step.update(state=x), setTimeoutTimestamp=lambda x: None, getCurrentWatermarkMs=lambda: 0)
+    grouped = SimpleNamespace(applyInPandasWithState=lambda f, *_: list(f(("x",), iter([frame]), state)))
+    edges = SimpleNamespace(schema=rows.schema, groupBy=lambda by: grouped)
+    out = streams.stateful_paths(edges, "label", 12 * 3_600_000_000, 3)
+    assert sum(map(len, out)) == 20_000 and len(step["state"][0]) == 20_000 and time.perf_counter() - began < 5
