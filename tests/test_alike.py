@@ -8,6 +8,7 @@ from pathsieve import catalog
 from pathsieve.functions import constraints as C
 from pathsieve.operators import alike, levels
 from pathsieve.plans.spec import plan
+from pathsieve.sources import encodings
 from pathsieve.workloads import WORKLOADS
 from tests.test_open_ends import dense  # noqa: F401
 
@@ -38,6 +39,26 @@ def test_whole_prefixes_where_vertices_differ(spark, dense):  # noqa: F811
     assert not alike.applies(p, p.step_checks)
 
 
+def test_without_rewrites_no_row_is_a_path(spark, dense, monkeypatch):  # noqa: F811
+    def made(*_, **__):
+        raise AssertionError("a prefix's edges are made")
+
+    monkeypatch.setattr(levels, "expand", made)
+    assert len(same(spark, dense, catalog.QUERIES["rewrites_none_q4"], catalog.ORACLES["rewrites_none_q4"])) == 3
+
+
+def test_ends_of_repeated_keys(spark, tmp_path):
+    """A beginning's ends are counted right where orders share a key or a customer has several of a day."""
+    spark.createDataFrame([(c, "A" if c < 4 else "B") for c in range(6)], "c_custkey long, c_mktsegment string").write.parquet(f"{tmp_path}/customer.parquet")
+    orders = [(k // 2 if k < 8 else k, k % 5, datetime(1995, 1, 1 + k % 2)) for k in range(20)] + [(3, 3, datetime(1995, 1, 1)), (3, 3, datetime(1995, 1, 1)), (None, 1, datetime(1995, 1, 1))]
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_orderdate timestamp_ntz").write.parquet(f"{tmp_path}/orders.parquet")
+    graph = encodings.stored(spark, str(tmp_path), "knows")
+    plain = encodings.ENCODINGS["knows"](spark, str(tmp_path)).edges
+    count = lambda edges: sorted(map(tuple, edges.groupBy("src", "t").count().collect()))
+    assert not graph.parts.exact and sorted(graph.edges.collect()) == sorted(plain.collect())
+    assert sorted(map(tuple, graph.parts.begin.groupBy("src", "t").agg({"n": "sum"}).where("`sum(n)` > 0").collect())) == count(plain)
+
+
 def trails(n: int, length: int, at: int = 0, done: frozenset = frozenset()) -> int:
     return 1 if not length else sum(trails(n, length - 1, to, done | {(at, to)}) for to in range(n) if to != at and (at, to) not in done)
 
