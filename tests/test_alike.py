@@ -79,3 +79,21 @@ def test_many_vertices_of_one_class(spark, tmp_path):
         expected.append((length, int(total)))
     rows = catalog.QUERIES["q4_knows_long"](spark, str(tmp_path)).collect()
     assert sorted((r["len"], r["n"]) for r in rows) == expected
+
+
+def test_counts_above_the_largest_bigint(spark, tmp_path):
+    """3000 customers of one day: (n - 1) ** 6 walks of length 6, some 7e20. Trails are fewer by what comes back to an edge."""
+    spark.createDataFrame([(c, "A") for c in range(3000)], "c_custkey long, c_mktsegment string").write.parquet(f"{tmp_path}/customer.parquet")
+    spark.createDataFrame([(c, c, datetime(1995, 1, 1)) for c in range(3000)], "o_orderkey long, o_custkey long, o_orderdate timestamp_ntz").write.parquet(f"{tmp_path}/orders.parquet")
+    workload = replace(WORKLOADS["q4_knows"], max_len=6)
+    walks = {r["len"]: int(r["n"]) for r in levels.levels(workload.query(spark, str(tmp_path), semantics="walk")).collect()}
+    assert walks == {n: 2999**n for n in range(1, 7)}
+    found = {r["len"]: int(r["n"]) for r in levels.levels(workload.query(spark, str(tmp_path))).collect()}
+    assert 0.999 * walks[6] < found[6] < walks[6] and found[2] == walks[2] and found[3] == walks[3] - 2999
+
+
+def test_no_row_for_each_end_before_the_last_hop(spark, dense, monkeypatch):  # noqa: F811
+    """Of two hops' paths, the first hop's ends are met by day and part, not by _hop()."""
+    monkeypatch.setattr(alike, "_hop", None)
+    workload = replace(KNOWS, max_len=2)
+    same(spark, dense, lambda s, d: levels.levels(workload.query(s, d)), workload.levels_sql())
